@@ -6,6 +6,9 @@ from collections.abc import Callable
 
 from pyspark.sql import DataFrame, SparkSession
 
+from localcoef.llm.chat import ORACLE as CHAT_SQL
+from localcoef.llm.lines import ORACLE as LINES_SQL
+
 BYTE_BPE, PIECE_BPE = "byte_bpe_50k.json", "piece_bpe_32k.model"
 
 
@@ -25,8 +28,37 @@ def op6_bpe_codec(spark: SparkSession, sf_dir: str) -> DataFrame:
     return encode_documents(table(spark, sf_dir, "documents"), vocabulary(BYTE_BPE))
 
 
+def op2_repetition_rules(spark: SparkSession, sf_dir: str) -> DataFrame:
+    from localcoef.llm.quality import score_quality
+
+    return score_quality(table(spark, sf_dir, "documents"))
+
+
+def op3_line_dedup(spark: SparkSession, sf_dir: str) -> DataFrame:
+    from localcoef.llm.lines import dedup_lines
+
+    return dedup_lines(table(spark, sf_dir, "documents"))
+
+
+def op5_language_profiles(spark: SparkSession, sf_dir: str) -> DataFrame:
+    from localcoef.llm.language import detect
+
+    return detect(table(spark, sf_dir, "documents"))
+
+
+def op10_chat_examples(spark: SparkSession, sf_dir: str) -> DataFrame:
+    from localcoef.llm.chat import PROBE, digest, format_examples
+
+    given = table(spark, sf_dir, "conversations").select("conv_id", "turn", "role", "text")
+    return digest(format_examples(given.unionByName(spark.createDataFrame(PROBE, given.schema))))
+
+
 QUERIES: dict[str, Callable[[SparkSession, str], DataFrame]] = {
+    "op2_repetition_rules": op2_repetition_rules,
+    "op3_line_dedup": op3_line_dedup,
+    "op5_language_profiles": op5_language_profiles,
     "op6_bpe_codec": op6_bpe_codec,
+    "op10_chat_examples": op10_chat_examples,
 }
 
-ORACLE_SQL: dict[str, str] = {}
+ORACLE_SQL: dict[str, str] = {"op3_line_dedup": LINES_SQL, "op10_chat_examples": CHAT_SQL}
