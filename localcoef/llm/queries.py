@@ -40,12 +40,25 @@ def op3_line_dedup(spark: SparkSession, sf_dir: str) -> DataFrame:
     return dedup_lines(table(spark, sf_dir, "documents"))
 
 
+def op4_string_tiling(spark: SparkSession, sf_dir: str) -> DataFrame:
+    from localcoef.llm.decontam import contamination
+
+    found = contamination(table(spark, sf_dir, "documents"), table(spark, sf_dir, "benchmark"))
+    return found.withColumn("kept", found["item_id"].isNull())
+
+
 def op5_language_profiles(spark: SparkSession, sf_dir: str) -> DataFrame:
     from localcoef.llm.language import detect
 
     return detect(table(spark, sf_dir, "documents"))
 
 
+def op7_best_path_counts(spark: SparkSession, sf_dir: str) -> DataFrame:
+    from localcoef.llm.counts import count_tokens
+
+    return count_tokens(table(spark, sf_dir, "documents"), vocabulary(PIECE_BPE))
+
+
 def op10_chat_examples(spark: SparkSession, sf_dir: str) -> DataFrame:
     from localcoef.llm.chat import PROBE, digest, format_examples
 
@@ -56,8 +69,10 @@ def op10_chat_examples(spark: SparkSession, sf_dir: str) -> DataFrame:
 QUERIES: dict[str, Callable[[SparkSession, str], DataFrame]] = {
     "op2_repetition_rules": op2_repetition_rules,
     "op3_line_dedup": op3_line_dedup,
+    "op4_string_tiling": op4_string_tiling,
     "op5_language_profiles": op5_language_profiles,
     "op6_bpe_codec": op6_bpe_codec,
+    "op7_best_path_counts": op7_best_path_counts,
     "op10_chat_examples": op10_chat_examples,
 }
 
