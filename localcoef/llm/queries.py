@@ -8,6 +8,7 @@ from pyspark.sql import DataFrame, SparkSession
 
 from localcoef.llm.chat import ORACLE as CHAT_SQL
 from localcoef.llm.lines import ORACLE as LINES_SQL
+from localcoef.ship import ship
 
 BYTE_BPE, PIECE_BPE = "byte_bpe_50k.json", "piece_bpe_32k.model"
 
@@ -19,6 +20,7 @@ def vocabulary(name: str) -> str:
 
 
 def table(spark: SparkSession, sf_dir: str, name: str) -> DataFrame:
+    ship(spark)
     return spark.read.parquet(f"{sf_dir}/{name}.parquet")
 
 
@@ -59,6 +61,12 @@ def op7_best_path_counts(spark: SparkSession, sf_dir: str) -> DataFrame:
     return count_tokens(table(spark, sf_dir, "documents"), vocabulary(PIECE_BPE))
 
 
+def op8_lsh_forest(spark: SparkSession, sf_dir: str) -> DataFrame:
+    from localcoef.llm.neardup import near_duplicates
+
+    return near_duplicates(table(spark, sf_dir, "documents"))
+
+
 def op10_chat_examples(spark: SparkSession, sf_dir: str) -> DataFrame:
     from localcoef.llm.chat import PROBE, digest, format_examples
 
@@ -73,6 +81,7 @@ QUERIES: dict[str, Callable[[SparkSession, str], DataFrame]] = {
     "op5_language_profiles": op5_language_profiles,
     "op6_bpe_codec": op6_bpe_codec,
     "op7_best_path_counts": op7_best_path_counts,
+    "op8_lsh_forest": op8_lsh_forest,
     "op10_chat_examples": op10_chat_examples,
 }
 
