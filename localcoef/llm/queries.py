@@ -67,6 +67,12 @@ def op8_lsh_forest(spark: SparkSession, sf_dir: str) -> DataFrame:
     return near_duplicates(table(spark, sf_dir, "documents"))
 
 
+def op9_host_wrappers(spark: SparkSession, sf_dir: str) -> DataFrame:
+    from localcoef.llm.wrappers import extract_pages
+
+    return extract_pages(table(spark, sf_dir, "pages"))
+
+
 def op10_chat_examples(spark: SparkSession, sf_dir: str) -> DataFrame:
     from localcoef.llm.chat import PROBE, digest, format_examples
 
@@ -82,6 +88,7 @@ QUERIES: dict[str, Callable[[SparkSession, str], DataFrame]] = {
     "op6_bpe_codec": op6_bpe_codec,
     "op7_best_path_counts": op7_best_path_counts,
     "op8_lsh_forest": op8_lsh_forest,
+    "op9_host_wrappers": op9_host_wrappers,
     "op10_chat_examples": op10_chat_examples,
 }
 
