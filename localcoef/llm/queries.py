@@ -30,6 +30,12 @@ def op6_bpe_codec(spark: SparkSession, sf_dir: str) -> DataFrame:
     return encode_documents(table(spark, sf_dir, "documents"), vocabulary(BYTE_BPE))
 
 
+def op1_suffix_automata(spark: SparkSession, sf_dir: str) -> DataFrame:
+    from localcoef.llm.substrings import remove_repeats
+
+    return remove_repeats(table(spark, sf_dir, "documents"))
+
+
 def op2_repetition_rules(spark: SparkSession, sf_dir: str) -> DataFrame:
     from localcoef.llm.quality import score_quality
 
@@ -81,6 +87,7 @@ def op10_chat_examples(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 
 QUERIES: dict[str, Callable[[SparkSession, str], DataFrame]] = {
+    "op1_suffix_automata": op1_suffix_automata,
     "op2_repetition_rules": op2_repetition_rules,
     "op3_line_dedup": op3_line_dedup,
     "op4_string_tiling": op4_string_tiling,
