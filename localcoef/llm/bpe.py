@@ -178,13 +178,12 @@ def encode_documents(docs: DataFrame, path: str, id_col: str = "doc_id", text_co
     def run(batches):
         tool = codec(config.value)
         for batch in batches:
-            keys = batch.column(0)
-            texts = batch.column(1).to_pylist()
-            count, digest, back, all_ids, decoded = [], [], [], [], []
+            keys, texts = batch.column(0), batch.column(1).to_pylist()
             for low, high in blocks(texts, 6 << 20):
                 split = [tool.pieces(t) if t else [] for t in texts[low:high]]
                 tool.learn(split)
                 cache = tool.cache
+                count, digest, back, all_ids, decoded = [], [], [], [], []
                 for pieces in split:
                     got = [cache[p] for p in pieces]
                     ids = b",".join([g[0] for g in got])
@@ -193,14 +192,14 @@ def encode_documents(docs: DataFrame, path: str, id_col: str = "doc_id", text_co
                     digest.append(hashlib.sha256(ids).hexdigest())
                     back.append(hashlib.sha256(plain.encode()).hexdigest())
                     if with_ids:
-                        all_ids.append([int(x) for x in ids.split(b",")] if ids else [])
+                        all_ids.append(np.array(ids.split(b",") if ids else [], dtype=np.int32))
                         decoded.append(plain)
-            columns = [keys, pa.array(count, pa.int64()), pa.array(digest, pa.string()), pa.array(back, pa.string())]
-            names = [id_col, "n_tokens", "ids_sha256", "decoded_sha256"]
-            if with_ids:
-                columns += [pa.array(all_ids, pa.list_(pa.int32())), pa.array(decoded, pa.string())]
-                names += ["ids", "decoded"]
-            yield pa.RecordBatch.from_arrays(columns, names)
+                columns = [keys.slice(low, high - low), pa.array(count, pa.int64()), pa.array(digest, pa.string()), pa.array(back, pa.string())]
+                names = [id_col, "n_tokens", "ids_sha256", "decoded_sha256"]
+                if with_ids:
+                    columns += [pa.array(all_ids, pa.list_(pa.int32())), pa.array(decoded, pa.string())]
+                    names += ["ids", "decoded"]
+                yield pa.RecordBatch.from_arrays(columns, names)
 
     kind = docs.select(id_col).schema[0].dataType.simpleString()
     schema = f"`{id_col}` {kind}, n_tokens long, ids_sha256 string, decoded_sha256 string"

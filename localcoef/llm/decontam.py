@@ -160,11 +160,11 @@ def contamination(docs: DataFrame, items: DataFrame, rule: Tiling = Tiling(), id
     chosen = items.select(F.col(item_col).cast("long").alias("item"), F.col(item_text).cast("string").alias("text")).where("item is not null and text is not null")
     chars = chosen.agg(F.coalesce(F.sum(F.char_length("text")), F.lit(0)).alias("n")).first()["n"]
     n_blocks = max(1, -(-chars // block_chars))
-    head = ", ".join(f"`{f.name}` {f.dataType.simpleString()}" for f in docs.select(*keep).schema)
     state = docs.select(*keep, F.col(text_col).cast("string").alias("__text"), F.lit(None).cast("long").alias("item_id"), F.lit(None).cast("double").alias("coverage"), F.lit(None).cast("long").alias("longest_tile"))
+    schema = state.schema
     for k in range(n_blocks):
         rows = chosen.where(F.pmod(F.xxhash64("item"), F.lit(n_blocks)) == k).orderBy("item").collect()
-        state = state.mapInArrow(_matcher(spark.sparkContext.broadcast(([r["item"] for r in rows], [r["text"] for r in rows], rule)), len(keep)), f"{head}, __text string, item_id long, coverage double, longest_tile long")
+        state = state.mapInArrow(_matcher(spark.sparkContext.broadcast(([r["item"] for r in rows], [r["text"] for r in rows], rule)), len(keep)), schema)
     return state.drop("__text")
 
 

@@ -14,12 +14,12 @@ from __future__ import annotations
 import re
 from collections import Counter
 from dataclasses import dataclass
-from itertools import chain
 
 import numpy as np
 import pyarrow as pa
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
+from pyspark.sql import types as T
 
 UNDETERMINED = "und"
 PROFILE_GRAMS = 400
@@ -159,9 +159,6 @@ def fit(docs: DataFrame, learn: Column, text_col: str = "text", lang_col: str =
     return Profiles(alphabet, names, lists, size)
 
 
-_READY: dict[int, tuple] = {}
-
-
 def classify(texts: list[str | None], profiles: Profiles, ready) -> tuple[list[str], list[float]]:
     table, lists = ready
     names, scores = [], []
@@ -182,7 +179,7 @@ def predict(docs: DataFrame, profiles: Profiles, text_col: str = "text", id_col:
     """Per row: the kept columns (the id unless given), lang_pred and score."""
     keep = keep if keep is not None else [id_col]
     model = docs.sparkSession.sparkContext.broadcast(profiles)
-    schema = ", ".join(f"`{f.name}` {f.dataType.simpleString()}" for f in docs.select(*keep).schema)
+    schema = T.StructType([*docs.select(*keep).schema.fields, T.StructField("lang_pred", T.StringType()), T.StructField("score", T.DoubleType())])
 
     def run(batches):
         ready = None
@@ -192,7 +189,7 @@ def predict(docs: DataFrame, profiles: Profiles, text_col: str = "text", id_col:
             names, scores = classify(batch.column(batch.num_columns - 1).to_pylist(), model.value, ready)
             yield pa.RecordBatch.from_arrays([*batch.columns[:-1], pa.array(names, pa.string()), pa.array(scores, pa.float64())], [*keep, "lang_pred", "score"])
 
-    return docs.select(*keep, F.col(text_col).cast("string").alias("__text")).mapInArrow(run, f"{schema}, lang_pred string, score double")
+    return docs.select(*keep, F.col(text_col).cast("string").alias("__text")).mapInArrow(run, schema)
 
 
 def held_out(id_col: str = "doc_id") -> Column:
