@@ -21,3 +21,10 @@ def written(df: DataFrame, name: str) -> DataFrame:
     where = context._jvm.org.apache.hadoop.fs.Path(path)
     where.getFileSystem(context._jsc.hadoopConfiguration()).deleteOnExit(where)
     return spark.read.schema(df.schema).parquet(path)
+
+
+def shared_path(spark, name: str) -> str:
+    """A new path in the shared folder, for a stream's own checkpoints."""
+    context = spark.sparkContext
+    folder = spark.conf.get("spark.checkpoint.dir", None) or context.getConf().get("spark.checkpoint.dir") or context.getCheckpointDir() or tempfile.mkdtemp(prefix="localcoef-")
+    return f"{folder.rstrip('/')}/localcoef-{name}-{uuid4().hex}"

@@ -344,9 +344,9 @@ def _wc(s: SparkSession, d: str) -> DataFrame:
     return r6(baselines.wedge_center(g, b, b.select("bucket").distinct().withColumn("s", F.lit(200)), SEED))
 
 
-@query("wh_wedge_headed", O.with_buckets("cpy", "type") + RANKS + _wish("head", 200) + f""", pk AS (SELECT bucket, ix, id, least(floor({O.hashed(SEED, "hop", "bucket", "ix")} * wh)::BIGINT, wh - 1) AS at FROM drawn JOIN head USING (id) WHERE wh > 0),
+@query("wh_wedge_headed", O.with_buckets("cpy", "type") + RANKS + _wish("head", 200) + f""", pk AS (SELECT bucket, ix, id, least(floor({O.hashed(SEED, "hop", "bucket", "ix")} * wh)::BIGINT, wh - 1) AS place FROM drawn JOIN head USING (id) WHERE wh > 0),
   st AS (SELECT src, dst, d - 1 AS more, sum(d - 1) OVER (PARTITION BY src ORDER BY dst % 64, dst) AS high FROM adj JOIN deg ON deg.id = dst),
-  hop AS (SELECT bucket, ix, pk.id, st.dst AS mid, more FROM pk JOIN st ON st.src = pk.id AND at < high AND at >= high - more),
+  hop AS (SELECT bucket, ix, pk.id, st.dst AS mid, more FROM pk JOIN st ON st.src = pk.id AND place < high AND place >= high - more),
   ot AS (SELECT hop.*, o.r AS own, least(floor({O.hashed(SEED, "other", "bucket", "ix")} * more)::BIGINT, more - 1) AS r FROM hop JOIN ranked o ON o.src = mid AND o.dst = hop.id),
   en AS (SELECT bucket, ix, ot.id AS x, y.dst AS y FROM ot JOIN ranked y ON y.src = mid AND y.r = ot.r + (ot.r >= own)::INT),
   hit AS (SELECT bucket, count(*) AS n FROM en JOIN edges ON u = least(x, y) AND v = greatest(x, y) GROUP BY bucket)
