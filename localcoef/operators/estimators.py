@@ -53,7 +53,7 @@ def estimate_node_triangles(g: Graph, bag: DataFrame, s: int, m: int, q: float)
 def bucket_weights(buckets: DataFrame, w: DataFrame) -> DataFrame:
     """(node, bucket, scale): one over the bucket's size and the node's wedges; nodes without wedges have no row."""
     sizes = bucket_sizes(buckets)
-    return buckets.select("id", "bucket").join(w.where("w > 0"), "id").join(F.broadcast(sizes), "bucket").select(F.col("id").alias("node"), "bucket", (1 / (F.col("w") * F.col("size"))).alias("scale"))
+    return buckets.select("id", "bucket").join(w.where("w > 0"), "id").join(sizes, "bucket").select(F.col("id").alias("node"), "bucket", (1 / (F.col("w") * F.col("size"))).alias("scale"))
 
 
 def edge_values(shares: DataFrame, scales: DataFrame, m: int) -> DataFrame:

@@ -88,7 +88,7 @@ def draw_nodes(buckets: DataFrame, draws: DataFrame, seed: int, stream: str = "n
     parts = ranked.groupBy("bucket", "part").agg(F.count("*").alias("n"))
     ahead = F.sum("n").over(Window.partitionBy("bucket").orderBy("part").rowsBetween(Window.unboundedPreceding, -1))
     parts = parts.select("bucket", "part", F.coalesce(ahead, F.lit(0)).alias("before"), F.sum("n").over(Window.partitionBy("bucket")).alias("size"))
-    place = ranked.withColumn("r", F.row_number().over(Window.partitionBy("bucket", "part").orderBy("id"))).join(F.broadcast(parts), ["bucket", "part"])
+    place = ranked.withColumn("r", F.row_number().over(Window.partitionBy("bucket", "part").orderBy("id"))).join(parts, ["bucket", "part"])
     place = place.select("bucket", "id", (F.col("before") + F.col("r") - 1).alias("rank"))
     sizes = parts.select("bucket", "size").distinct()
     wish = draws.join(sizes, "bucket").select("bucket", "size", F.explode(F.sequence(F.lit(0).cast("long"), F.col("s").cast("long") - 1)).alias("ix"))
