@@ -19,7 +19,7 @@ from localcoef.llm.language import UNDETERMINED, fit, predict
 from localcoef.llm.lines import without_repeated_lines
 from localcoef.llm.neardup import near_duplicates
 from localcoef.llm.queries import BYTE_BPE, table, vocabulary
-from localcoef.llm.store import written
+from localcoef.llm.store import kept, small_batches, written
 from localcoef.ship import ship
 
 #: A document whose best language is this far from its profile's order is rejected; clean prose scores 0.4 and more.
@@ -29,13 +29,14 @@ BROADCAST_IDS = 1_000_000
 
 
 def _packed(docs: DataFrame) -> DataFrame:
-    """All columns in one, so that no name of theirs can clash, and the text beside it."""
-    return docs.select(F.struct(*[docs[c] for c in docs.columns]).alias("__row"), docs["text"].alias("__body"))
+    """All columns in one, so that no name of theirs can clash."""
+    return docs.select(F.struct(*[docs[c] for c in docs.columns]).alias("__row"))
 
 
 def language(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
     """Keeps the documents whose language can be told."""
-    found = predict(_packed(docs), fit(docs, F.lit(True)), "__body", keep=["__row"])
+    small_batches(spark)
+    found = predict(_packed(docs), fit(docs, F.lit(True)), "__row.text", keep=["__row"])
     return found.where((F.col("lang_pred") != UNDETERMINED) & (F.col("score") >= LEAST_SCORE)).select("__row.*")
 
 
@@ -46,14 +47,14 @@ def lines(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
 
 def near(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
     """Keeps the document with the least id of each group of near duplicates."""
-    gone = written(near_duplicates(docs).where("not kept").select(F.col("doc_id").alias("__gone")).distinct(), "gone")
+    gone = kept(near_duplicates(docs).where("not kept").select(F.col("doc_id").alias("__gone")).distinct())
     few = gone.count() <= BROADCAST_IDS
     return docs.join(F.broadcast(gone) if few else gone, docs["doc_id"] == gone["__gone"], "left_anti")
 
 
 def benchmark(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
     """Drops the documents that hold a benchmark item."""
-    found = contamination(_packed(docs), table(spark, sf_dir, "benchmark"), text_col="__body", keep=["__row"])
+    found = contamination(_packed(docs), table(spark, sf_dir, "benchmark"), text_col="__row.text", keep=["__row"])
     return found.where("item_id is null").select("__row.*")
 
 

@@ -24,11 +24,11 @@ import regex
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from localcoef.llm.textcore import blocks
+from localcoef.llm.textcore import text_blocks
 
 #: Fixed pattern of the public byte-level tokenizer.
 PIECE = r"'s|'t|'re|'ve|'m|'ll|'d| ?\p{L}+| ?\p{N}+| ?[^\s\p{L}\p{N}]+|\s+(?!\S)|\s+"
-CACHE_PIECES = 250_000
+CACHE_PIECES = 80_000
 
 
 def byte_symbols() -> list[str]:
@@ -178,9 +178,9 @@ def encode_documents(docs: DataFrame, path: str, id_col: str = "doc_id", text_co
     def run(batches):
         tool = codec(config.value)
         for batch in batches:
-            keys, texts = batch.column(0), batch.column(1).to_pylist()
-            for low, high in blocks(texts, 6 << 20):
-                split = [tool.pieces(t) if t else [] for t in texts[low:high]]
+            keys = batch.column(0)
+            for low, high, texts in text_blocks(batch.column(1), 1 << 20):
+                split = [tool.pieces(t) if t else [] for t in texts]
                 tool.learn(split)
                 cache = tool.cache
                 count, digest, back, all_ids, decoded = [], [], [], [], []

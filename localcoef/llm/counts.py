@@ -18,11 +18,11 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from localcoef.llm.textcore import blocks
+from localcoef.llm.textcore import text_blocks
 
 MARK = "▁"
 UNKNOWN_PENALTY = 10.0
-CACHE_WORDS = 300_000
+CACHE_WORDS = 150_000
 
 
 def read_pieces(path: str) -> list[tuple[str, float]]:
@@ -103,11 +103,10 @@ def count_tokens(docs: DataFrame, path: str, id_col: str = "doc_id", text_col: s
         tool = None
         for batch in batches:
             tool = tool or _counter(pieces)
-            keys, texts = batch.column(0), batch.column(1).to_pylist()
             got: list[int] = []
-            for low, high in blocks(texts, 4 << 20):
-                got += tool.counts(texts[low:high])
-            yield pa.RecordBatch.from_arrays([keys, pa.array(got, pa.int64())], [id_col, "n_tokens"])
+            for _, _, texts in text_blocks(batch.column(1), 1 << 20):
+                got += tool.counts(texts)
+            yield pa.RecordBatch.from_arrays([batch.column(0), pa.array(got, pa.int64())], [id_col, "n_tokens"])
 
     return docs.select(F.col(id_col), F.col(text_col).cast("string")).mapInArrow(run, f"`{id_col}` {kind}, n_tokens long")
 

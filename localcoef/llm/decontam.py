@@ -20,7 +20,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from localcoef.llm.textcore import WordBlock, blocks, window_hashes
+from localcoef.llm.textcore import WordBlock, text_blocks, window_hashes
 
 #: Characters of benchmark text that are broadcast at once; a larger benchmark is taken in several blocks.
 BLOCK_CHARS = 32_000_000
@@ -160,26 +160,27 @@ def contamination(docs: DataFrame, items: DataFrame, rule: Tiling = Tiling(), id
     chosen = items.select(F.col(item_col).cast("long").alias("item"), F.col(item_text).cast("string").alias("text")).where("item is not null and text is not null")
     chars = chosen.agg(F.coalesce(F.sum(F.char_length("text")), F.lit(0)).alias("n")).first()["n"]
     n_blocks = max(1, -(-chars // block_chars))
-    state = docs.select(*keep, F.col(text_col).cast("string").alias("__text"), F.lit(None).cast("long").alias("item_id"), F.lit(None).cast("double").alias("coverage"), F.lit(None).cast("long").alias("longest_tile"))
+    packed = text_col.split(".", 1)[1] if "." in text_col else None  # in a kept struct, so not sent twice
+    state = docs.select(*keep, *([] if packed else [F.col(text_col).cast("string").alias("__text")]), F.lit(None).cast("long").alias("item_id"), F.lit(None).cast("double").alias("coverage"), F.lit(None).cast("long").alias("longest_tile"))
     schema = state.schema
     for k in range(n_blocks):
         rows = chosen.where(F.pmod(F.xxhash64("item"), F.lit(n_blocks)) == k).orderBy("item").collect()
-        state = state.mapInArrow(_matcher(spark.sparkContext.broadcast(([r["item"] for r in rows], [r["text"] for r in rows], rule)), len(keep)), schema)
+        state = state.mapInArrow(_matcher(spark.sparkContext.broadcast(([r["item"] for r in rows], [r["text"] for r in rows], rule)), packed, len(keep)), schema)
     return state.drop("__text")
 
 
-def _matcher(shared, n_keep: int):
+def _matcher(shared, packed: str | None, n_keep: int):
     def run(batches):
         items = None
         for batch in batches:
             items = items or Items(*shared.value)
-            texts = batch.column(n_keep).to_pylist()
-            old = list(zip(*[batch.column(n_keep + i).to_pylist() for i in (1, 2, 3)], strict=True))
-            for low, high in blocks(texts):
-                for i, got in enumerate(items.match(texts[low:high]), low):
+            same = n_keep + (packed is None)
+            old = list(zip(*[batch.column(same + i).to_pylist() for i in range(3)], strict=True))
+            for low, _, texts in text_blocks(batch.column(0).field(packed) if packed else batch.column(n_keep)):
+                for i, got in enumerate(items.match(texts), low):
                     if got and (old[i][0] is None or (-got[0], items.ids[got[1]]) < (-old[i][1], old[i][0])):
                         old[i] = (items.ids[got[1]], got[0], got[2])
             new = [pa.array([o[j] for o in old], kind) for j, kind in enumerate((pa.int64(), pa.float64(), pa.int64()))]
-            yield pa.RecordBatch.from_arrays([*batch.columns[: n_keep + 1], *new], batch.schema.names)
+            yield pa.RecordBatch.from_arrays([*batch.columns[:same], *new], batch.schema.names)
 
     return run

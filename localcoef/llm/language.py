@@ -21,6 +21,8 @@ from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 from pyspark.sql import types as T
 
+from localcoef.llm.textcore import text_blocks
+
 UNDETERMINED = "und"
 PROFILE_GRAMS = 400
 #: The fit reads about this many documents of each language, chosen by a hash of their id.
@@ -177,7 +179,10 @@ def classify(texts: list[str | None], profiles: Profiles, ready) -> tuple[list[s
 
 def predict(docs: DataFrame, profiles: Profiles, text_col: str = "text", id_col: str = "doc_id", keep: list[str] | None = None) -> DataFrame:
     """Per row: the kept columns (the id unless given), lang_pred and score."""
-    keep = keep if keep is not None else [id_col]
+    keep, text = keep if keep is not None else [id_col], [F.col(text_col).cast("string").alias("__text")]
+    inside = None
+    if "." in text_col:  # the text is in a kept struct and need not be sent twice
+        text, inside = [], text_col.split(".", 1)[1]
     model = docs.sparkSession.sparkContext.broadcast(profiles)
     schema = T.StructType([*docs.select(*keep).schema.fields, T.StructField("lang_pred", T.StringType()), T.StructField("score", T.DoubleType())])
 
@@ -186,10 +191,14 @@ def predict(docs: DataFrame, profiles: Profiles, text_col: str = "text", id_col:
         for batch in batches:
             if ready is None:
                 ready = model.value.prepared()
-            names, scores = classify(batch.column(batch.num_columns - 1).to_pylist(), model.value, ready)
-            yield pa.RecordBatch.from_arrays([*batch.columns[:-1], pa.array(names, pa.string()), pa.array(scores, pa.float64())], [*keep, "lang_pred", "score"])
-
-    return docs.select(*keep, F.col(text_col).cast("string").alias("__text")).mapInArrow(run, schema)
+            names, scores = [], []
+            last = batch.column(batch.num_columns - 1)
+            for _, _, texts in text_blocks(last.field(inside) if inside else last):
+                for out, got in zip((names, scores), classify(texts, model.value, ready), strict=True):
+                    out += got
+            yield pa.RecordBatch.from_arrays([*batch.columns[: len(keep)], pa.array(names, pa.string()), pa.array(scores, pa.float64())], [*keep, "lang_pred", "score"])
+
+    return docs.select(*keep, *text).mapInArrow(run, schema)
 
 
 def held_out(id_col: str = "doc_id") -> Column:

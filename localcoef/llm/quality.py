@@ -18,7 +18,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from localcoef.llm.textcore import WordBlock, blocks, mix
+from localcoef.llm.textcore import WordBlock, mix, text_blocks
 
 _SYMBOL = np.zeros(256, bool)
 _SYMBOL[list(b"#*$%&|<>")] = True
@@ -148,9 +148,9 @@ def score_quality(docs: DataFrame, rules: Rules = Rules(), id_col: str = "doc_id
 
     def run(batches):
         for batch in batches:
-            keys, texts = batch.column(0), batch.column(1).to_pylist()
-            for low, high in blocks(texts):
-                got = measure(texts[low:high], rules)
+            keys = batch.column(0)
+            for low, high, texts in text_blocks(batch.column(1)):
+                got = measure(texts, rules)
                 columns = [pa.array(np.asarray(got[c]), pa.bool_() if t == "boolean" else pa.int64()) for c, t in MEASURES.items()]
                 yield pa.RecordBatch.from_arrays([keys.slice(low, high - low), *columns], [id_col, *MEASURES])
 

@@ -8,6 +8,7 @@ from pyspark.sql import DataFrame, SparkSession
 
 from localcoef.llm.chat import ORACLE as CHAT_SQL
 from localcoef.llm.lines import ORACLE as LINES_SQL
+from localcoef.llm.store import small_batches
 from localcoef.ship import ship
 
 BYTE_BPE, PIECE_BPE = "byte_bpe_50k.json", "piece_bpe_32k.model"
@@ -21,6 +22,7 @@ def vocabulary(name: str) -> str:
 
 def table(spark: SparkSession, sf_dir: str, name: str) -> DataFrame:
     ship(spark)
+    small_batches(spark)
     return spark.read.parquet(f"{sf_dir}/{name}.parquet")
 
 

@@ -5,6 +5,7 @@ from __future__ import annotations
 import tempfile
 from uuid import uuid4
 
+from pyspark import StorageLevel
 from pyspark.sql import DataFrame, SparkSession
 
 
@@ -19,6 +20,13 @@ def shared_folder(spark: SparkSession) -> str:
     return named
 
 
+def small_batches(spark: SparkSession) -> None:
+    """Arrow batches of 8 MB, so that whole texts of any length take little memory twice; a setting of the user's stays."""
+    name, usual = "spark.sql.execution.arrow.maxBytesPerBatch", ("67108864b", "64m", "67108864")
+    if spark.conf.get(name, usual[0]).lower() in usual:
+        spark.conf.set(name, "8m")
+
+
 def written(df: DataFrame, name: str) -> DataFrame:
     """The same rows, read back from Parquet files in the shared folder; they go when the application ends."""
     spark = df.sparkSession
@@ -30,6 +38,11 @@ def written(df: DataFrame, name: str) -> DataFrame:
     return spark.read.schema(df.schema).parquet(path)
 
 
+def kept(df: DataFrame) -> DataFrame:
+    """The same rows, worked out once and kept on the executors' disks; what a lost executor held is worked out again."""
+    return df.persist(StorageLevel.DISK_ONLY)
+
+
 def discard(spark: SparkSession, df: DataFrame) -> None:
     """Removes the files of a written table that is no longer read."""
     jvm = spark.sparkContext._jvm

@@ -6,11 +6,13 @@ pattern ``[^\\x20\\x09-\\x0D]+``. A null text has no words.
 
 from __future__ import annotations
 
-from collections.abc import Iterable, Iterator
+from collections.abc import Iterator
 
 import numpy as np
+import pyarrow as pa
+import pyarrow.compute as pc
 
-BLOCK_BYTES = 1 << 20
+BLOCK_BYTES = 1 << 18
 _U = np.uint64
 _BLANK = np.zeros(256, bool)
 _BLANK[[32, 9, 10, 11, 12, 13]] = True
@@ -103,14 +105,14 @@ def blocks(texts: list[str | None], limit: int = BLOCK_BYTES) -> Iterator[tuple[
         yield low, len(texts)
 
 
-def union_length(start: np.ndarray, length: np.ndarray, n: int) -> np.ndarray:
-    """Mask of the positions below ``n`` covered by the spans ``[start, start + length)``."""
-    step = np.zeros(n + 1, np.int64)
-    np.add.at(step, start, 1)
-    np.add.at(step, np.minimum(start + length, n), -1)
-    return np.cumsum(step[:n]) > 0
-
-
-def take(batch: Iterable, *names: str) -> list[list]:
-    """Columns of an Arrow batch as Python lists."""
-    return [batch.column(batch.schema.get_field_index(n)).to_pylist() for n in names]
+def text_blocks(column: pa.Array, limit: int = BLOCK_BYTES) -> Iterator[tuple[int, int, list[str | None]]]:
+    """(from, to, texts) of consecutive slices of a text column, so that only a slice at a time is Python strings."""
+    sizes = pc.fill_null(pc.binary_length(column), 0).to_numpy(zero_copy_only=False)
+    low, size = 0, 0
+    for i, n in enumerate(sizes.tolist()):
+        if size and size + n > limit:
+            yield low, i, column.slice(low, i - low).to_pylist()
+            low, size = i, 0
+        size += n + 1
+    if low < len(sizes):
+        yield low, len(sizes), column.slice(low, len(sizes) - low).to_pylist()
