@@ -19,14 +19,13 @@ from __future__ import annotations
 from dataclasses import dataclass
 
 import numpy as np
-import pandas as pd
 import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from localcoef.llm.components import components
-from localcoef.llm.store import written
-from localcoef.llm.textcore import WordBlock, blocks, mix, window_hashes
+from localcoef.llm.store import kept
+from localcoef.llm.textcore import WordBlock, mix, text_blocks, window_hashes
 
 
 @dataclass(frozen=True)
@@ -82,9 +81,9 @@ def sketch(docs: DataFrame, rule: Forest, id_col: str, text_col: str) -> DataFra
 
     def run(batches):
         for batch in batches:
-            keys, texts = batch.column(0), batch.column(1).to_pylist()
-            for low, high in blocks(texts):
-                sets = shingle_sets(texts[low:high], rule.shingle)
+            keys = batch.column(0)
+            for low, high, texts in text_blocks(batch.column(1)):
+                sets = shingle_sets(texts, rule.shingle)
                 marks = signatures(sets, rule.trees * rule.depth)
                 a = [int(s.sum(dtype=np.uint64)) - (1 << 63) if len(s) else None for s in sets]
                 b = [int(mix(s ^ np.uint64(0x5851F42D4C957F2D)).sum(dtype=np.uint64)) - (1 << 63) if len(s) else None for s in sets]
@@ -149,7 +148,7 @@ def candidates(classes: DataFrame, rule: Forest) -> DataFrame:
     rows = classes.select(trees.alias("key"), F.col("rep"))
     n = max(int(spark.conf.get("spark.sql.shuffle.partitions")), 1)
     ordered = rows.repartitionByRange(n, "key", "rep").sortWithinPartitions("key", "rep")
-    found = written(ordered.mapInArrow(_neighbours(rule), "key binary, u long, v long"), "neighbours")
+    found = kept(ordered.mapInArrow(_neighbours(rule), "key binary, u long, v long"))
     # the outermost rows of the parts, a few for each, meet across the borders
     borders = found.where("key is not null").select("key", F.col("u").alias("rep")).distinct().repartition(1).sortWithinPartitions("key", "rep")
     across = borders.mapInArrow(_neighbours(rule), "key binary, u long, v long").where("key is null")
@@ -161,50 +160,56 @@ def candidates(classes: DataFrame, rule: Forest) -> DataFrame:
 BROADCAST_IDS = 1_000_000
 
 
-def full_sets(docs: DataFrame, pairs: DataFrame, rule: Forest, id_col: str, text_col: str) -> DataFrame:
-    """The sets, as bytes, of all classes in the pairs."""
-    ids = written(pairs.select(F.explode(F.array("u", "v")).alias("rep")).distinct(), "ids")
+def full_sets(docs: DataFrame, ids: DataFrame, rule: Forest, id_col: str, text_col: str) -> DataFrame:
+    """(rep, items): the sets, as bytes, of the classes in ``ids``."""
+    ids = kept(ids)
     few = ids.count() <= BROADCAST_IDS
     texts = docs.select(F.col(id_col).cast("long").alias("rep"), F.col(text_col).cast("string").alias("text"))
     texts = texts.join(F.broadcast(ids) if few else ids, "rep", "left_semi")
 
     def run(batches):
         for batch in batches:
-            keys, texts = batch.column(0), batch.column(1).to_pylist()
-            for low, high in blocks(texts):
-                sets = shingle_sets(texts[low:high], rule.shingle)
+            keys = batch.column(0)
+            for low, high, texts in text_blocks(batch.column(1)):
+                sets = shingle_sets(texts, rule.shingle)
                 yield pa.RecordBatch.from_arrays([keys.slice(low, high - low), pa.array([s.tobytes() for s in sets], pa.binary())], ["rep", "items"])
 
     return texts.mapInArrow(run, "rep long, items binary").dropDuplicates(["rep"])
 
 
+def similar(x: np.ndarray, y: np.ndarray, percent: int) -> bool:
+    """Whether two sorted sets overlap enough."""
+    n, m = len(x), len(y)
+    if 100 * min(n, m) < percent * max(n, m):
+        return False
+    both = np.concatenate([x, y])
+    both.sort(kind="stable")
+    common = int(np.count_nonzero(both[1:] == both[:-1]))
+    return 100 * common >= percent * (n + m - common)
+
+
 def confirmed(docs: DataFrame, pairs: DataFrame, rule: Forest, id_col: str, text_col: str) -> DataFrame:
     """The pairs (u, v) whose full sets are similar enough."""
-    pairs = written(pairs, "pairs")
-    sets = written(full_sets(docs, pairs, rule, id_col, text_col), "sets")
+    pairs = kept(pairs)
+    sets = kept(full_sets(docs, pairs.select(F.explode(F.array("u", "v")).alias("rep")).distinct(), rule, id_col, text_col))
 
     def run(batches):
         for batch in batches:
             keep = []
-            for a, b in zip(batch.column(2).to_pylist(), batch.column(3).to_pylist(), strict=True):
-                x, y = np.frombuffer(a, np.uint64), np.frombuffer(b, np.uint64)
-                n, m = len(x), len(y)
-                common = 0
-                if 100 * min(n, m) >= rule.percent * max(n, m):
-                    common = len(np.intersect1d(x, y, assume_unique=True))
-                keep.append(100 * common >= rule.percent * (n + m - common))
+            for a, b in zip(batch.column(2), batch.column(3), strict=True):
+                keep.append(similar(np.frombuffer(a.as_buffer(), np.uint64), np.frombuffer(b.as_buffer(), np.uint64), rule.percent))
             yield pa.RecordBatch.from_arrays(batch.columns[:2], ["u", "v"]).filter(pa.array(keep, pa.bool_()))
 
     left, right = sets.select(F.col("rep").alias("u"), F.col("items").alias("a")), sets.select(F.col("rep").alias("v"), F.col("items").alias("b"))
     return pairs.join(left, "u").join(right, "v").select("u", "v", "a", "b").mapInArrow(run, "u long, v long")
 
 
-def crowded(classes: DataFrame, found: DataFrame, rule: Forest) -> DataFrame:
-    """Pairs across components that crowded regions may hold, by comparing signatures in blocks.
+def crowded(docs: DataFrame, classes: DataFrame, found: DataFrame, rule: Forest, id_col: str, text_col: str) -> DataFrame:
+    """Links across components in crowded regions, by comparing signatures and then full sets in blocks.
 
     Regions with more classes than neighbours cover and with several components are cut into blocks; each class
-    outside the region's largest component meets each block once, and a pair is only formed in the first tree in
-    which its prefixes are equal, if enough minima agree.
+    outside the region's largest component meets each block once, in the first tree in which its prefix equals the
+    other's. Likely pairs come first, and a pair whose components a block has already linked is not compared.
     """
     width, prefix = 4 * rule.depth, 4 * rule.least
     whole = 4 * rule.trees * rule.depth
@@ -215,43 +220,57 @@ def crowded(classes: DataFrame, found: DataFrame, rule: Forest) -> DataFrame:
     regions = parts.groupBy("tree", "region").agg(F.sum("n").alias("n"), F.count("*").alias("parts"), F.max(F.struct("n", "component")).alias("top"))
     regions = regions.where((F.col("n") > rule.reach + 1) & (F.col("parts") > 1))
     cut = lambda n: F.ceil(n / rule.block).cast("int")
-    regions = written(regions.select("tree", "region", F.hash("tree", "region").alias("x"), F.col("top.component").alias("main"), cut(F.col("n")).alias("blocks"), cut(F.col("n") - F.col("top.n")).alias("queries")), "regions")
+    regions = kept(regions.select("tree", "region", F.hash("tree", "region").alias("x"), F.col("top.component").alias("main"), cut(F.col("n")).alias("blocks"), cut(F.col("n") - F.col("top.n")).alias("queries")))
     inside = member.withColumn("x", F.hash("tree", "region")).join(regions, ["tree", "region", "x"])
     # the classes outside the main component, in blocks of queries, meet every class of the region, in blocks
     of = lambda n: F.pmod(F.xxhash64("rep"), F.col(n)).cast("int")
     every = lambda n: F.explode(F.sequence(F.lit(0), F.col(n) - 1))
     stays = inside.select("tree", "region", of("blocks").alias("block"), every("queries").alias("query"), F.lit(False).alias("ask"), "rep", "component")
     asks = inside.where("component <> main").select("tree", "region", every("blocks").alias("block"), of("queries").alias("query"), F.lit(True).alias("ask"), "rep", "component")
-    rows = stays.unionByName(asks).join(classes.select("rep", "marks"), "rep")
+    sets = full_sets(docs, inside.select("rep").distinct(), rule, id_col, text_col)
+    rows = stays.unionByName(asks).join(classes.select("rep", "marks").join(sets, "rep"), "rep")
 
     def run(frame):
+        import pandas as pd
+
         marks = np.frombuffer(b"".join(frame["marks"].map(bytes)), np.uint8).reshape(-1, whole).view(">u4").astype(np.uint32)
         rep, part, ask, tree = (frame[c].to_numpy() for c in ("rep", "component", "ask", "tree"))
         rows_in, rows_ask = np.flatnonzero(~ask), np.flatnonzero(ask)
         cube = marks[rows_in].reshape(-1, rule.trees, rule.depth)
+        items = [np.frombuffer(x, np.uint64) for x in frame["items"]]
+        root: dict[int, int] = {}
+
+        def find(c):
+            while c in root:
+                c = root[c]
+            return c
+
         us, vs = [], []
         for i in rows_ask.tolist():
-            alike = (marks[rows_in] == marks[i]).mean(1) >= rule.estimate
-            alike &= part[rows_in] != part[i]
-            alike = np.flatnonzero(alike)
+            share = (marks[rows_in] == marks[i]).mean(1)
+            alike = np.flatnonzero((share >= rule.estimate) & (part[rows_in] != part[i]))
             if len(alike):
                 shared = (cube[alike][:, :, : rule.least] == marks[i].reshape(rule.trees, rule.depth)[None, :, : rule.least]).all(2)
                 alike = alike[shared.argmax(1) == tree[i]]
-            us.append(np.full(len(alike), rep[i]))
-            vs.append(rep[rows_in[alike]])
-        return pd.DataFrame({"u": np.concatenate(us) if us else np.zeros(0, np.int64), "v": np.concatenate(vs) if vs else np.zeros(0, np.int64)})
+            for k in rows_in[alike[np.argsort(-share[alike], kind="stable")]].tolist():
+                a, b = find(part[i]), find(part[k])
+                if a != b and similar(items[i], items[k], rule.percent):
+                    root[a] = b
+                    us.append(rep[i])
+                    vs.append(rep[k])
+        return pd.DataFrame({"u": np.array(us, np.int64), "v": np.array(vs, np.int64)})
 
-    pairs = rows.groupBy("tree", "region", "block", "query").applyInPandas(run, "u long, v long")
-    return pairs.select(F.least("u", "v").alias("u"), F.greatest("u", "v").alias("v")).distinct()
+    links = rows.groupBy("tree", "region", "block", "query").applyInPandas(run, "u long, v long")
+    return links.select(F.least("u", "v").alias("u"), F.greatest("u", "v").alias("v")).distinct()
 
 
 def near_duplicates(docs: DataFrame, rule: Forest = Forest(), id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
     """Per row: the id, n_shingles, component_id (the least id that links reach) and kept (whether that is its own)."""
-    rows = written(sketch(docs, rule, id_col, text_col), "sketches")
-    classes = written(rows.where("fa is not null and id is not null").groupBy("fa", "fb").agg(F.min("id").alias("rep"), F.min("marks").alias("marks")), "classes")
-    links = written(confirmed(docs, candidates(classes, rule), rule, id_col, text_col), "near")
+    rows = kept(sketch(docs, rule, id_col, text_col))
+    classes = kept(rows.where("fa is not null and id is not null").groupBy("fa", "fb").agg(F.min("id").alias("rep"), F.min("marks").alias("marks")))
+    links = kept(confirmed(docs, candidates(classes, rule), rule, id_col, text_col))
     found = components(links)
-    more = confirmed(docs, crowded(classes, found, rule), rule, id_col, text_col)
+    more = crowded(docs, classes, found, rule, id_col, text_col)
     found = components(links.unionByName(more))
     labels = classes.select("fa", "fb", "rep").join(found.withColumnRenamed("id", "rep"), "rep", "left").select("fa", "fb", F.coalesce("component", "rep").alias("group"))
     joined = rows.select("id", "n_shingles", "fa", "fb").join(labels, ["fa", "fb"], "left")
