@@ -6,7 +6,8 @@ and equal runs have equal anchors. The runs that follow one another with the sam
 anchors that occur once go at once; equal segments are counted once with their number; the segments that are left are
 dealt to shards by anchor. Each shard builds the suffix automaton of its segments and streams them through it; a run
 that ends at places of total weight two or more is repeated. The rare anchor with very many different segments is not
-gathered in one shard: its runs are counted by hash, which is partial before the shuffle.
+gathered in one shard: its segments are split by a longer anchor, what occurs once goes, and the runs that are left
+are counted by hash, which is partial before the shuffle.
 
 ``remove_reference_spans`` is the plain form for a reference of its own: automata of bounded shards are broadcast and
 every document is streamed through them.
@@ -19,7 +20,7 @@ id; an empty table gives an empty table. Only the named columns are read.
 from __future__ import annotations
 
 import hashlib
-from dataclasses import dataclass
+from dataclasses import dataclass, replace
 
 import numpy as np
 import pyarrow as pa
@@ -28,7 +29,7 @@ from pyspark.sql import functions as F
 
 from localcoef.llm.automaton import SuffixAutomaton
 from localcoef.llm.store import written
-from localcoef.llm.textcore import WordBlock, blocks, mix, window_hashes
+from localcoef.llm.textcore import WordBlock, mix, text_blocks, window_hashes
 
 
 @dataclass(frozen=True)
@@ -38,7 +39,9 @@ class Runs:
     #: Words of a shard's automaton, about.
     shard_words: int = 20_000
     #: Different segments of one anchor that a shard takes; beyond, its runs are counted by hash.
-    segments: int = 400
+    segments: int = 1000
+    #: Words of the longer anchor that then tells runs apart before they are counted.
+    long_anchor: int = 20
     #: Rows up to this number are picked by a broadcast of their ids; more are shuffled.
     broadcast_rows: int = 1_000_000
 
@@ -95,9 +98,9 @@ def segments(rows: DataFrame, rule: Runs) -> DataFrame:
 
     def run(batches):
         for batch in batches:
-            ids, keys, texts = batch.column(0), batch.column(1), batch.column(2).to_pylist()
-            for low, high in blocks(texts):
-                block = WordBlock(texts[low:high])
+            ids, keys = batch.column(0), batch.column(1)
+            for low, _, texts in text_blocks(batch.column(2)):
+                block = WordBlock(texts)
                 words = block.hashes()
                 first, count, value = anchors(words, block.room(), rule)
                 doc = np.searchsorted(block.first, first, "right") - 1
@@ -116,20 +119,20 @@ def _read_segments(rule: Runs):
 
     def run(batches):
         for batch in batches:
-            texts, wanted = batch.column(0).to_pylist(), batch.column(1).to_pylist()
-            out: list[list] = [[], [], [], [], []]
-            for low, high in blocks(texts):
-                block = WordBlock(texts[low:high])
+            wanted = batch.column(1)
+            for low, high, texts in text_blocks(batch.column(0)):
+                out: list[list] = [[], [], [], [], []]
+                block = WordBlock(texts)
                 words = block.hashes()
                 for i in range(low, high):
                     base = int(block.first[i - low])
-                    for w in wanted[i]:
+                    for w in wanted[i].as_py():
                         start, runs = base + w["spot"] // 64, w["spot"] % 64
                         span = words[start : start + runs + rule.width - 1]
                         for column, v in zip(out, (w["anchor"], w["seg"], w["n"], w["many"], span.tobytes()), strict=True):
                             column.append(v)
-            kinds = (pa.int64(), pa.int64(), pa.int64(), pa.bool_(), pa.binary())
-            yield pa.RecordBatch.from_arrays([pa.array(c, k) for c, k in zip(out, kinds, strict=True)], ["anchor", "seg", "n", "many", "words"])
+                kinds = (pa.int64(), pa.int64(), pa.int64(), pa.bool_(), pa.binary())
+                yield pa.RecordBatch.from_arrays([pa.array(c, k) for c, k in zip(out, kinds, strict=True)], ["anchor", "seg", "n", "many", "words"])
 
     return run
 
@@ -161,13 +164,32 @@ def _judge(rule: Runs):
     return run
 
 
+def _longer_anchors(rule: Runs):
+    """Segments split by their longer anchors: the part's own anchor, where it begins in the segment, and its words."""
+    longer = replace(rule, anchor=rule.long_anchor)
+
+    def run(batches):
+        for batch in batches:
+            columns: list[list] = [[], [], [], [], [], []]
+            for anchor, seg, n, words in zip(*[c.to_pylist() for c in batch.columns], strict=True):
+                span = np.frombuffer(words, np.uint64)
+                first, count, value = anchors(span, len(span) - np.arange(len(span)), longer)
+                for f, c, v in zip(first.tolist(), count.tolist(), _signed(value).tolist(), strict=True):
+                    for column, x in zip(columns, (v, anchor, seg, n, f, span[f : f + c + rule.width - 1].tobytes()), strict=True):
+                        column.append(x)
+            kinds = (*[pa.int64()] * 5, pa.binary())
+            yield pa.RecordBatch.from_arrays([pa.array(c, k) for c, k in zip(columns, kinds, strict=True)], ["longer", "anchor", "seg", "n", "first", "words"])
+
+    return run
+
+
 def _each_run(rule: Runs):
     def run(batches):
         for batch in batches:
             columns: list[list] = [[], [], [], [], []]
-            for anchor, seg, n, words in zip(*[c.to_pylist() for c in batch.columns], strict=True):
+            for anchor, seg, n, first, words in zip(*[c.to_pylist() for c in batch.columns], strict=True):
                 hashes = _signed(window_hashes(np.frombuffer(words, np.uint64), rule.width)).tolist()
-                for i, h in enumerate(hashes):
+                for i, h in enumerate(hashes, first):
                     for column, v in zip(columns, (anchor, h, seg, i, n), strict=True):
                         column.append(v)
             yield pa.RecordBatch.from_arrays([pa.array(c, pa.int64()) for c in columns], ["anchor", "run", "seg", "at", "n"])
@@ -200,7 +222,10 @@ def repeated_runs(rows: DataFrame, rule: Runs) -> DataFrame:
     joined, _ = _with_texts(rows, lists, rule, "inner")
     words = written(joined.select("text", "wanted").mapInArrow(_read_segments(rule), "anchor long, seg long, n long, many boolean, words binary"), "words")
     found = words.where("not many").select("anchor", "seg", "n", "words").repartition("anchor").sortWithinPartitions("anchor").mapInArrow(_judge(rule), "anchor long, seg long, bits long")
-    runs = words.where("many").select("anchor", "seg", "n", "words").mapInArrow(_each_run(rule), "anchor long, run long, seg long, at long, n long")
+    parts = words.where("many").select("anchor", "seg", "n", "words").mapInArrow(_longer_anchors(rule), "longer long, anchor long, seg long, n long, first long, words binary")
+    twice = parts.groupBy("longer", "anchor").agg(F.sum("n").alias("total")).where("total > 1").select("longer", "anchor", F.hash("longer", "anchor").alias("x"))
+    parts = parts.withColumn("x", F.hash("longer", "anchor")).join(twice, ["longer", "anchor", "x"])
+    runs = parts.select("anchor", "seg", "n", "first", "words").mapInArrow(_each_run(rule), "anchor long, run long, seg long, at long, n long")
     total = runs.groupBy("anchor", "run").agg(F.sum("n").alias("total")).where("total > 1").select("anchor", "run", F.hash("anchor", "run").alias("x"))
     counted = runs.withColumn("x", F.hash("anchor", "run")).join(total, ["anchor", "run", "x"]).groupBy("anchor", "seg").agg(F.expr("bit_or(shiftleft(1L, int(at)))").alias("bits"))
     # a segment that occurs twice is repeated as a whole, whatever else its anchor meets
@@ -224,10 +249,9 @@ def removed_mask(marks: list | None, n: int, width: int) -> np.ndarray:
 def _cut(rule: Runs, with_text: bool):
     def run(batches):
         for batch in batches:
-            ids, texts = batch.column(0), batch.column(1).to_pylist()
-            marks = batch.column(2).to_pylist()
+            ids = batch.column(0)
             total, gone, digest, left = [], [], [], []
-            for text, mark in zip(texts, marks, strict=True):
+            for text, mark in ((t, batch.column(2)[i].as_py()) for low, _, texts in text_blocks(batch.column(1)) for i, t in enumerate(texts, low)):
                 words = text.encode("utf-8", "surrogatepass").split() if text else []
                 n_removed = 0
                 if mark:
@@ -300,9 +324,9 @@ def _streamer(shared, width: int):
                 for a, b in zip(block.first[:-1].tolist(), block.first[1:].tolist(), strict=True):
                     tool.add(words[a:b])
                 tool.finish()
-            texts, starts = batch.column(1).to_pylist(), batch.column(2).to_pylist()
-            for low, high in blocks(texts):
-                block = WordBlock(texts[low:high])
+            starts = batch.column(2).to_pylist()
+            for low, high, texts in text_blocks(batch.column(1)):
+                block = WordBlock(texts)
                 words = _signed(block.hashes()).tolist()
                 for i in range(low, high):
                     a, b = int(block.first[i - low]), int(block.first[i - low + 1])
