@@ -20,6 +20,7 @@ import re
 from dataclasses import dataclass, field
 from difflib import SequenceMatcher
 
+import numpy as np
 import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
@@ -174,13 +175,18 @@ def merge(a, b):
     return a
 
 
-def fold(nodes: list, longest: int = 12) -> list:
+def fold(nodes: list) -> list:
     """Runs of equal groups become repeated groups; shorter groups first, until nothing changes."""
     changed = True
     while changed:
-        changed = False
-        for width in range(1, longest + 1):
-            keys = [key(n) for n in nodes]
+        changed, width, keys = False, 0, None
+        while 2 * (width + 1) <= len(nodes):
+            width += 1
+            if keys is None:
+                keys = [key(n) for n in nodes]
+                numbers = np.unique(keys, return_inverse=True)[1]
+            if not _repeats(numbers, width):
+                continue
             out, i = [], 0
             while i < len(nodes):
                 n = 1
@@ -196,13 +202,19 @@ def fold(nodes: list, longest: int = 12) -> list:
                 else:
                     out.append(nodes[i])
                     i += 1
-            nodes = out
             # one more instance beside a repeated group joins it
-            nodes, joined = _absorb(nodes)
+            nodes, joined = _absorb(out)
             changed |= joined
+            keys = None
     return nodes
 
 
+def _repeats(numbers: np.ndarray, width: int) -> bool:
+    """Whether some group of so many keys stands twice in a row."""
+    differ = np.flatnonzero(numbers[width:] != numbers[:-width])
+    return bool(np.diff(np.concatenate([[-1], differ, [len(numbers) - width]])).max() > width)
+
+
 def _absorb(nodes: list) -> tuple[list, bool]:
     out, i, joined = [], 0, False
     while i < len(nodes):
@@ -284,12 +296,35 @@ def expression(nodes: list) -> str:
     return " ".join(parts)
 
 
-def container(wrapper: list) -> list[str] | None:
-    """Path of signatures of the element that holds the article, or None."""
+def once(nodes: list) -> set[tuple]:
+    """Paths of signatures that stand exactly once in a folded page."""
+    seen: dict[tuple, int] = {}
+
+    def walk(nodes, path, times):
+        for n in nodes:
+            if n[0] == "o":
+                path = (*path, n[1])
+                seen[path] = seen.get(path, 0) + times
+            elif n[0] == "c":
+                path = path[:-1]
+            elif n[0] != "t":
+                walk(n[1], path, 2 if n[0] == "+" else times)
+
+    walk(nodes, (), 1)
+    return {p for p, n in seen.items() if n == 1}
+
+
+def container(wrapper: list, single: set[tuple] | None = None) -> list[str] | None:
+    """Path of signatures of the element that holds the article, or None.
+
+    Only elements whose path stands once in every page are taken: ``single``, or what stands once in the wrapper.
+    """
+    single = once(wrapper) if single is None else single
     weight: dict[tuple, float] = {}
-    flat = {"any": 0.0, "slot": 0.0}
+    titles: dict[tuple, float] = {}
+    flat = {"any": 0.0, "title": 0.0}
 
-    def walk(nodes, path, skipped, repeated):
+    def walk(nodes, path, skipped):
         for n in nodes:
             if n[0] == "o":
                 name = n[1].partition(".")[0]
@@ -297,36 +332,43 @@ def container(wrapper: list) -> list[str] | None:
                 path = (*path, n[1])
                 if skipped or aside(name, n[1], inside):
                     skipped += 1
-                elif repeated == 0 and name in CONTAINERS:
+                elif path in single and name in CONTAINERS:
                     weight.setdefault(path, 0.0)
             elif n[0] == "c":
                 path = path[:-1]
                 skipped = max(0, skipped - 1)
             elif n[0] == "t":
                 if not skipped:
-                    size = n[2] / max(1, n[3]) if n[1] is None or not flat["slots"] else 0.0
+                    size = n[2] / max(1, n[3]) if n[1] is None or not slots else 0.0
+                    title = size if path and path[-1].partition(".")[0] == "h1" else 0.0
                     flat["any"] += size
+                    flat["title"] += title
                     for k in range(1, len(path) + 1):
                         if path[:k] in weight:
                             weight[path[:k]] += size
+                            titles[path[:k]] = titles.get(path[:k], 0.0) + title
             else:
-                walk(n[1], path, skipped, repeated + (n[0] == "+"))
+                walk(n[1], path, skipped)
 
-    flat["slots"] = _has_slot(wrapper)
-    walk(wrapper, (), 0, 0)
+    slots = _has_slot(wrapper)
+    walk(wrapper, (), 0)
     if not flat["any"]:
         return None
     best = None
     for path, w in weight.items():
         named = path[-1].partition(".")[0] in ("article", "main")
-        if w >= (0.5 if named else 0.75) * flat["any"] and (best is None or len(path) > len(best)):
+        whole = titles.get(path, 0.0) >= flat["title"] - 1e-9  # a title beside the text belongs to it
+        if whole and w >= (0.5 if named else 0.75) * flat["any"] and (best is None or len(path) > len(best)):
             best = path
-    if best is not None:  # an article or main above a nested part of it is the whole
-        for k in range(1, len(best)):
-            if best[k - 1].partition(".")[0] == "article":
-                best = best[:k]
-                break
-    return list(best) if best else None
+    if best is None:
+        return None
+    # an article or main above a nested part of it is the whole, and so is a main that holds more than its article
+    above = [best[:k] for k in range(1, len(best) + 1) if best[:k] in weight]
+    for kind in ("article", "main"):
+        found = next((p for p in above if p[-1].partition(".")[0] == kind), None)
+        if found and (len(found) == len(best) or kind == "article" or weight[found] > weight[best] or best[-1].partition(".")[0] != "article"):
+            best = found
+    return list(best)
 
 
 def _has_slot(nodes: list) -> bool:
@@ -334,20 +376,29 @@ def _has_slot(nodes: list) -> bool:
 
 
 def find(root: Tree, path: list[str]) -> Tree | None:
-    node = root
+    """The element at a path; where several stand there, the innermost single element above them all."""
+    level, single = [root], root
     for signature in path:
-        node = next((c for c in node.children if isinstance(c, Tree) and c.signature == signature), None)
-        if node is None:
+        level = [c for node in level for c in node.children if isinstance(c, Tree) and c.signature == signature]
+        if not level:
             return None
-    return node
+        if len(level) == 1:
+            single = level[0]
+    return single
+
+
+def _own(root: Tree) -> Tree:
+    """The container of a page by itself, or its body."""
+    path = container(fold(stream(root)))
+    node = find(root, path) if path else None
+    return node or _body(root) or root
 
 
-def _search(node: Tree, names: tuple) -> Tree | None:
+def _body(node: Tree) -> Tree | None:
     for child in node.children:
         if isinstance(child, Tree):
-            if child.name in names:
-                return child
-            if (found := _search(child, names)) is not None:
+            found = child if child.name == "body" else _body(child)
+            if found is not None:
                 return found
     return None
 
@@ -390,8 +441,7 @@ def extract(page: str | None, paths: list[list[str] | None]) -> str:
     for path in paths:
         if path and (node := find(root, path)) is not None:
             return text_of(node)
-    node = _search(root, ("article",)) or _search(root, ("main",)) or _search(root, ("body",)) or root
-    return text_of(node)
+    return text_of(_own(root))
 
 
 def wrappers(pages: DataFrame, url_col: str = "url", html_col: str = "html", sample: int = SAMPLE_PAGES) -> DataFrame:

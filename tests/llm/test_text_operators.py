@@ -250,3 +250,18 @@ def test_pages_of_the_table(spark):
     pages = {r["page_id"]: r["html"] for r in spark.read.parquet("/root/testdata/sf0.001/pages.parquet").collect()}
     got = {r["page_id"]: r["text"] for r in QUERIES["op9_host_wrappers"](spark, "/root/testdata/sf0.001").collect()}
     assert got == {i: plain(p) for i, p in pages.items()}
+
+
+def test_wrappers_keep_sibling_blocks(spark):
+    page = "<html><body><nav>Menu</nav><main><h1>T{n}</h1><section><h2>A{n}</h2><p>a{n}</p></section><section><h2>B{n}</h2><p>b{n}</p><ul><li>x{n}</li></ul><p>long {n} and longer</p></section></main></body></html>"
+    pages = [page.format(n=i) for i in range(3)]
+    want = [f"T{i}\nA{i}\na{i}\nB{i}\nb{i}\nx{i}\nlong {i} and longer" for i in range(3)]
+    assert [extract(p, [container(infer(pages))]) for p in pages] == want
+    assert [extract(p, []) for p in pages] == want
+    part = "<div class='part'><h2>H{k}</h2>" + "".join(f"<{t}>{t}{{n}}</{t}>" for t in ("p", "pre", "blockquote", "h3", "h4", "h5")) + "</div>"
+    pages = ["<html><body><h1>Title " + str(n) + "</h1><div class='all'>" + "".join(part.format(k=k, n=n) for k in range(4)) + "</div></body></html>" for n in range(3)]
+    for p in pages:
+        assert extract(p, [container(infer(pages))]).count("\n") == 28
+    two = "<html><body><main><article><p>one {n}</p></article><article><p>two {n} is longer by far</p><ul><li>y</li></ul></article></main></body></html>"
+    pages = [two.format(n=n) for n in range(3)]
+    assert [extract(p, [container(infer(pages))]) for p in pages] == [f"one {n}\ntwo {n} is longer by far\ny" for n in range(3)]
