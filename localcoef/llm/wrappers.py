@@ -2,10 +2,12 @@
 
 A page is a stream of tags and texts. Runs of equal groups of tokens are folded to repeated groups; then the streams
 of several pages of a host are aligned one after another. Texts that differ become slots, tokens that only some pages
-have become optional groups, and what is left is the host's wrapper. The container of the article is read off the
-wrapper: among the elements that stand once, the innermost that holds most of the slots' text outside menus, notices
-and the like. Every page of the host is then cut by that container. A host whose wrapper yields none, and a page that
-does not fit it, use the container of the pooled wrapper of all hosts, and then the page's own article or body.
+have become optional groups, and what is left is a wrapper. All pages of a host take part: pages of one folded
+structure are merged where they are read, pages whose outer containers agree are a template, and each template of a
+host has a wrapper of its own, aligned from all its structures. The container of the article is read off the wrapper:
+among the elements that stand once in every page, the innermost that holds most of the slots' text outside menus,
+notices and the like. Every page is then cut by the container of its template. Where that has none, the page's own
+container is used, or its body.
 
 Cases: null or empty html gives the empty text; a page without host belongs to a host of its own kind; unclosed and
 stray tags are taken as browsers do, roughly; equal pages align without slots, and then all texts count; repeated
@@ -14,11 +16,13 @@ rows give repeated rows; an empty table gives an empty table. Only the named col
 
 from __future__ import annotations
 
+import hashlib
 import html as html_lib
 import json
 import re
 from dataclasses import dataclass, field
 from difflib import SequenceMatcher
+from functools import lru_cache
 
 import numpy as np
 import pyarrow as pa
@@ -27,11 +31,13 @@ from pyspark.sql import functions as F
 
 from localcoef.llm.store import written
 
-#: Pages of a host that its wrapper is inferred from, chosen by a hash.
-SAMPLE_PAGES = 6
-#: Hosts whose wrappers are pooled for pages that no wrapper of their own fits.
-POOLED_HOSTS = 24
-#: Bytes of wrappers that are broadcast; more are shuffled.
+#: Levels of containers that pages of one template have in common.
+TEMPLATE_DEPTH = 4
+#: Parts in which the structures of a template are aligned before these are aligned with one another.
+PARTS = 64
+#: Characters of pages of new structures after which a task hands on what it has merged.
+HELD_CHARS = 16_000_000
+#: Bytes of containers that are broadcast; more are shuffled.
 BROADCAST_BYTES = 32_000_000
 
 #: Kinds of HTML elements.
@@ -47,6 +53,7 @@ _SIDE = re.compile(
 _TOKEN = re.compile(r"<!--.*?(?:-->|\Z)|<![^>]*>|<\?[^>]*>|<(/?)([a-zA-Z][^\s/>]*)((?:[^>\"']|\"[^\"]*\"|'[^']*')*)>|([^<]+|<)", re.S)
 _ATTRIBUTE = re.compile(r"\b(class|id|role)\s*=\s*(?:\"([^\"]*)\"|'([^']*)'|([^\s>]+))", re.I)
 _BLANK = re.compile(r"\s+")
+_DIGITS = re.compile(r"[0-9]+")
 
 
 def tokens(page: str):
@@ -67,6 +74,7 @@ def tokens(page: str):
                 yield "c", name, name
                 continue
             marks = " ".join(x.lower() for _, *v in _ATTRIBUTE.findall(attributes) for x in v if x) if attributes else ""
+            marks = _DIGITS.sub("0", marks)  # numbers of posts and columns do not tell elements apart
             if name in RAW:
                 end = re.compile(rf"</{re.escape(name)}\s*>", re.I).search(page, at)
                 at = end.end() if end else size
@@ -137,7 +145,7 @@ def stream(node: Tree, out: list | None = None) -> list:
         text = _BLANK.sub(" ", "".join(run)).strip()
         run.clear()
         if text:
-            out.append(("t", text, len(text), 1))
+            out.append(("t", _short(text), len(text), 1))
 
     def walk(children):
         for child in children:
@@ -157,6 +165,11 @@ def stream(node: Tree, out: list | None = None) -> list:
     return out
 
 
+def _short(text: str) -> str:
+    """A long text as its begin and a hash, so that wrappers stay small."""
+    return text if len(text) <= 72 else text[:40] + hashlib.blake2b(text.encode("utf-8", "replace"), digest_size=16).hexdigest()
+
+
 def key(node) -> str:
     """What of a node must agree in an alignment: texts all agree, groups agree by their nodes."""
     if node[0] == "t":
@@ -274,9 +287,12 @@ def _unite(nodes: list) -> list:
 
 
 def infer(pages: list[str]) -> list:
+    return _aligned([fold(stream(parse(page))) for page in pages])
+
+
+def _aligned(streams: list[list]) -> list:
     wrapper: list = []
-    for k, page in enumerate(pages):
-        nodes = fold(stream(parse(page)))
+    for k, nodes in enumerate(streams):
         wrapper = nodes if k == 0 else fold(align(wrapper, nodes))
     return wrapper
 
@@ -339,7 +355,7 @@ def container(wrapper: list, single: set[tuple] | None = None) -> list[str] | No
                 skipped = max(0, skipped - 1)
             elif n[0] == "t":
                 if not skipped:
-                    size = n[2] / max(1, n[3]) if n[1] is None or not slots else 0.0
+                    size = float(n[2]) if n[1] is None or not slots else 0.0
                     title = size if path and path[-1].partition(".")[0] == "h1" else 0.0
                     flat["any"] += size
                     flat["title"] += title
@@ -435,58 +451,134 @@ def text_of(node: Tree) -> str:
 
 
 def extract(page: str | None, paths: list[list[str] | None]) -> str:
-    if not page:
-        return ""
-    root = parse(page)
+    return _cut(parse(page), paths) if page else ""
+
+
+def _cut(root: Tree, paths: list[list[str] | None]) -> str:
     for path in paths:
         if path and (node := find(root, path)) is not None:
             return text_of(node)
     return text_of(_own(root))
 
 
-def wrappers(pages: DataFrame, url_col: str = "url", html_col: str = "html", sample: int = SAMPLE_PAGES) -> DataFrame:
-    """Per host: its wrapper as an expression, and the article's container as JSON.
+def _number(text: str) -> int:
+    return int.from_bytes(hashlib.blake2b(text.encode("utf-8", "replace"), digest_size=8).digest(), "big", signed=True)
 
-    Of each host one page is taken for each of ``sample`` residues of a hash, by an aggregation that is partial before
-    the shuffle, so a host with very many pages is no burden.
-    """
-    picked = (
-        pages.where(F.col(html_col).isNotNull())
-        .select(_host(F.col(url_col)).alias("host"), F.xxhash64(F.col(html_col), F.col(url_col)).alias("at"), F.col(html_col).alias("html"))
-        .groupBy("host", F.pmod("at", F.lit(sample)).alias("part"))
-        .agg(F.min(F.struct("at", "html"))["html"].alias("html"))
-    )
 
-    def run(frame):
-        import pandas as pd
+def template(root: Tree) -> int:
+    """A number of the outer containers of a page, down to an article or main."""
+    paths: set[str] = set()
+
+    def walk(node, path, depth):
+        for child in node.children:
+            if isinstance(child, Tree) and child.name in CONTAINERS | {"main"} and not aside(child.name, child.signature):
+                at = f"{path}/{child.signature}"
+                paths.add(at)
+                if depth < TEMPLATE_DEPTH and child.name not in ("article", "main"):
+                    walk(child, at, depth + 1)
+
+    walk(root, "", 1)
+    return _number("\n".join(sorted(paths)))
+
+
+def _structures(batches):
+    """(host, template, structure, pages, nodes): pages of equal structure merged as they are read."""
+    held: dict[tuple, tuple] = {}
+    size = 0
+
+    def handed():
+        rows = [(*k, n, json.dumps(nodes, ensure_ascii=False)) for k, (n, nodes) in held.items()]
+        held.clear()
+        columns = zip(*rows, strict=True) if rows else ((),) * 5
+        return pa.RecordBatch.from_arrays([pa.array(c, t) for c, t in zip(columns, (pa.string(), pa.int64(), pa.int64(), pa.int64(), pa.string()), strict=True)], ["host", "template", "structure", "pages", "nodes"])
 
-        found = infer(frame.sort_values("part")["html"].tolist())
-        return pd.DataFrame({"host": [frame["host"].iloc[0]], "n_pages": [len(frame)], "wrapper": [expression(found)], "container": [json.dumps(container(found))]})
+    for batch in batches:
+        for host, page in zip(batch.column(0).to_pylist(), batch.column(1), strict=True):
+            page = page.as_py()
+            root = parse(page)
+            nodes = fold(stream(root))
+            at = (host, template(root), _number(" ".join(map(key, nodes))))
+            if at in held:
+                n, old = held[at]
+                held[at] = (n + 1, [merge(x, y) for x, y in zip(old, nodes, strict=True)])
+            else:
+                held[at] = (1, nodes)
+                size += len(page)
+            if size > HELD_CHARS:
+                yield handed()
+                size = 0
+    yield handed()
+
+
+def _part(frame):
+    """One part of a template's structures as one wrapper, and the paths that stand once in all of them."""
+    import pandas as pd
+
+    by: dict[int, list] = {}
+    for at, text in zip(frame["structure"], frame["nodes"], strict=True):
+        nodes = json.loads(text)
+        by[at] = [merge(x, y) for x, y in zip(by[at], nodes, strict=True)] if at in by else nodes
+    wrapper, single = _aligned([by[k] for k in sorted(by)]), set.intersection(*map(once, by.values()))
+    return pd.DataFrame({"host": [frame["host"].iloc[0]], "template": [frame["template"].iloc[0]], "part": [frame["part"].iloc[0]], "pages": [frame["pages"].sum()], "nodes": [json.dumps(wrapper, ensure_ascii=False)], "single": [json.dumps(sorted(single), ensure_ascii=False)]})
+
+
+def _whole(frame):
+    """The wrapper of a template from those of its parts."""
+    import pandas as pd
 
-    return picked.groupBy("host").applyInPandas(run, "host string, n_pages int, wrapper string, container string")
+    frame = frame.sort_values("part")
+    wrapper = _aligned([json.loads(x) for x in frame["nodes"]])
+    single = set.intersection(*[set(map(tuple, json.loads(x))) for x in frame["single"]])
+    return pd.DataFrame({"host": [frame["host"].iloc[0]], "template": [frame["template"].iloc[0]], "n_pages": [frame["pages"].sum()], "wrapper": [expression(wrapper)], "container": [json.dumps(container(wrapper, single), ensure_ascii=False)]})
+
+
+def wrappers(pages: DataFrame, url_col: str = "url", html_col: str = "html") -> DataFrame:
+    """Per host and template: the number of its pages, its wrapper as an expression, and the article's container as JSON.
+
+    Every page takes part. A template's structures are aligned in parts by a hash, so a host with very many pages is no
+    burden for one task.
+    """
+    given = pages.where(F.col(html_col).isNotNull()).select(_host(F.col(url_col)).alias("host"), F.col(html_col).cast("string").alias("html"))
+    merged = given.mapInArrow(_structures, "host string, template long, structure long, pages long, nodes string")
+    parts = merged.withColumn("part", F.pmod("structure", F.lit(PARTS))).groupBy("host", "template", "part").applyInPandas(_part, "host string, template long, part long, pages long, nodes string, single string")
+    return parts.groupBy("host", "template").applyInPandas(_whole, "host string, template long, n_pages long, wrapper string, container string")
 
 
 def _host(url):
     return F.lower(F.regexp_extract(F.coalesce(url, F.lit("")), r"^[A-Za-z][A-Za-z0-9+.-]*://(?:[^/?#@]*@)?([^/?#:]*)", 1))
 
 
-def extract_pages(pages: DataFrame, id_col: str = "page_id", url_col: str = "url", html_col: str = "html") -> DataFrame:
+def extract_pages(pages: DataFrame, id_col: str = "page_id", url_col: str = "url", html_col: str = "html", broadcast_bytes: int = BROADCAST_BYTES) -> DataFrame:
     """Per row: the id, the url, the main text and its code points."""
     spark = pages.sparkSession
-    known = written(wrappers(pages, url_col, html_col).where("container <> 'null'").select("host", "n_pages", "container"), "wrappers")
-    pool = known.groupBy("container").agg(F.count("*").alias("n"), F.sum("n_pages").alias("pages")).orderBy(F.desc("n"), F.desc("pages"), "container").limit(POOLED_HOSTS).collect()
-    common = spark.sparkContext.broadcast([json.loads(r["container"]) for r in pool])
+    known = written(wrappers(pages, url_col, html_col).where("container <> 'null'").select("host", "template", "container"), "wrappers")
     size = known.agg(F.sum(F.length("host") + F.length("container") + 64).alias("n")).first()["n"] or 0
     rows = pages.select(F.col(id_col).alias("id"), F.col(url_col).cast("string").alias("url"), F.col(html_col).cast("string").alias("html"), _host(F.col(url_col)).alias("host"))
-    known = known.select("host", "container")
-    joined = rows.join(F.broadcast(known) if size <= BROADCAST_BYTES else known, "host", "left").select("id", "url", "html", "container")
     kind = pages.select(id_col).schema[0].dataType.simpleString()
+    small = size <= broadcast_bytes
+    if small:
+        shared = spark.sparkContext.broadcast({(r["host"], r["template"]): r["container"] for r in known.collect()})
+    else:
+        rows = rows.mapInArrow(_with_template, f"id {kind}, url string, html string, host string, template long").join(known, ["host", "template"], "left").select("id", "url", "html", "container")
 
     def run(batches):
+        path = lru_cache(4096)(json.loads)
         for batch in batches:
             texts = []
-            for page, own in zip(batch.column(2).to_pylist(), batch.column(3).to_pylist(), strict=True):
-                texts.append(extract(page, [json.loads(own) if own else None, *common.value]))
+            for page, given in zip(batch.column(2), batch.column(3).to_pylist(), strict=True):
+                page = page.as_py()
+                if not page:
+                    texts.append("")
+                    continue
+                root = parse(page)
+                own = shared.value.get((given, template(root))) if small else given
+                texts.append(_cut(root, [path(own) if own else None]))
             yield pa.RecordBatch.from_arrays([batch.column(0), batch.column(1), pa.array(texts, pa.string()), pa.array([len(t) for t in texts], pa.int64())], [id_col, url_col, "text", "n_chars"])
 
-    return joined.mapInArrow(run, f"`{id_col}` {kind}, `{url_col}` string, text string, n_chars long")
+    return rows.mapInArrow(run, f"`{id_col}` {kind}, `{url_col}` string, text string, n_chars long")
+
+
+def _with_template(batches):
+    for batch in batches:
+        found = pa.array([template(parse(page.as_py() or "")) for page in batch.column(2)], pa.int64())
+        yield pa.RecordBatch.from_arrays([*batch.columns, found], ["id", "url", "html", "host", "template"])

@@ -265,3 +265,12 @@ def test_wrappers_keep_sibling_blocks(spark):
     two = "<html><body><main><article><p>one {n}</p></article><article><p>two {n} is longer by far</p><ul><li>y</li></ul></article></main></body></html>"
     pages = [two.format(n=n) for n in range(3)]
     assert [extract(p, [container(infer(pages))]) for p in pages] == [f"one {n}\ntwo {n} is longer by far\ny" for n in range(3)]
+
+
+def test_wrappers_of_rare_templates(spark):
+    common = "<html><body><div class='top'>The same long words of the host stand on every single page</div><div class='body'><h1>T{n}</h1><p>text {n}</p></div></body></html>"
+    rare = "<html><body><div class='top'>The same long words of the host stand on every single page</div><div class='story'><h1>R{n}</h1><p>rare {n}</p></div></body></html>"
+    rows = [(n, f"http://h.example.com/{n}", (rare if n % 150 == 7 else common).format(n=n)) for n in range(450)]
+    for limit in (10**6, 0):
+        got = {r["page_id"]: r["text"] for r in extract_pages(spark.createDataFrame(rows, "page_id long, url string, html string"), broadcast_bytes=limit).collect()}
+        assert got == {n: f"R{n}\nrare {n}" if n % 150 == 7 else f"T{n}\ntext {n}" for n in range(450)}
