@@ -43,13 +43,15 @@ BROADCAST_BYTES = 32_000_000
 #: Kinds of HTML elements.
 VOID = frozenset("area base br col embed hr img input link meta param source track wbr".split())
 RAW = frozenset("script style noscript template iframe textarea select object svg math canvas title".split())
+FOREIGN = frozenset(("svg", "math"))
 INLINE = frozenset("a abbr acronym b bdi bdo big br cite code data del dfn em font i img ins kbd label mark q s samp small span strike strong sub sup time tt u var wbr".split())
 CONTAINERS = frozenset("html body main article section div td center".split())
 ENDS_PARAGRAPH = frozenset("address article aside blockquote center details dialog dd div dl dt fieldset figcaption figure footer form h1 h2 h3 h4 h5 h6 header hr li main menu nav ol p pre section table ul".split())
+HEADINGS = frozenset("h1 h2 h3 h4 h5 h6".split())
 SKIPPED = frozenset("nav footer aside form button dialog menu head".split())
-_SIDE = re.compile(
-    r"(?:^|[\s_-])(?:ad|ads|advert|adverts|advertisement|advertising|banner|breadcrumb|breadcrumbs|comment|comments|commentlist|consent|cookie|cookies|disqus|disclaimer|footer|masthead|menu|menubar|modal|nav|navbar|navigation|newsletter|notice|notices|pager|pagination|popup|promo|promoted|recommended|related|replies|responses|search|share|sharing|sidebar|social|sponsor|sponsored|subscribe|toolbar|widget)(?:$|[\s_-])"
-)
+_SIDE_WORDS = "ad|ads|advert|adverts|advertisement|advertising|banner|breadcrumb|breadcrumbs|comment|comments|commentlist|consent|cookie|cookies|disqus|disclaimer|footer|masthead|menu|menubar|modal|nav|navbar|navigation|newsletter|notice|notices|pager|pagination|popup|promo|promoted|recommended|related|replies|responses|search|share|sharing|sidebar|social|sponsor|sponsored|subscribe|toolbar|widget"
+_SIDE = re.compile(rf"(?:^|[\s#_-])(?:{_SIDE_WORDS})(?:$|[\s#_-])")
+_SIDE_WHOLE = frozenset(_SIDE_WORDS.split("|"))
 _TOKEN = re.compile(r"<!--.*?(?:-->|\Z)|<![^>]*>|<\?[^>]*>|<(/?)([a-zA-Z][^\s/>]*)((?:[^>\"']|\"[^\"]*\"|'[^']*')*)>|([^<]+|<)", re.S)
 _ATTRIBUTE = re.compile(r"\b(class|id|role)\s*=\s*(?:\"([^\"]*)\"|'([^']*)'|([^\s>]+))", re.I)
 _BLANK = re.compile(r"\s+")
@@ -73,9 +75,12 @@ def tokens(page: str):
             if slash:
                 yield "c", name, name
                 continue
-            marks = " ".join(x.lower() for _, *v in _ATTRIBUTE.findall(attributes) for x in v if x) if attributes else ""
+            found = [(kind.lower(), x.lower()) for kind, *v in _ATTRIBUTE.findall(attributes) for x in v if x] if attributes else []
+            marks = " ".join(x for kind, x in found if kind != "id") + "".join(f" #{x}" for kind, x in found if kind == "id")
             marks = _DIGITS.sub("0", marks)  # numbers of posts and columns do not tell elements apart
             if name in RAW:
+                if name in FOREIGN and attributes.endswith("/"):
+                    continue
                 end = re.compile(rf"</{re.escape(name)}\s*>", re.I).search(page, at)
                 at = end.end() if end else size
                 continue
@@ -85,10 +90,20 @@ def tokens(page: str):
 
 
 def aside(name: str, signature: str, depth_in_container: bool = False) -> bool:
-    """Whether an element is a menu, notice, advert, form or the like."""
+    """Whether an element is a menu, notice, advert, form or the like; inside a container only whole classes and roles tell."""
     if name in SKIPPED or (name == "header" and not depth_in_container):
         return True
-    return "." in signature and bool(_SIDE.search(signature.partition(".")[2]))
+    if "." not in signature:
+        return False
+    marks = signature.partition(".")[2]
+    if depth_in_container:
+        return not _SIDE_WHOLE.isdisjoint(marks.partition("#")[0].split())
+    return bool(_SIDE.search(marks))
+
+
+def doubtful(name: str, signature: str) -> bool:
+    """Whether a part of a class or role, but no whole one, is a word for menus and the like; headings are in no doubt."""
+    return "." in signature and name not in HEADINGS and bool(_SIDE.search(signature.partition(".")[2].partition("#")[0]))
 
 
 @dataclass
@@ -387,6 +402,31 @@ def container(wrapper: list, single: set[tuple] | None = None) -> list[str] | No
     return list(best)
 
 
+def constant_asides(wrapper: list) -> list[list[str]]:
+    """Paths of the doubtful elements whose text is the same in all pages, where texts of the wrapper differ at all."""
+    varies: dict[tuple, bool] = {}
+
+    def walk(nodes, path):
+        for n in nodes:
+            if n[0] == "o":
+                path = (*path, n[1])
+                if doubtful(n[1].partition(".")[0], n[1]):
+                    varies.setdefault(path, False)
+            elif n[0] == "c":
+                path = path[:-1]
+            elif n[0] == "t":
+                for k in range(1, len(path) + 1):
+                    if path[:k] in varies:
+                        varies[path[:k]] |= n[1] is None
+            else:
+                walk(n[1], path)
+
+    if not _has_slot(wrapper):
+        return []
+    walk(wrapper, ())
+    return [list(p) for p, v in varies.items() if not v]
+
+
 def _has_slot(nodes: list) -> bool:
     return any((n[0] == "t" and n[1] is None) or (n[0] in "+?" and _has_slot(n[1])) for n in nodes)
 
@@ -419,8 +459,12 @@ def _body(node: Tree) -> Tree | None:
     return None
 
 
-def text_of(node: Tree) -> str:
-    """The blocks of an element, without menus and the like, one to a line."""
+def text_of(node: Tree, path: tuple = (), constant: frozenset = frozenset(), inside: bool = True) -> str:
+    """The blocks of an element, without menus and the like, one to a line.
+
+    Below the element, which stands at ``path``, ``constant`` holds the paths of further elements to leave out. What is
+    not ``inside`` a container is the whole page; there whole ids tell as well, but not those of sections and headings.
+    """
     blocks: list[str] = []
     run: list[str] = []
 
@@ -430,22 +474,29 @@ def text_of(node: Tree) -> str:
         if text:
             blocks.append(text)
 
-    def walk(children):
+    def left_out(child, at):
+        if aside(child.name, child.signature, True) or at in constant:
+            return True
+        return not inside and child.name in ("div", "ul") and child.signature.partition("#")[2] in _SIDE_WHOLE
+
+    def walk(children, path):
         for child in children:
             if isinstance(child, str):
                 run.append(child)
-            elif child.name in INLINE:
+                continue
+            at = path if child.name in INLINE else (*path, child.signature)
+            if child.name in INLINE:
                 if child.name == "br":
                     run.append(" ")
                 elif not aside(child.name, child.signature, True):
-                    walk(child.children)
+                    walk(child.children, at)
             else:
                 flush()
-                if not aside(child.name, child.signature, True):
-                    walk(child.children)
+                if not left_out(child, at):
+                    walk(child.children, at)
                 flush()
 
-    walk(node.children)
+    walk(node.children, path)
     flush()
     return "\n".join(blocks)
 
@@ -454,11 +505,25 @@ def extract(page: str | None, paths: list[list[str] | None]) -> str:
     return _cut(parse(page), paths) if page else ""
 
 
-def _cut(root: Tree, paths: list[list[str] | None]) -> str:
+def _cut(root: Tree, paths: list[list[str] | None], constant: frozenset = frozenset()) -> str:
     for path in paths:
         if path and (node := find(root, path)) is not None:
-            return text_of(node)
-    return text_of(_own(root))
+            return _text(root, node, constant)
+    return _text(root, _own(root), constant)
+
+
+def _text(root: Tree, node: Tree, constant: frozenset) -> str:
+    return text_of(node, _place(root, node) if constant else (), constant, node.name not in ("", "html", "body"))
+
+
+def _place(root: Tree, node: Tree, path: tuple = ()) -> tuple | None:
+    """The path of an element."""
+    if root is node:
+        return path
+    for child in root.children:
+        if isinstance(child, Tree) and (found := _place(child, node, path if child.name in INLINE else (*path, child.signature))) is not None:
+            return found
+    return None
 
 
 def _number(text: str) -> int:
@@ -529,11 +594,12 @@ def _whole(frame):
     frame = frame.sort_values("part")
     wrapper = _aligned([json.loads(x) for x in frame["nodes"]])
     single = set.intersection(*[set(map(tuple, json.loads(x))) for x in frame["single"]])
-    return pd.DataFrame({"host": [frame["host"].iloc[0]], "template": [frame["template"].iloc[0]], "n_pages": [frame["pages"].sum()], "wrapper": [expression(wrapper)], "container": [json.dumps(container(wrapper, single), ensure_ascii=False)]})
+    return pd.DataFrame({"host": [frame["host"].iloc[0]], "template": [frame["template"].iloc[0]], "n_pages": [frame["pages"].sum()], "wrapper": [expression(wrapper)], "container": [json.dumps(container(wrapper, single), ensure_ascii=False)], "constant": [json.dumps(constant_asides(wrapper), ensure_ascii=False)]})
 
 
 def wrappers(pages: DataFrame, url_col: str = "url", html_col: str = "html") -> DataFrame:
-    """Per host and template: the number of its pages, its wrapper as an expression, and the article's container as JSON.
+    """Per host and template: the number of its pages, its wrapper as an expression, and as JSON the article's container and
+    the paths of elements that look like menus and never change.
 
     Every page takes part. A template's structures are aligned in parts by a hash, so a host with very many pages is no
     burden for one task.
@@ -541,7 +607,7 @@ def wrappers(pages: DataFrame, url_col: str = "url", html_col: str = "html") ->
     given = pages.where(F.col(html_col).isNotNull()).select(_host(F.col(url_col)).alias("host"), F.col(html_col).cast("string").alias("html"))
     merged = given.mapInArrow(_structures, "host string, template long, structure long, pages long, nodes string")
     parts = merged.withColumn("part", F.pmod("structure", F.lit(PARTS))).groupBy("host", "template", "part").applyInPandas(_part, "host string, template long, part long, pages long, nodes string, single string")
-    return parts.groupBy("host", "template").applyInPandas(_whole, "host string, template long, n_pages long, wrapper string, container string")
+    return parts.groupBy("host", "template").applyInPandas(_whole, "host string, template long, n_pages long, wrapper string, container string, constant string")
 
 
 def _host(url):
@@ -551,7 +617,7 @@ def _host(url):
 def extract_pages(pages: DataFrame, id_col: str = "page_id", url_col: str = "url", html_col: str = "html", broadcast_bytes: int = BROADCAST_BYTES) -> DataFrame:
     """Per row: the id, the url, the main text and its code points."""
     spark = pages.sparkSession
-    known = written(wrappers(pages, url_col, html_col).where("container <> 'null'").select("host", "template", "container"), "wrappers")
+    known = written(wrappers(pages, url_col, html_col).where("container <> 'null' or constant <> '[]'").select("host", "template", F.concat(F.lit("["), "container", F.lit(","), "constant", F.lit("]")).alias("container")), "wrappers")
     size = known.agg(F.sum(F.length("host") + F.length("container") + 64).alias("n")).first()["n"] or 0
     rows = pages.select(F.col(id_col).alias("id"), F.col(url_col).cast("string").alias("url"), F.col(html_col).cast("string").alias("html"), _host(F.col(url_col)).alias("host"))
     kind = pages.select(id_col).schema[0].dataType.simpleString()
@@ -562,7 +628,11 @@ def extract_pages(pages: DataFrame, id_col: str = "page_id", url_col: str = "url
         rows = rows.mapInArrow(_with_template, f"id {kind}, url string, html string, host string, template long").join(known, ["host", "template"], "left").select("id", "url", "html", "container")
 
     def run(batches):
-        path = lru_cache(4096)(json.loads)
+        @lru_cache(4096)
+        def cuts(text):
+            path, constant = json.loads(text)
+            return path, frozenset(map(tuple, constant))
+
         for batch in batches:
             texts = []
             for page, given in zip(batch.column(2), batch.column(3).to_pylist(), strict=True):
@@ -572,7 +642,8 @@ def extract_pages(pages: DataFrame, id_col: str = "page_id", url_col: str = "url
                     continue
                 root = parse(page)
                 own = shared.value.get((given, template(root))) if small else given
-                texts.append(_cut(root, [path(own) if own else None]))
+                path, constant = cuts(own) if own else (None, frozenset())
+                texts.append(_cut(root, [path], constant))
             yield pa.RecordBatch.from_arrays([batch.column(0), batch.column(1), pa.array(texts, pa.string()), pa.array([len(t) for t in texts], pa.int64())], [id_col, url_col, "text", "n_chars"])
 
     return rows.mapInArrow(run, f"`{id_col}` {kind}, `{url_col}` string, text string, n_chars long")

@@ -274,3 +274,11 @@ def test_wrappers_of_rare_templates(spark):
     for limit in (10**6, 0):
         got = {r["page_id"]: r["text"] for r in extract_pages(spark.createDataFrame(rows, "page_id long, url string, html string"), broadcast_bytes=limit).collect()}
         assert got == {n: f"R{n}\nrare {n}" if n % 150 == 7 else f"T{n}\ntext {n}" for n in range(450)}
+
+
+def test_wrappers_drop_only_marked_parts(spark):
+    page = """<html><body><nav>Menu</nav><article><h1>T{n}</h1><svg width="1"/><h2 id="related-work">Related work</h2><p>a{n}</p><math/><section id="search-algorithms"><p>b{n}</p></section>
+<section id="recommended-dosage" class="notice-board"><p>c{n}</p></section><div class="share-buttons">Share this</div><div class="share">By mail</div><svg><text>drawn</text></svg><p>end {n}</p></article></body></html>"""
+    rows = [(n, f"http://h.example.com/{n}", page.format(n=n)) for n in range(4)]
+    got = {r["page_id"]: r["text"] for r in extract_pages(spark.createDataFrame(rows, "page_id long, url string, html string")).collect()}
+    assert got == {n: f"T{n}\nRelated work\na{n}\nb{n}\nc{n}\nend {n}" for n in range(4)}
