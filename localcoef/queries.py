@@ -5,7 +5,9 @@ Floating-point results are rounded to six places on both sides, as sums differ i
 
 from __future__ import annotations
 
+import re
 from collections.abc import Callable
+from contextvars import ContextVar
 
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
@@ -45,8 +47,18 @@ def r6(df: DataFrame) -> DataFrame:
     return df.select(*[F.round(c, 6).alias(c) if t == "double" else F.col(c) for c, t in df.dtypes])
 
 
+#: The graph that the operators' queries run on; see the end of this file.
+GRAPH: ContextVar[str] = ContextVar("graph", default="cpy")
+
+
 def cpy(spark: SparkSession, d: str) -> Graph:
-    return G.copart_year(spark, d, 1996)
+    """The graph of the year 1996, or the one that a query is registered on besides."""
+    return G.GRAPHS[GRAPH.get()](spark, d)
+
+
+def part_buckets(spark: SparkSession, d: str, g: Graph, kind: str) -> DataFrame:
+    """A partition by name; the hub graph's nodes are not parts alone, so there it is by degree."""
+    return X.part_buckets(spark, d, g, "deg" if GRAPH.get() == "tr" else kind)
 
 
 def numbered(g: Graph) -> tuple[DataFrame, int]:
@@ -58,7 +70,7 @@ def flagship(spark: SparkSession, d: str) -> DataFrame:
     """The fixed-size estimator for clustering by part type."""
     ship(spark)
     g = cpy(spark, d)
-    return fixed_size_estimate(g, X.part_buckets(spark, d, g, "type"), "clustering", fraction=0.2, seed=SEED)
+    return fixed_size_estimate(g, part_buckets(spark, d, g, "type"), "clustering", fraction=0.2, seed=SEED)
 
 
 # --- exact layer
@@ -79,7 +91,7 @@ for _c, _n in (("clustering", "alpha"), ("closure", "phi")):
     query(f"x14_bruteforce_{_c}", CPY + f" SELECT id, round({_n}, 6) AS psi FROM prof")(lambda s, d, c=_c: r6(exact.local_coefficients_bruteforce(cpy(s, d), c)))
     for _k in ("brand", "type", "segment", "deg", "log", "rnd"):
         query(f"x11_bucket_means_{_c}_{_k}", O.with_buckets("cpy", _k) + f" SELECT bucket, count(*) AS size, round(avg({_n}), 6) AS psi FROM prof JOIN buckets USING (id) GROUP BY bucket")(
-            lambda s, d, c=_c, k=_k: r6(exact.exact_bucket_means(g := cpy(s, d), X.part_buckets(s, d, g, k), c))
+            lambda s, d, c=_c, k=_k: r6(exact.exact_bucket_means(g := cpy(s, d), part_buckets(s, d, g, k), c))
         )
     query(f"x12_global_{_c}", O.with_buckets("cpy", "one") + f" SELECT bucket, count(*) AS size, round(avg({_n}), 6) AS psi FROM prof JOIN buckets USING (id) GROUP BY bucket")(
         lambda s, d, c=_c: r6(exact.exact_bucket_means(g := cpy(s, d), P.single_bucket(g), c))
@@ -95,7 +107,8 @@ for _c, _n in (("clustering", "alpha"), ("closure", "phi")):
     JOIN wa wx ON wx.src = id AND wx.dst = x JOIN wa wy ON wy.src = id AND wy.dst = y GROUP BY id)
   SELECT deg.id, round(CASE WHEN d > 1 THEN coalesce(c, 0) / (s * (d - 1)) ELSE 0 END, 6) AS psi FROM deg JOIN st USING (id) LEFT JOIN cl USING (id)""")
 def _weighted(s: SparkSession, d: str) -> DataFrame:
-    rows = G.year_lines(s, d, 1996).select(F.col("l_orderkey").alias("o"), F.col("l_partkey").alias("p")).distinct()
+    lines = G.year_lines(s, d, 1996) if GRAPH.get() == "cpy" else G.read(s, d, "lineitem")
+    rows = lines.select(F.col("l_orderkey").alias("o"), F.col("l_partkey").alias("p")).distinct()
     pairs = rows.withColumnRenamed("p", "u").join(rows.withColumnRenamed("p", "v"), "o").where("u < v").groupBy("u", "v").agg(F.count("*").cast("double").alias("weight"))
     return r6(exact.weighted_clustering(cpy(s, d), pairs))
 
@@ -120,7 +133,7 @@ query("s5_weighted_bag")(lambda s, d: r6(sampling.draw_weighted(estimators.min_d
   SELECT bucket, ix, id FROM wish JOIN ranked USING (bucket, r)""")
 def _nodes(s: SparkSession, d: str) -> DataFrame:
     g = cpy(s, d)
-    b = X.part_buckets(s, d, g, "type")
+    b = part_buckets(s, d, g, "type")
     return sampling.draw_nodes(b, b.select("bucket").distinct().withColumn("s", F.lit(50)), SEED)
 
 
@@ -133,7 +146,7 @@ FULL = {c: O.with_buckets("cpy", "brand") + O.NUMBER + O.values("edges", "0.2",
 def _bag(s: SparkSession, d: str, kind: str = "brand", n: int = DRAWS):
     g = cpy(s, d)
     rows, m = numbered(g)
-    return g, sampling.draw_indexed(rows, m, n, SEED), m, X.part_buckets(s, d, g, kind)
+    return g, sampling.draw_indexed(rows, m, n, SEED), m, part_buckets(s, d, g, kind)
 
 
 query("e1_edge_credits", VALS["clustering"] + " SELECT ix, node, round(a, 6) AS a FROM bag JOIN shares USING (u, v)")(lambda s, d: r6(estimators.edge_credits((x := _bag(s, d))[0], x[1], SPLIT)))
@@ -149,24 +162,24 @@ for _c in O.W:
         lambda s, d, c=_c: r6(estimators.bucket_means(estimators.edge_bucket_values((x := _bag(s, d))[0], x[1], x[3], exact.denominators(x[0], c), x[2], SPLIT), x[3], DRAWS))
     )
     query(f"e7_expectation_{_c}", O.with_buckets("cpy", "brand") + f" SELECT bucket, round(avg({'alpha' if _c == 'clustering' else 'phi'}), 6) AS mean FROM prof JOIN buckets USING (id) GROUP BY bucket")(
-        lambda s, d, c=_c: r6(estimators.exact_edge_moments(g := cpy(s, d), X.part_buckets(s, d, g, "brand"), exact.denominators(g, c), g.edges.count(), SPLIT).select("bucket", "mean"))
+        lambda s, d, c=_c: r6(estimators.exact_edge_moments(g := cpy(s, d), part_buckets(s, d, g, "brand"), exact.denominators(g, c), g.edges.count(), SPLIT).select("bucket", "mean"))
     )
     query(f"e8_variance_{_c}", FULL[_c] + """, mo AS (SELECT bucket, coalesce(sum(x), 0) / (SELECT m FROM total) AS mean, coalesce(sum(x * x), 0) / (SELECT m FROM total) AS two FROM sizes LEFT JOIN vals USING (bucket) GROUP BY bucket)
       SELECT bucket, round(two - mean * mean, 4) AS variance, round(((SELECT m FROM total) - 1) * mean, 4) AS ceiling FROM mo""")(
-        lambda s, d, c=_c: estimators.exact_edge_moments(g := cpy(s, d), X.part_buckets(s, d, g, "brand"), exact.denominators(g, c), m := g.edges.count(), SPLIT).select("bucket", F.round("variance", 4).alias("variance"), F.round(F.col("mean") * (m - 1), 4).alias("ceiling"))
+        lambda s, d, c=_c: estimators.exact_edge_moments(g := cpy(s, d), part_buckets(s, d, g, "brand"), exact.denominators(g, c), m := g.edges.count(), SPLIT).select("bucket", F.round("variance", 4).alias("variance"), F.round(F.col("mean") * (m - 1), 4).alias("ceiling"))
     )
     query(f"b9_true_range_{_c}", FULL[_c] + " SELECT bucket, round(coalesce(max(x), 0), 6) AS r FROM sizes LEFT JOIN vals USING (bucket) GROUP BY bucket")(
-        lambda s, d, c=_c: r6(estimators.exact_edge_moments(g := cpy(s, d), X.part_buckets(s, d, g, "brand"), exact.denominators(g, c), g.edges.count(), SPLIT).select("bucket", F.col("largest").alias("r")))
+        lambda s, d, c=_c: r6(estimators.exact_edge_moments(g := cpy(s, d), part_buckets(s, d, g, "brand"), exact.denominators(g, c), g.edges.count(), SPLIT).select("bucket", F.col("largest").alias("r")))
     )
     query(f"b6_range_bounds_{_c}", O.with_buckets("cpy", "brand") + f", total AS (SELECT count(*) AS m FROM edges), wt AS ({O.W[_c]})" + O.SIDE + " SELECT bucket, round(coalesce(max(x), 0) * (SELECT m FROM total) / any_value(size), 6) AS r FROM sizes LEFT JOIN rb USING (bucket) GROUP BY bucket")(
-        lambda s, d, c=_c: r6(bounds.range_bounds(g := cpy(s, d), X.part_buckets(s, d, g, "brand"), exact.denominators(g, c), g.edges.count(), SPLIT))
+        lambda s, d, c=_c: r6(bounds.range_bounds(g := cpy(s, d), part_buckets(s, d, g, "brand"), exact.denominators(g, c), g.edges.count(), SPLIT))
     )
     query(f"q1_quadratics_{_c}", O.with_buckets("cpy", "brand") + O.NUMBER + O.bag("500", SEED, "pilot") + O.values("bag", "0", _c).replace("vals AS", "v0 AS") + O.values("bag", "0.5", _c).replace("wt AS", "wt2 AS").replace("et AS", "et2 AS").replace("shares AS", "sh2 AS").replace("FROM et ", "FROM et2 ").replace("JOIN wt ON wt.id", "JOIN wt2 wt ON wt.id").replace("FROM shares", "FROM sh2").replace("vals AS", "v5 AS") + """,
       dr AS (SELECT ix, b.bucket, coalesce(v0.x, 0) AS b, 2 * (coalesce(v5.x, 0) - coalesce(v0.x, 0)) AS s FROM (SELECT ix, u, v, bucket FROM bag, sizes) b LEFT JOIN v0 ON v0.u = b.u AND v0.v = b.v AND v0.bucket = b.bucket LEFT JOIN v5 ON v5.u = b.u AND v5.v = b.v AND v5.bucket = b.bucket)
       SELECT bucket, round(var_samp(b), 4) AS qa, round(2 * covar_samp(b, s), 4) AS qb, round(var_samp(s), 4) AS qc FROM dr GROUP BY bucket""")(
-        lambda s, d, c=_c: tuning.split_quadratics(g := cpy(s, d), sampling.draw_indexed(*(x := numbered(g)), 500, SEED, "pilot"), X.part_buckets(s, d, g, "brand"), exact.denominators(g, c), x[1], 500).select("bucket", *[F.round(n, 4).alias(n) for n in ("qa", "qb", "qc")])
+        lambda s, d, c=_c: tuning.split_quadratics(g := cpy(s, d), sampling.draw_indexed(*(x := numbered(g)), 500, SEED, "pilot"), part_buckets(s, d, g, "brand"), exact.denominators(g, c), x[1], 500).select("bucket", *[F.round(n, 4).alias(n) for n in ("qa", "qb", "qc")])
     )
-    query(f"b7_tight_ranges_{_c}")(lambda s, d, c=_c: r6(bounds.range_bounds(g := cpy(s, d), X.part_buckets(s, d, g, "brand"), exact.denominators(g, c), g.edges.count(), SPLIT, True)))
+    query(f"b7_tight_ranges_{_c}")(lambda s, d, c=_c: r6(bounds.range_bounds(g := cpy(s, d), part_buckets(s, d, g, "brand"), exact.denominators(g, c), g.edges.count(), SPLIT, True)))
 
 
 @query("e5_split_extremes")
@@ -182,7 +195,7 @@ def _extremes(s: SparkSession, d: str) -> DataFrame:
 @query("e6_importance_bag")
 def _importance(s: SparkSession, d: str) -> DataFrame:
     g = cpy(s, d)
-    b = X.part_buckets(s, d, g, "brand")
+    b = part_buckets(s, d, g, "brand")
     bag = sampling.draw_weighted(estimators.min_degree_weights(g), DRAWS, SEED)
     return r6(estimators.importance_means(g, bag, b, exact.denominators(g, "clustering"), DRAWS, SPLIT))
 
@@ -190,10 +203,10 @@ def _importance(s: SparkSession, d: str) -> DataFrame:
 # --- bounds and tuning
 
 SPREAD = O.with_buckets("cpy", "brand") + """, sp AS (SELECT id, count(DISTINCT bucket) AS chi FROM (SELECT src AS id, bucket FROM adj JOIN buckets b ON b.id = dst UNION ALL SELECT id, bucket FROM buckets) GROUP BY id)"""
-query("b1_spread", SPREAD + " SELECT id, chi FROM sp")(lambda s, d: bounds.bucket_spread(g := cpy(s, d), X.part_buckets(s, d, g, "brand")))
-query("b2_open_spread", O.with_buckets("cpy", "brand") + " SELECT src AS id, count(DISTINCT bucket) AS chi FROM adj JOIN buckets b ON b.id = dst GROUP BY src")(lambda s, d: bounds.bucket_spread(g := cpy(s, d), X.part_buckets(s, d, g, "brand"), False))
+query("b1_spread", SPREAD + " SELECT id, chi FROM sp")(lambda s, d: bounds.bucket_spread(g := cpy(s, d), part_buckets(s, d, g, "brand")))
+query("b2_open_spread", O.with_buckets("cpy", "brand") + " SELECT src AS id, count(DISTINCT bucket) AS chi FROM adj JOIN buckets b ON b.id = dst GROUP BY src")(lambda s, d: bounds.bucket_spread(g := cpy(s, d), part_buckets(s, d, g, "brand"), False))
 query("b3_spread_sup", SPREAD + " SELECT max(CASE WHEN a.d < b.d THEN p.chi WHEN b.d < a.d THEN q.chi ELSE least(p.chi, q.chi) END) AS chi FROM edges JOIN deg a ON a.id = u JOIN deg b ON b.id = v JOIN sp p ON p.id = u JOIN sp q ON q.id = v")(
-    lambda s, d: bounds.spread_sup(g := cpy(s, d), X.part_buckets(s, d, g, "brand"))
+    lambda s, d: bounds.spread_sup(g := cpy(s, d), part_buckets(s, d, g, "brand"))
 )
 query("b4_dimension", "SELECT i AS chi, (floor(log2(i)) + 1)::INTEGER AS zeta FROM range(1, 65) t(i)")(lambda s, d: s.createDataFrame([(i, bounds.dimension_bound(i)) for i in range(1, 65)], "chi long, zeta int"))
 query("b5_dimension_by_split", "SELECT i AS chi, (floor(log2(least(i, 2))) + 1)::INTEGER AS zeta FROM range(1, 65) t(i)")(lambda s, d: s.createDataFrame([(i, bounds.dimension_bound(i, 0.5)) for i in range(1, 65)], "chi long, zeta int"))
@@ -247,7 +260,7 @@ query("c12_cost_model")(lambda s, d: s.createDataFrame(C.cost_model(1981, 17952,
 def _minimax(s: SparkSession, d: str) -> DataFrame:
     g = cpy(s, d)
     rows, m = numbered(g)
-    bag, b = sampling.draw_indexed(rows, m, 500, SEED, "pilot"), X.part_buckets(s, d, g, "brand")
+    bag, b = sampling.draw_indexed(rows, m, 500, SEED, "pilot"), part_buckets(s, d, g, "brand")
     out = []
     for c in O.W:
         found = tuning.split_quadratics(g, bag, b, exact.denominators(g, c), m, 500).collect()
@@ -262,7 +275,7 @@ def _minimax(s: SparkSession, d: str) -> DataFrame:
 def _variance(s: SparkSession, d: str) -> DataFrame:
     g = cpy(s, d)
     m = g.edges.count()
-    quad = tuning.split_quadratics(g, g.edges, X.part_buckets(s, d, g, "brand"), exact.denominators(g, "clustering"), m, m)
+    quad = tuning.split_quadratics(g, g.edges, part_buckets(s, d, g, "brand"), exact.denominators(g, "clustering"), m, m)
     return tuning.variance_by_split(quad, (0.0, 0.2, 0.5)).select("q", "bucket", F.round("variance", 3).alias("variance"))
 
 
@@ -288,7 +301,7 @@ query("f3_carried", CPY + LOWTRI + ", cc AS (SELECT id, count(*) AS n FROM (SELE
 def _combined(s: SparkSession, d: str) -> DataFrame:
     """The exact part and the expectation of the sampled part rebuild the bucket means."""
     g = cpy(s, d)
-    b, w = X.part_buckets(s, d, g, "brand"), exact.denominators(g, "clustering")
+    b, w = part_buckets(s, d, g, "brand"), exact.denominators(g, "clustering")
     found = prefilter.apply_filter(g, b, w, _beta(g))
     rest = estimators.exact_edge_moments(found.rest, b, w, found.rest.edges.count(), SPLIT)
     return r6(found.known.join(rest, "bucket").select("bucket", (F.col("known") + F.col("mean")).alias("psi")))
@@ -297,18 +310,18 @@ def _combined(s: SparkSession, d: str) -> DataFrame:
 # --- estimators end to end
 
 for _c in O.W:
-    query(f"a1_adaptive_bernstein_{_c}")(lambda s, d, c=_c: r6(adaptive_estimate(g := cpy(s, d), X.part_buckets(s, d, g, "brand"), c, 0.2, 0.01, "bernstein", work_factor=40, seed=SEED, large=None)))
-    query(f"a2_adaptive_plugin_{_c}")(lambda s, d, c=_c: r6(adaptive_estimate(g := cpy(s, d), X.part_buckets(s, d, g, "brand"), c, 0.2, 0.01, "plugin", work_factor=40, seed=SEED, large=None)))
+    query(f"a1_adaptive_bernstein_{_c}")(lambda s, d, c=_c: r6(adaptive_estimate(g := cpy(s, d), part_buckets(s, d, g, "brand"), c, 0.2, 0.01, "bernstein", work_factor=40, seed=SEED, large=None)))
+    query(f"a2_adaptive_plugin_{_c}")(lambda s, d, c=_c: r6(adaptive_estimate(g := cpy(s, d), part_buckets(s, d, g, "brand"), c, 0.2, 0.01, "plugin", work_factor=40, seed=SEED, large=None)))
     for _f in (1, 2, 5):
         query(f"a6_fixed_{_f}permille_{_c}", O.with_buckets("cpy", "type") + O.NUMBER + O.bag(f"(SELECT ceil({_f} * 0.001::DOUBLE * m)::BIGINT FROM total)", SEED) + O.values("bag", "0.2", _c) + """
           SELECT bucket, size, round(coalesce(sum(x), 0) / (SELECT count(*) FROM bag), 6) AS f, (SELECT count(*) FROM bag) AS draws, 0.2::DOUBLE AS q FROM sizes LEFT JOIN (SELECT bucket, x FROM bag JOIN vals USING (u, v)) USING (bucket) GROUP BY bucket, size""")(
-            lambda s, d, c=_c, f=_f: r6(fixed_size_estimate(g := cpy(s, d), X.part_buckets(s, d, g, "type"), c, fraction=f / 1000, q=SPLIT, seed=SEED))
+            lambda s, d, c=_c, f=_f: r6(fixed_size_estimate(g := cpy(s, d), part_buckets(s, d, g, "type"), c, fraction=f / 1000, q=SPLIT, seed=SEED))
         )
-    query(f"a6_fixed_tuned_{_c}")(lambda s, d, c=_c: r6(fixed_size_estimate(g := cpy(s, d), X.part_buckets(s, d, g, "type"), c, fraction=0.1, seed=SEED)))
-query("a4_per_bucket_eps")(lambda s, d: r6(adaptive_estimate(g := cpy(s, d), X.part_buckets(s, d, g, "type"), "closure", dict(enumerate((0.3, 0.3, 0.2, 0.2, 0.25, 0.25))), 0.05, work_factor=40, seed=SEED, large=None)))
-query("a7_multipass")(lambda s, d: r6(multipass_stream_estimate((g := cpy(s, d)).edges, X.part_buckets(s, d, g, "type"), "clustering", DRAWS, seed=SEED)))
+    query(f"a6_fixed_tuned_{_c}")(lambda s, d, c=_c: r6(fixed_size_estimate(g := cpy(s, d), part_buckets(s, d, g, "type"), c, fraction=0.1, seed=SEED)))
+query("a4_per_bucket_eps")(lambda s, d: r6(adaptive_estimate(g := cpy(s, d), part_buckets(s, d, g, "type"), "closure", dict(enumerate((0.3, 0.3, 0.2, 0.2, 0.25, 0.25))), 0.05, work_factor=40, seed=SEED, large=None)))
+query("a7_multipass")(lambda s, d: r6(multipass_stream_estimate((g := cpy(s, d)).edges, part_buckets(s, d, g, "type"), "clustering", DRAWS, seed=SEED)))
 query("a10_exact_fallback", O.with_buckets("cpy", "type") + " SELECT bucket, count(*) AS size, round(avg(alpha), 6) AS f, 'exact' AS exit_reason FROM prof JOIN buckets USING (id) GROUP BY bucket")(
-    lambda s, d: r6(adaptive_estimate(g := cpy(s, d), X.part_buckets(s, d, g, "type"), "clustering", 0.001, 0.01, work_factor=None, seed=SEED).select("bucket", "size", "f", "exit_reason"))
+    lambda s, d: r6(adaptive_estimate(g := cpy(s, d), part_buckets(s, d, g, "type"), "clustering", 0.001, 0.01, work_factor=None, seed=SEED).select("bucket", "size", "f", "exit_reason"))
 )
 
 
@@ -316,7 +329,7 @@ query("a10_exact_fallback", O.with_buckets("cpy", "type") + " SELECT bucket, cou
 def _own_weights(s: SparkSession, d: str) -> DataFrame:
     """Triangles weighted by how many of their corners share a bucket: expectation over all edges by node."""
     g = cpy(s, d)
-    b = X.part_buckets(s, d, g, "type")
+    b = part_buckets(s, d, g, "type")
     found = estimators.bag_triangles(g, g.edges)
     for end in "uvw":
         found = found.join(b.select(F.col("id").alias(end), F.col("bucket").alias(f"b{end}")), end)
@@ -340,7 +353,7 @@ def _wish(stream: str, n: int) -> str:
   SELECT bucket, size, 200::BIGINT AS draws, round(coalesce(n, 0) / 200.0::DOUBLE, 6) AS f FROM sizes LEFT JOIN hit USING (bucket)""")
 def _wc(s: SparkSession, d: str) -> DataFrame:
     g = cpy(s, d)
-    b = X.part_buckets(s, d, g, "type")
+    b = part_buckets(s, d, g, "type")
     return r6(baselines.wedge_center(g, b, b.select("bucket").distinct().withColumn("s", F.lit(200)), SEED))
 
 
@@ -353,7 +366,7 @@ def _wc(s: SparkSession, d: str) -> DataFrame:
   SELECT bucket, size, 200::BIGINT AS draws, round(coalesce(n, 0) / 200.0::DOUBLE, 6) AS f FROM sizes LEFT JOIN hit USING (bucket)""")
 def _wh(s: SparkSession, d: str) -> DataFrame:
     g = cpy(s, d)
-    b = X.part_buckets(s, d, g, "type")
+    b = part_buckets(s, d, g, "type")
     return r6(baselines.wedge_headed(g, b, b.select("bucket").distinct().withColumn("s", F.lit(200)), SEED))
 
 
@@ -364,19 +377,19 @@ query("ne_node_edge", O.with_buckets("cpy", "type") + O.NUMBER + O.bag(str(DRAWS
 _MINIMA = ", ".join(f"min((dst * {a} + {b}) % {baselines.PRIME}) AS h{i}" for i in range(16) for a, b in [baselines.hash_order(i)])
 _AGREE = " + ".join(f"(p.h{i} = q.h{i})::INT" for i in range(16))
 query("ks_sketch", O.with_buckets("cpy", "type") + f""", sg AS (SELECT src, count(*) AS d, {_MINIMA} FROM adj GROUP BY src), eh AS (SELECT u, v, ({_AGREE}) / 16.0::DOUBLE AS j, p.d + q.d AS dd FROM edges JOIN sg p ON p.src = u JOIN sg q ON q.src = v),
-  te AS (SELECT id, sum(j / (1 + j) * dd / 2) AS t FROM (SELECT u AS id, j, dd FROM eh UNION ALL SELECT v, j, dd FROM eh) GROUP BY id) """ + MEANS)(lambda s, d: r6(baselines.sketch_baseline(g := cpy(s, d), X.part_buckets(s, d, g, "type"))))
+  te AS (SELECT id, sum(j / (1 + j) * dd / 2) AS t FROM (SELECT u AS id, j, dd FROM eh UNION ALL SELECT v, j, dd FROM eh) GROUP BY id) """ + MEANS)(lambda s, d: r6(baselines.sketch_baseline(g := cpy(s, d), part_buckets(s, d, g, "type"))))
 query("tr_retained", O.with_buckets("cpy", "type") + O.NUMBER + f""", kp AS (SELECT * FROM numbered WHERE {O.hashed(SEED, "keep", "u", "v")} < 0.25), kb AS (SELECT eid, u AS a, v AS b FROM kp UNION ALL SELECT eid, v, u FROM kp),
   cl AS (SELECT n.u, n.v, p.b AS w FROM numbered n JOIN kb p ON p.a = n.u AND p.eid < n.eid JOIN kb q ON q.a = n.v AND q.b = p.b AND q.eid < n.eid),
-  te AS (SELECT id, count(*) * 16.0::DOUBLE AS t FROM (SELECT u AS id FROM cl UNION ALL SELECT v FROM cl UNION ALL SELECT w FROM cl) GROUP BY id) """ + MEANS)(lambda s, d: r6(baselines.retained_edge_baseline(g := cpy(s, d), X.part_buckets(s, d, g, "type"), 0.25, SEED)))
-query("xb_exact_baseline", O.with_buckets("cpy", "type") + " SELECT bucket, count(*) AS size, round(avg(alpha), 6) AS f FROM prof JOIN buckets USING (id) GROUP BY bucket")(lambda s, d: r6(baselines.exact_baseline(g := cpy(s, d), X.part_buckets(s, d, g, "type"))))
+  te AS (SELECT id, count(*) * 16.0::DOUBLE AS t FROM (SELECT u AS id FROM cl UNION ALL SELECT v FROM cl UNION ALL SELECT w FROM cl) GROUP BY id) """ + MEANS)(lambda s, d: r6(baselines.retained_edge_baseline(g := cpy(s, d), part_buckets(s, d, g, "type"), 0.25, SEED)))
+query("xb_exact_baseline", O.with_buckets("cpy", "type") + " SELECT bucket, count(*) AS size, round(avg(alpha), 6) AS f FROM prof JOIN buckets USING (id) GROUP BY bucket")(lambda s, d: r6(baselines.exact_baseline(g := cpy(s, d), part_buckets(s, d, g, "type"))))
 query("g1_capabilities", "SELECT * FROM (VALUES " + ", ".join("(" + ", ".join(repr(x) for x in row) + ")" for row in baselines.CAPABILITIES) + ") t(method, clustering, closure, adaptive, draws, per_draw)")(lambda s, d: baselines.capability_table(s))
 
 # --- partitions
 
 for _k in ("brand", "type", "segment", "deg", "log", "rnd", "one"):
-    query(f"p_{_k}", O.with_buckets("cpy", _k) + " SELECT id, bucket, label FROM buckets")(lambda s, d, k=_k: X.part_buckets(s, d, cpy(s, d), k).select("id", "bucket", "label"))
-query("p_core")(lambda s, d: X.part_buckets(s, d, cpy(s, d), "core"))
-query("p_clu")(lambda s, d: X.part_buckets(s, d, cpy(s, d), "clu"))
+    query(f"p_{_k}", O.with_buckets("cpy", _k) + " SELECT id, bucket, label FROM buckets")(lambda s, d, k=_k: part_buckets(s, d, cpy(s, d), k).select("id", "bucket", "label"))
+query("p_core")(lambda s, d: part_buckets(s, d, cpy(s, d), "core"))
+query("p_clu")(lambda s, d: part_buckets(s, d, cpy(s, d), "clu"))
 query("p_sing", O.graph("cpy") + " SELECT id, (row_number() OVER (ORDER BY id % 64, id) - 1)::INTEGER AS bucket, id::VARCHAR AS label FROM nodes")(lambda s, d: P.singleton_buckets(cpy(s, d)))
 
 # --- measures
@@ -410,7 +423,7 @@ query("m4_mean_sup_error", ERRORS + " SELECT round(max(e), 6) AS avg_sup_err FRO
 
 def _runs(s: SparkSession, d: str) -> tuple[DataFrame, DataFrame]:
     g = cpy(s, d)
-    run = prepare(g, X.part_buckets(s, d, g, "type"), "clustering", 40)
+    run = prepare(g, part_buckets(s, d, g, "type"), "clustering", 40)
     out = None
     for seed in (1, 2):
         row = adaptive_estimate(None, None, "clustering", 0.2, 0.01, seed=seed, run=run, large=None).withColumn("run", F.lit(seed))
@@ -420,20 +433,20 @@ def _runs(s: SparkSession, d: str) -> tuple[DataFrame, DataFrame]:
 
 query("m8_tightness")(lambda s, d: r6(measures.tightness(*_runs(s, d))))
 query("m9_coverage")(lambda s, d: r6(measures.coverage(*_runs(s, d))))
-query("m7_step_shares")(lambda s, d: X.breakdown(g := cpy(s, d), X.part_buckets(s, d, g, "type"), "clustering", 0.2, 0.01, 40))
+query("m7_step_shares")(lambda s, d: X.breakdown(g := cpy(s, d), part_buckets(s, d, g, "type"), "clustering", 0.2, 0.01, 40))
 
 # --- workloads
 
 
 def _run(s: SparkSession, d: str, kind: str, coefficient: str = "clustering", factor: float | None = 40):
     g = cpy(s, d)
-    return prepare(g, X.part_buckets(s, d, g, kind), coefficient, factor)
+    return prepare(g, part_buckets(s, d, g, kind), coefficient, factor)
 
 
 for _c in O.W:
     query(f"wk2_fixed_fraction_{_c}")(lambda s, d, c=_c: X.fixed_fraction(_run(s, d, "deg", c, None), c, (0.005, 0.05, 0.2), (1, 2)).drop("avg_seconds"))
     query(f"wk3_equal_guarantee_{_c}")(lambda s, d, c=_c: X.equal_guarantee(_run(s, d, "type", c), c, 0.2, 0.01, (1,)).drop("seconds"))
-query("wk4_breakdown")(lambda s, d: X.breakdown(g := cpy(s, d), X.part_buckets(s, d, g, "deg"), "clustering", 0.2, 0.01, 40).select("step"))
+query("wk4_breakdown")(lambda s, d: X.breakdown(g := cpy(s, d), part_buckets(s, d, g, "deg"), "clustering", 0.2, 0.01, 40).select("step"))
 query("wk5_q_grid")(lambda s, d: X.q_grid(_run(s, d, "deg", "clustering", None), "clustering", (0.0, 0.2, 0.5), (0.01, 0.1), (1, 2)))
 query("wk6_q_quality")(lambda s, d: X.q_quality(_run(s, d, "brand", "clustering", None), "clustering", (0.0, 0.2, 0.5), (1, 2), 0.1))
 
@@ -460,16 +473,49 @@ query("wk7_estimates")(lambda s, d: r6(X.snapshot_estimates(s, d, (1996, 1997),
 query("wk8_induced", O.with_buckets("cpy", "segment") + """, ie AS (SELECT a.label AS community, u, v FROM edges JOIN buckets a ON a.id = u JOIN buckets b ON b.id = v WHERE a.bucket = b.bucket), nn AS (SELECT label AS community, count(*) AS nodes FROM buckets GROUP BY label), ne AS (SELECT community, count(*) AS edges FROM ie GROUP BY community),
   tr2 AS (SELECT community, count(*) AS triangles FROM (SELECT a.community FROM ie a JOIN ie b ON a.v = b.u JOIN ie x ON x.u = a.u AND x.v = b.v) GROUP BY community)
   SELECT community, nodes, coalesce(edges, 0) AS edges, round(CASE WHEN nodes > 1 THEN 2.0::DOUBLE * coalesce(edges, 0) / (nodes * (nodes - 1)) ELSE 0 END, 6) AS density, coalesce(triangles, 0) AS triangles FROM nn LEFT JOIN ne USING (community) LEFT JOIN tr2 USING (community)""")(
-    lambda s, d: r6(X.induced(g := cpy(s, d), X.part_buckets(s, d, g, "segment")))
+    lambda s, d: r6(X.induced(g := cpy(s, d), part_buckets(s, d, g, "segment")))
 )
-query("wk8_components")(lambda s, d: X.induced_components(g := cpy(s, d), X.part_buckets(s, d, g, "segment")))
+query("wk8_components")(lambda s, d: X.induced_components(g := cpy(s, d), part_buckets(s, d, g, "segment")))
 query("wk9_degree_profile", YEARLY + " SELECT win, p_type AS community, floor(log2(greatest(d, 1)))::INTEGER AS deg_bin, count(*) AS nodes, round(avg(alpha), 6) AS mean_alpha FROM prof JOIN part ON p_partkey = id GROUP BY ALL")(
     lambda s, d: r6(X.degree_profile(X.snapshot_profile(X.snapshot_edges(s, d)), _labels(s, d, "type")))
 )
 query("wk10_other_partitions")(lambda s, d: X.fixed_fraction(_run(s, d, "rnd", "clustering", None), "clustering", (0.1,), (1, 2)).drop("avg_seconds"))
 query("wk11_nonuniform_eps")(lambda s, d: r6(X.nonuniform_eps(prepare(g := cpy(s, d), X.two_buckets(g), "closure", 40), "closure", 0.2, {0: 0.2, 1: 0.1}, 0.05)))
 query("wk12_attained_width")(lambda s, d: r6(_runs(s, d)[0].groupBy("run").agg(F.max(F.col("eps_target") / F.col("eps_hat")).alias("requested_over_attained"))))
-query("wk13_ablations")(lambda s, d: r6(X.ablations(g := cpy(s, d), X.part_buckets(s, d, g, "type"), "closure", 0.3, 0.05)))
+query("wk13_ablations")(lambda s, d: r6(X.ablations(g := cpy(s, d), part_buckets(s, d, g, "type"), "closure", 0.3, 0.05)))
 query("wk14_community_quality")(lambda s, d: r6(X.community_quality(g := cpy(s, d), {"rnd": P.random_buckets(g, 10), "clu": P.cluster_buckets(g, 10)})))
 query("wk15_features", O.with_buckets("cpy", "type") + """, bm AS (SELECT bucket, avg(alpha) AS ma, avg(phi) AS mp FROM prof JOIN buckets USING (id) GROUP BY bucket)
-  SELECT id, [d::DOUBLE, round(alpha, 6), round(phi, 6), round(ma, 6), round(mp, 6)] AS features FROM prof JOIN buckets USING (id) JOIN bm USING (bucket)""")(lambda s, d: X.features(g := cpy(s, d), X.part_buckets(s, d, g, "type")))
+  SELECT id, [d::DOUBLE, round(alpha, 6), round(phi, 6), round(ma, 6), round(mp, 6)] AS features FROM prof JOIN buckets USING (id) JOIN bm USING (bucket)""")(lambda s, d: X.features(g := cpy(s, d), part_buckets(s, d, g, "type")))
+
+# --- the operators on the graph of the whole table, and the estimators and bounds on the hub graph
+
+WHOLE = re.compile(r"(?:x\d+|s\d|e\d|b\d|c3|c6|q\d|f\d|a\d+|wc|wh|ne|ks|tr|xb|p)_")
+HUBS = re.compile(r"(?:e\d|b\d|c3|c6|q\d|a1|a2|a6|a7)_")
+NO_GRAPH = {"b4_dimension", "b5_dimension_by_split", "x7_triangle_count_cp"}
+
+
+def _on(graph: str, run: Query) -> Query:
+    def switched(spark: SparkSession, sf_dir: str) -> DataFrame:
+        token = GRAPH.set(graph)
+        try:
+            return run(spark, sf_dir)
+        finally:
+            GRAPH.reset(token)
+
+    return switched
+
+
+def _sql_on(graph: str, sql: str) -> str | None:
+    """The SQL of a query on another graph, or None where it does not name the graph in the usual way."""
+    for kind in O.LABELS:
+        sql = sql.replace(O.with_buckets("cpy", kind), O.with_buckets(graph, "deg" if graph == "tr" else kind))
+    sql = sql.replace(O.graph("cpy"), O.graph(graph))
+    return None if O.GRAPHS["cpy"] in sql else sql
+
+
+for _name in [n for n in QUERIES if n not in NO_GRAPH]:
+    for _graph, _which in (("cp", WHOLE), ("tr", HUBS)):
+        if _which.match(_name):
+            QUERIES[f"{_name}_{_graph}"] = _on(_graph, QUERIES[_name])
+            if _name in ORACLE_SQL and (_text := _sql_on(_graph, ORACLE_SQL[_name])):
+                ORACLE_SQL[f"{_name}_{_graph}"] = _text

@@ -39,3 +39,14 @@ def test_entry_shape(spark):
 
     df = __spark_entry__.entry(spark)
     assert df.count() > 0 and DATA
+
+
+@pytest.mark.parametrize("name", ["x8_node_triangles_cp", "e4_fixed_bag_means_clustering_cp", "b6_range_bounds_closure_tr", "f3_carried_cp"])
+def test_whole_graphs_equal_to_sql(spark, name):
+    assert compare(spark, QUERIES[name], ORACLE_SQL[name], "sf0.001") == ""
+
+
+def test_whole_table_reaches_the_operators(spark):
+    from localcoef.sources.graphs import copart
+
+    assert QUERIES["s2_number_edges_cp"](spark, f"{DATA}/sf0.001").count() == copart(spark, f"{DATA}/sf0.001").edges.count()
