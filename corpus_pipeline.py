@@ -55,7 +55,7 @@ def near(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
 def benchmark(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
     """Drops the documents that hold a benchmark item."""
     found = contamination(_packed(docs), table(spark, sf_dir, "benchmark"), text_col="__row.text", keep=["__row"])
-    return found.where("item_id is null").select("__row.*")
+    return found.where("coverage is null").select("__row.*")
 
 
 def tokens(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:

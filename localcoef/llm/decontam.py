@@ -7,7 +7,8 @@ its tiles cover enough of the item's words, in whatever order, or if one tile is
 
 Cases: null and empty texts, and items without words, match nothing; an item shorter than a seed must occur as a
 whole; ties between tiles go to the first in the item, then in the document; between items to the greater coverage,
-then the smaller id; repeated rows give repeated rows; an empty table on either side leaves all documents clean.
+then the smaller id, null last; an item without an id matches as others do, and its documents have a coverage but no
+item_id, so the coverage tells what is contaminated; repeated rows give repeated rows; an empty table on either side leaves all documents clean.
 Only the named columns are read.
 """
 
@@ -146,25 +147,29 @@ class Items:
 
 
 def _better(new, old, ids) -> bool:
-    return old is None or (-new[0], ids[new[1]]) < (-old[0], ids[old[1]])
+    return old is None or _rank(new[0], ids[new[1]]) < _rank(old[0], ids[old[1]])
+
+
+def _rank(coverage: float, item: int | None) -> tuple:
+    return -coverage, item is None, item or 0
 
 
 def contamination(docs: DataFrame, items: DataFrame, rule: Tiling = Tiling(), id_col: str = "doc_id", text_col: str = "text", item_col: str = "item_id", item_text: str = "text", keep: list[str] | None = None, block_chars: int = BLOCK_CHARS) -> DataFrame:
     """Per row: the kept columns (the id unless given), and item_id, coverage and longest_tile of the worst item, or nulls.
 
-    The items come to the driver in blocks of about ``block_chars`` characters, by a hash of their id, so a benchmark of
+    The items come to the driver in blocks of about ``block_chars`` characters, by a hash of the item, so a benchmark of
     any size is matched as a series of bounded broadcasts; no pair is formed but where a seed is shared.
     """
     spark = docs.sparkSession
     keep = keep if keep is not None else [id_col]
-    chosen = items.select(F.col(item_col).cast("long").alias("item"), F.col(item_text).cast("string").alias("text")).where("item is not null and text is not null")
+    chosen = items.select(F.col(item_col).cast("long").alias("item"), F.col(item_text).cast("string").alias("text")).where("text is not null")
     chars = chosen.agg(F.coalesce(F.sum(F.char_length("text")), F.lit(0)).alias("n")).first()["n"]
     n_blocks = max(1, -(-chars // block_chars))
     packed = text_col.split(".", 1)[1] if "." in text_col else None  # in a kept struct, so not sent twice
     state = docs.select(*keep, *([] if packed else [F.col(text_col).cast("string").alias("__text")]), F.lit(None).cast("long").alias("item_id"), F.lit(None).cast("double").alias("coverage"), F.lit(None).cast("long").alias("longest_tile"))
     schema = state.schema
     for k in range(n_blocks):
-        rows = chosen.where(F.pmod(F.xxhash64("item"), F.lit(n_blocks)) == k).orderBy("item").collect()
+        rows = chosen.where(F.pmod(F.xxhash64("item", "text"), F.lit(n_blocks)) == k).orderBy("item", "text").collect()
         state = state.mapInArrow(_matcher(spark.sparkContext.broadcast(([r["item"] for r in rows], [r["text"] for r in rows], rule)), packed, len(keep)), schema)
     return state.drop("__text")
 
@@ -178,7 +183,7 @@ def _matcher(shared, packed: str | None, n_keep: int):
             old = list(zip(*[batch.column(same + i).to_pylist() for i in range(3)], strict=True))
             for low, _, texts in text_blocks(batch.column(0).field(packed) if packed else batch.column(n_keep)):
                 for i, got in enumerate(items.match(texts), low):
-                    if got and (old[i][0] is None or (-got[0], items.ids[got[1]]) < (-old[i][1], old[i][0])):
+                    if got and (old[i][1] is None or _rank(got[0], items.ids[got[1]]) < _rank(old[i][1], old[i][0])):
                         old[i] = (items.ids[got[1]], got[0], got[2])
             new = [pa.array([o[j] for o in old], kind) for j, kind in enumerate((pa.int64(), pa.float64(), pa.int64()))]
             yield pa.RecordBatch.from_arrays([*batch.columns[:same], *new], batch.schema.names)

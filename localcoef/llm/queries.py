@@ -54,7 +54,7 @@ def op4_string_tiling(spark: SparkSession, sf_dir: str) -> DataFrame:
     from localcoef.llm.decontam import contamination
 
     found = contamination(table(spark, sf_dir, "documents"), table(spark, sf_dir, "benchmark"))
-    return found.withColumn("kept", found["item_id"].isNull())
+    return found.withColumn("kept", found["coverage"].isNull())
 
 
 def op5_language_profiles(spark: SparkSession, sf_dir: str) -> DataFrame:

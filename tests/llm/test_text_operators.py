@@ -282,3 +282,12 @@ def test_wrappers_drop_only_marked_parts(spark):
     rows = [(n, f"http://h.example.com/{n}", page.format(n=n)) for n in range(4)]
     got = {r["page_id"]: r["text"] for r in extract_pages(spark.createDataFrame(rows, "page_id long, url string, html string")).collect()}
     assert got == {n: f"T{n}\nRelated work\na{n}\nb{n}\nc{n}\nend {n}" for n in range(4)}
+
+
+def test_items_without_an_id_contaminate(spark):
+    words = prose(5, 40)
+    docs = table(spark, [" ".join(words), " ".join(prose(6, 40)), None])
+    items = spark.createDataFrame([(None, " ".join(words[5:30])), (3, "other words that match nothing at all here"), (None, None)], "item_id long, text string")
+    for size in (10**6, 20):
+        got = {r["doc_id"]: (r["item_id"], r["coverage"], r["longest_tile"]) for r in contamination(docs, items, block_chars=size).collect()}
+        assert got == {0: (None, 1.0, 25), 1: (None, None, None), 2: (None, None, None)}
