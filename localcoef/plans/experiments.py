@@ -4,6 +4,7 @@ from __future__ import annotations
 
 import math
 from collections.abc import Callable, Sequence
+from itertools import count
 
 from pyspark.sql import DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
@@ -203,13 +204,15 @@ def induced(g: Graph, labels: DataFrame) -> DataFrame:
     return full.select("community", "nodes", "edges", F.when(F.col("nodes") > 1, 2 * F.col("edges") / (F.col("nodes") * (F.col("nodes") - 1))).otherwise(F.lit(0.0)).alias("density"), "triangles")
 
 
-def induced_components(g: Graph, labels: DataFrame, rounds: int = 60) -> DataFrame:
-    """(community, components, largest): connected parts inside each bucket, by least labels over written rounds."""
+def induced_components(g: Graph, labels: DataFrame, rounds: int | None = None) -> DataFrame:
+    """(community, components, largest): connected parts inside each bucket, by least labels over written rounds until none moves; more than ``rounds``, if given, are an error."""
     at = lambda x, c: labels.select(F.col("id").alias(x), F.col("label").alias(c))
     inside = g.edges.join(at("u", "cu"), "u").join(at("v", "cv"), "v").where("cu = cv").select("u", "v")
     adj = written(Graph(g.nodes, inside).adjacency, "inside")
     now = written(labels.select("id", F.col("id").alias("root")), "roots")
-    for _ in range(rounds):
+    for n in count():
+        if n == rounds:
+            raise RuntimeError(f"components have not settled in {rounds} rounds")
         near = adj.join(now.select(F.col("id").alias("dst"), "root"), "dst").groupBy(F.col("src").alias("id")).agg(F.min("root").alias("least"))
         new = now.join(near, "id", "left").select("id", "root", F.least("root", F.coalesce("least", "root")).alias("next"))
         jump = new.select("id", "root", "next").join(new.select(F.col("id").alias("next"), F.col("next").alias("far")), "next").select("id", F.least("next", "far").alias("next"), F.col("root").alias("was"))

@@ -2,6 +2,8 @@
 
 from __future__ import annotations
 
+from itertools import count
+
 from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
@@ -94,17 +96,19 @@ def random_buckets(g: Graph, k: int = 30, seed: int = 0) -> DataFrame:
     return numbered(g.nodes.select("id", F.lpad((code % k).cast("string"), 6, "0").alias("label")))
 
 
-def core_numbers(g: Graph, rounds: int = 500) -> DataFrame:
+def core_numbers(g: Graph, rounds: int | None = None) -> DataFrame:
     """(id, core): the largest h such that the node is in a subgraph of least degree h, by repeated h-indices.
 
     A node's neighbours' values are counted from above by a window over (node, value); every round is written to the
-    shared folder; a node's value only falls, and the rounds end when none does.
+    shared folder; a node's value only falls, and the rounds end when none does. More than ``rounds``, if given, are an error.
     """
     from localcoef.plans.store import written
 
     adj = written(g.adjacency, "adjacency")
     now = written(degrees(g).withColumnRenamed("deg", "core"), "cores")
-    for _ in range(rounds):
+    for n in count():
+        if n == rounds:
+            raise RuntimeError(f"core numbers have not settled in {rounds} rounds")
         seen = adj.join(now.withColumnRenamed("id", "dst"), "dst").groupBy("src", "core").agg(F.count("*").alias("n"))
         above = F.sum("n").over(Window.partitionBy("src").orderBy(F.desc("core")))
         index = seen.withColumn("h", F.least("core", above)).groupBy("src").agg(F.max("h").alias("h"))

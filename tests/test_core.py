@@ -167,3 +167,15 @@ def test_errors(toy, spark):
         check_partition(g.nodes, b.unionByName(b))
     check_partition(g.nodes, b)
     assert math.isclose(estimators.bucket_means(estimators.edge_bucket_values(g, g.edges.withColumn("ix", F.lit(0)), b, exact.denominators(g, "closure"), 6, 0.1), b, 6).where("bucket = 1").first()["f"], 0.65)
+
+
+def test_loops_end_settled_or_fail(spark):
+    from localcoef.plans.experiments import induced_components
+
+    g = G.of_pairs(spark, [(i, i + 1) for i in range(11)])
+    with pytest.raises(RuntimeError):
+        P.core_numbers(g, 2)
+    with pytest.raises(RuntimeError):
+        induced_components(g, P.single_bucket(g), 1)
+    assert {r["core"] for r in P.core_numbers(g).collect()} == {1}
+    assert [(r["components"], r["largest"]) for r in induced_components(g, P.single_bucket(g)).collect()] == [(1, 12)]
