@@ -127,7 +127,7 @@ def groups_by_force(texts, ids):
     return {ids[i]: ids[find(i)] for i in range(len(texts))}
 
 
-@pytest.mark.parametrize("rule", [neardup.Forest(), neardup.Forest(reach=1, block=3)])
+@pytest.mark.parametrize("rule", [neardup.Forest(), neardup.Forest(reach=1, block_bytes=2000)])
 def test_near_duplicates(spark, rule):
     r = random.Random(9)
     texts = odd_texts()
@@ -291,3 +291,35 @@ def test_items_without_an_id_contaminate(spark):
     for size in (10**6, 20):
         got = {r["doc_id"]: (r["item_id"], r["coverage"], r["longest_tile"]) for r in contamination(docs, items, block_chars=size).collect()}
         assert got == {0: (None, 1.0, 25), 1: (None, None, None), 2: (None, None, None)}
+
+
+def test_near_duplicates_of_the_table(spark):
+    rows = spark.read.parquet("/root/testdata/sf0.01/documents.parquet").select("doc_id", "text").collect()
+    want = groups_by_force([r["text"] for r in rows], [r["doc_id"] for r in rows])
+    got = {r["doc_id"]: r["component_id"] for r in QUERIES["op8_lsh_forest"](spark, "/root/testdata/sf0.01").collect()}
+    assert got == want
+
+
+@pytest.mark.parametrize("block_bytes", [8_000_000, 4000])
+def test_crowded_regions(spark, block_bytes):
+    """Hundreds of near copies of one text, many of them beyond the threshold from all others, beside exact copies."""
+    r = random.Random(2)
+    base, texts = prose(78, 100, 10**6), []
+    for k in range(260):
+        copy = list(base)
+        for _ in range(r.choice((0, 1, 2, 3, 4, 5, 8))):
+            copy[r.randrange(100)] = f"new{k}x{r.random()}"
+        texts.append(" ".join(copy))
+    got = {x["doc_id"]: x["component_id"] for x in neardup.near_duplicates(table(spark, texts), neardup.Forest(block_bytes=block_bytes)).collect()}
+    want = groups_by_force(texts, list(range(260)))
+    assert got == want and 20 < len(set(want.values())) < 250
+
+
+def test_near_duplicates_of_odd_ids(spark):
+    text = " ".join(prose(12, 60))
+    rows = [(None, text), (None, None), (7, text), (7, " ".join(prose(13, 60))), (3, text), (7, text)]
+    got = neardup.near_duplicates(spark.createDataFrame(rows, "doc_id long, text string"), with_key=True)
+    seen = sorted(((r["doc_id"], r["component_id"], r["kept"]) for r in got.collect()), key=str)
+    assert seen == sorted([(None, None, True), (None, None, True), (7, 3, False), (7, 7, True), (3, 3, True), (7, 3, False)], key=str)
+    with pytest.raises(TypeError):
+        neardup.near_duplicates(spark.createDataFrame([("a", text)], "doc_id string, text string"))
