@@ -6,15 +6,16 @@ and equal runs have equal anchors. The runs that follow one another with the sam
 anchors that occur once go at once; equal segments are counted once with their number; the segments that are left are
 dealt to shards by anchor. Each shard builds the suffix automaton of its segments and streams them through it; a run
 that ends at places of total weight two or more is repeated. The rare anchor with very many different segments is not
-gathered in one shard: its segments are split by a longer anchor, what occurs once goes, and the runs that are left
-are counted by hash, which is partial before the shuffle.
+gathered in one shard: its segments are split by longer and longer anchors until each has few enough, and these go
+through automata in the same way. The last anchor is a whole run: then all parts of an anchor are equal, and equal parts
+are counted once with their number, as everywhere.
 
 ``remove_reference_spans`` is the plain form for a reference of its own: automata of bounded shards are broadcast and
 every document is streamed through them.
 
 Cases: null text has no words; a text shorter than ``width`` words keeps them all; a run that repeats within its own
 text counts, overlapping or not; rows with equal id and text are separate texts, so their runs repeat; a null id is an
-id; an empty table gives an empty table. Only the named columns are read.
+id; ids may be of any type that can be ordered; an empty table gives an empty table. Only the named columns are read.
 """
 
 from __future__ import annotations
@@ -38,10 +39,10 @@ class Runs:
     anchor: int = 6
     #: Words of a shard's automaton, about.
     shard_words: int = 20_000
-    #: Different segments of one anchor that a shard takes; beyond, its runs are counted by hash.
+    #: Different segments of one anchor that a shard takes; beyond, they are split by the next of the longer anchors.
     segments: int = 1000
-    #: Words of the longer anchor that then tells runs apart before they are counted.
-    long_anchor: int = 20
+    #: Words of the longer anchors; a whole run is the last.
+    longer: tuple[int, ...] = (20,)
     #: Rows up to this number are picked by a broadcast of their ids; more are shuffled.
     broadcast_rows: int = 1_000_000
 
@@ -111,7 +112,8 @@ def segments(rows: DataFrame, rule: Runs) -> DataFrame:
 
     if rule.width - rule.anchor + 1 > 63:
         raise ValueError("a segment has at most 63 runs")
-    return rows.mapInArrow(run, "anchor long, seg long, id long, key int, spot long")
+    kind = rows.schema["id"].dataType.simpleString()
+    return rows.mapInArrow(run, f"anchor long, seg long, id {kind}, key int, spot long")
 
 
 def _read_segments(rule: Runs):
@@ -121,7 +123,7 @@ def _read_segments(rule: Runs):
         for batch in batches:
             wanted = batch.column(1)
             for low, high, texts in text_blocks(batch.column(0)):
-                out: list[list] = [[], [], [], [], []]
+                out: list[list] = [[], [], [], []]
                 block = WordBlock(texts)
                 words = block.hashes()
                 for i in range(low, high):
@@ -129,10 +131,10 @@ def _read_segments(rule: Runs):
                     for w in wanted[i].as_py():
                         start, runs = base + w["spot"] // 64, w["spot"] % 64
                         span = words[start : start + runs + rule.width - 1]
-                        for column, v in zip(out, (w["anchor"], w["seg"], w["n"], w["many"], span.tobytes()), strict=True):
+                        for column, v in zip(out, (w["anchor"], w["seg"], w["n"], span.tobytes()), strict=True):
                             column.append(v)
-                kinds = (pa.int64(), pa.int64(), pa.int64(), pa.bool_(), pa.binary())
-                yield pa.RecordBatch.from_arrays([pa.array(c, k) for c, k in zip(out, kinds, strict=True)], ["anchor", "seg", "n", "many", "words"])
+                kinds = (pa.int64(), pa.int64(), pa.int64(), pa.binary())
+                yield pa.RecordBatch.from_arrays([pa.array(c, k) for c, k in zip(out, kinds, strict=True)], ["anchor", "seg", "n", "words"])
 
     return run
 
@@ -164,37 +166,48 @@ def _judge(rule: Runs):
     return run
 
 
-def _longer_anchors(rule: Runs):
-    """Segments split by their longer anchors: the part's own anchor, where it begins in the segment, and its words."""
-    longer = replace(rule, anchor=rule.long_anchor)
+def _split(rule: Runs, anchor: int):
+    """Parts (anchor, part, n, words) split by a longer anchor: the new anchor and part, and the old ones with the place
+    of the new part in the old one."""
+    longer = replace(rule, anchor=anchor)
 
     def run(batches):
         for batch in batches:
-            columns: list[list] = [[], [], [], [], [], []]
-            for anchor, seg, n, words in zip(*[c.to_pylist() for c in batch.columns], strict=True):
+            columns: list[list] = [[] for _ in range(7)]
+            for old, part, n, words in zip(*[c.to_pylist() for c in batch.columns], strict=True):
                 span = np.frombuffer(words, np.uint64)
                 first, count, value = anchors(span, len(span) - np.arange(len(span)), longer)
-                for f, c, v in zip(first.tolist(), count.tolist(), _signed(value).tolist(), strict=True):
-                    for column, x in zip(columns, (v, anchor, seg, n, f, span[f : f + c + rule.width - 1].tobytes()), strict=True):
+                parts = _span_hash(span, first, count + rule.width - 1)
+                for f, c, v, h in zip(first.tolist(), count.tolist(), _signed(value).tolist(), _signed(parts).tolist(), strict=True):
+                    for column, x in zip(columns, (v, h, old, part, f, n, span[f : f + c + rule.width - 1].tobytes()), strict=True):
                         column.append(x)
-            kinds = (*[pa.int64()] * 5, pa.binary())
-            yield pa.RecordBatch.from_arrays([pa.array(c, k) for c, k in zip(columns, kinds, strict=True)], ["longer", "anchor", "seg", "n", "first", "words"])
+            kinds = (*[pa.int64()] * 6, pa.binary())
+            yield pa.RecordBatch.from_arrays([pa.array(c, k) for c, k in zip(columns, kinds, strict=True)], ["anchor", "seg", "old", "part", "first", "n", "words"])
 
     return run
 
 
-def _each_run(rule: Runs):
-    def run(batches):
-        for batch in batches:
-            columns: list[list] = [[], [], [], [], []]
-            for anchor, seg, n, first, words in zip(*[c.to_pylist() for c in batch.columns], strict=True):
-                hashes = _signed(window_hashes(np.frombuffer(words, np.uint64), rule.width)).tolist()
-                for i, h in enumerate(hashes, first):
-                    for column, v in zip(columns, (anchor, h, seg, i, n), strict=True):
-                        column.append(v)
-            yield pa.RecordBatch.from_arrays([pa.array(c, pa.int64()) for c in columns], ["anchor", "run", "seg", "at", "n"])
-
-    return run
+def _judged(words: DataFrame, rule: Runs, longer: tuple[int, ...]) -> DataFrame:
+    """(anchor, seg, bits) of the repeated runs of distinct parts (anchor, seg, n, words), by automata of shards; anchors
+    with too many different parts are split first."""
+    if not longer:  # a whole run is the anchor, so its parts are equal and have been counted
+        return words.where("n > 1").select("anchor", "seg", F.lit(1).cast("long").alias("bits"))
+    size = words.groupBy("anchor").agg(F.count("*").alias("d")).where(F.col("d") > rule.segments).select("anchor")
+    many = written(size, "many")
+    judge = lambda rows: rows.repartition("anchor").sortWithinPartitions("anchor").mapInArrow(_judge(rule), "anchor long, seg long, bits long")
+    if many.isEmpty():
+        return judge(words)
+    many = many.withColumn("x", F.hash("anchor"))
+    found = judge(words.withColumn("x", F.hash("anchor")).join(many, ["anchor", "x"], "left_anti").select("anchor", "seg", "n", "words"))
+    crowd = words.withColumn("x", F.hash("anchor")).join(many, ["anchor", "x"]).select("anchor", "seg", "n", "words")
+    parts = written(crowd.mapInArrow(_split(rule, longer[0]), "anchor long, seg long, old long, part long, first long, n long, words binary"), "parts")
+    # what occurs once goes, equal parts are counted once; parts of different old anchors never hold the same run
+    twice = parts.groupBy("anchor").agg(F.sum("n").alias("total")).where("total > 1").select("anchor", F.hash("anchor").alias("x"))
+    kinds = parts.withColumn("x", F.hash("anchor")).join(twice, ["anchor", "x"]).groupBy("anchor", "seg").agg(F.sum("n").alias("n"), F.min("words").alias("words"))
+    verdict = _judged(written(kinds, "kinds"), rule, longer[1:])
+    back = parts.select("anchor", "seg", "old", "part", "first").withColumn("x", F.hash("anchor", "seg")).join(verdict.withColumn("x", F.hash("anchor", "seg")), ["anchor", "seg", "x"])
+    back = back.groupBy("old", "part").agg(F.bit_or(F.expr("shiftleft(bits, int(first))")).alias("bits"))
+    return found.unionByName(back.select(F.col("old").alias("anchor"), F.col("part").alias("seg"), "bits"))
 
 
 def _with_texts(rows: DataFrame, lists: DataFrame, rule: Runs, how: str) -> tuple[DataFrame, DataFrame | None]:
@@ -217,22 +230,16 @@ def repeated_runs(rows: DataFrame, rule: Runs) -> DataFrame:
     kinds = met.groupBy("anchor", "seg").agg(F.count("*").alias("n"), F.min(F.struct("id", "key", "spot")).alias("where"))
     kinds = written(kinds, "kinds")
     several = kinds.groupBy("anchor").agg(F.count("*").alias("d")).where("d > 1").withColumn("x", F.hash("anchor"))
-    mixed = kinds.withColumn("x", F.hash("anchor")).join(several, ["anchor", "x"]).select("where.*", "anchor", "seg", "n", (F.col("d") > rule.segments).alias("many"))
-    lists = written(mixed.groupBy("id", "key").agg(F.collect_list(F.struct("anchor", "seg", "n", "many", "spot")).alias("wanted")), "wanted")
+    mixed = kinds.withColumn("x", F.hash("anchor")).join(several, ["anchor", "x"]).select("where.*", "anchor", "seg", "n")
+    lists = written(mixed.groupBy("id", "key").agg(F.collect_list(F.struct("anchor", "seg", "n", "spot")).alias("wanted")), "wanted")
     joined, _ = _with_texts(rows, lists, rule, "inner")
-    words = written(joined.select("text", "wanted").mapInArrow(_read_segments(rule), "anchor long, seg long, n long, many boolean, words binary"), "words")
-    found = words.where("not many").select("anchor", "seg", "n", "words").repartition("anchor").sortWithinPartitions("anchor").mapInArrow(_judge(rule), "anchor long, seg long, bits long")
-    parts = words.where("many").select("anchor", "seg", "n", "words").mapInArrow(_longer_anchors(rule), "longer long, anchor long, seg long, n long, first long, words binary")
-    twice = parts.groupBy("longer", "anchor").agg(F.sum("n").alias("total")).where("total > 1").select("longer", "anchor", F.hash("longer", "anchor").alias("x"))
-    parts = parts.withColumn("x", F.hash("longer", "anchor")).join(twice, ["longer", "anchor", "x"])
-    runs = parts.select("anchor", "seg", "n", "first", "words").mapInArrow(_each_run(rule), "anchor long, run long, seg long, at long, n long")
-    total = runs.groupBy("anchor", "run").agg(F.sum("n").alias("total")).where("total > 1").select("anchor", "run", F.hash("anchor", "run").alias("x"))
-    counted = runs.withColumn("x", F.hash("anchor", "run")).join(total, ["anchor", "run", "x"]).groupBy("anchor", "seg").agg(F.expr("bit_or(shiftleft(1L, int(at)))").alias("bits"))
+    words = written(joined.select("text", "wanted").mapInArrow(_read_segments(rule), "anchor long, seg long, n long, words binary"), "words")
+    found = _judged(words, rule, (*rule.longer, rule.width))
     # a segment that occurs twice is repeated as a whole, whatever else its anchor meets
     whole = kinds.where("n > 1").select("anchor", "seg", F.expr("shiftleft(1L, int(where.spot % 64)) - 1").alias("bits"))
-    verdict = written(found.where("bits <> 0").unionByName(counted).unionByName(whole).groupBy("anchor", "seg").agg(F.bit_or("bits").alias("bits")).withColumn("x", F.hash("anchor", "seg")), "verdicts")
+    verdict = written(found.where("bits <> 0").unionByName(whole).groupBy("anchor", "seg").agg(F.bit_or("bits").alias("bits")).withColumn("x", F.hash("anchor", "seg")), "verdicts")
     marked = met.withColumn("x", F.hash("anchor", "seg")).join(verdict, ["anchor", "seg", "x"])
-    return marked.groupBy("id", "key").agg(F.collect_list(F.struct("spot", "bits")).alias("marks"))
+    return marked.groupBy("id", "key").agg(F.collect_set(F.struct("spot", "bits")).alias("marks"))
 
 
 def removed_mask(marks: list | None, n: int, width: int) -> np.ndarray:
@@ -274,13 +281,14 @@ def _cut(rule: Runs, with_text: bool):
 
 def remove_repeats(docs: DataFrame, rule: Runs = Runs(), id_col: str = "doc_id", text_col: str = "text", with_text: bool = False) -> DataFrame:
     """Per row: the id, n_words, n_removed, kept_sha256, and with ``with_text`` the kept words."""
-    rows = docs.select(F.col(id_col).cast("long").alias("id"), F.hash(F.col(text_col)).alias("key"), F.col(text_col).cast("string").alias("text"))
+    rows = docs.select(F.col(id_col).alias("id"), F.hash(F.col(text_col)).alias("key"), F.col(text_col).cast("string").alias("text"))
     marks = written(repeated_runs(rows, rule), "marks")
     near, rest = _with_texts(rows, marks, rule, "left")
     near = near.select("id", "text", "marks")
     if rest is not None:
         near = near.unionByName(rest.select("id", "text", F.lit(None).cast(marks.schema["marks"].dataType).alias("marks")))
-    schema = "id long, n_words long, n_removed long, kept_sha256 string" + (", kept_text string" if with_text else "")
+    kind = docs.select(id_col).schema[0].dataType.simpleString()
+    schema = f"id {kind}, n_words long, n_removed long, kept_sha256 string" + (", kept_text string" if with_text else "")
     return near.mapInArrow(_cut(rule, with_text), schema).withColumnRenamed("id", id_col)
 
 
