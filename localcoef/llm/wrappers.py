@@ -9,7 +9,7 @@ among the elements that stand once in every page, the innermost that holds most
 notices and the like. Every page is then cut by the container of its template. Where that has none, the page's own
 container is used, or its body.
 
-Cases: null or empty html gives the empty text; a page without host belongs to a host of its own kind; unclosed and
+Cases: null or empty html gives the empty text; elements may be nested to any depth; a page without host belongs to a host of its own kind; unclosed and
 stray tags are taken as browsers do, roughly; equal pages align without slots, and then all texts count; repeated
 rows give repeated rows; an empty table gives an empty table. Only the named columns are read.
 """
@@ -21,7 +21,6 @@ import html as html_lib
 import json
 import re
 from dataclasses import dataclass, field
-from difflib import SequenceMatcher
 from functools import lru_cache
 
 import numpy as np
@@ -35,6 +34,8 @@ from localcoef.llm.store import written
 TEMPLATE_DEPTH = 4
 #: Parts in which the structures of a template are aligned before these are aligned with one another.
 PARTS = 64
+#: Elements nested deeper are no containers by themselves; their text is that of the element above.
+LEVELS = 200
 #: Characters of pages of new structures after which a task hands on what it has merged.
 HELD_CHARS = 16_000_000
 #: Bytes of containers that are broadcast; more are shuffled.
@@ -151,9 +152,9 @@ def _close(stack: list[Tree], name: str, limits: tuple) -> None:
 # ("+", nodes) for a repeated group and ("?", nodes) for an optional one.
 
 
-def stream(node: Tree, out: list | None = None) -> list:
+def stream(node: Tree) -> list:
     """A parsed page as wrapper nodes, with inline markup taken as part of the text and blank texts dropped."""
-    out = [] if out is None else out
+    out: list = []
     run: list[str] = []
 
     def flush():
@@ -162,21 +163,27 @@ def stream(node: Tree, out: list | None = None) -> list:
         if text:
             out.append(("t", _short(text), len(text), 1))
 
-    def walk(children):
+    open_elements = [(iter(node.children), None)]  # with the signature to close, or None for inline markup
+    while open_elements:
+        children, end = open_elements[-1]
         for child in children:
             if isinstance(child, str):
                 run.append(child)
             elif child.name in INLINE:
                 run.append(" " if child.name == "br" else "")
-                walk(child.children)
+                open_elements.append((iter(child.children), None))
+                break
             else:
                 flush()
                 out.append(("o", child.signature))
-                stream(child, out)
-                out.append(("c", child.signature))
-        flush()
-
-    walk(node.children)
+                open_elements.append((iter(child.children), child.signature))
+                break
+        else:
+            open_elements.pop()
+            if end is not None:
+                flush()
+                out.append(("c", end))
+    flush()
     return out
 
 
@@ -203,65 +210,119 @@ def merge(a, b):
     return a
 
 
-def fold(nodes: list) -> list:
-    """Runs of equal groups become repeated groups; shorter groups first, until nothing changes."""
-    changed = True
-    while changed:
-        changed, width, keys = False, 0, None
-        while 2 * (width + 1) <= len(nodes):
-            width += 1
-            if keys is None:
-                keys = [key(n) for n in nodes]
-                numbers = np.unique(keys, return_inverse=True)[1]
-            if not _repeats(numbers, width):
-                continue
-            out, i = [], 0
-            while i < len(nodes):
-                n = 1
-                while keys[i : i + width] == keys[i + n * width : i + (n + 1) * width] and len(keys[i : i + width]) == width and _balanced(nodes[i : i + width]):
-                    n += 1
-                if n > 1:
-                    group = nodes[i : i + width]
-                    for k in range(1, n):
-                        group = [merge(x, y) for x, y in zip(group, nodes[i + k * width : i + (k + 1) * width], strict=True)]
-                    out.append(group[0] if width == 1 and group[0][0] == "+" else ("+", group))
-                    i += n * width
-                    changed = True
-                else:
-                    out.append(nodes[i])
+class _Items:
+    """Wrapper nodes as nested items of siblings, each a number that stands for its structure and its nodes or items."""
+
+    def __init__(self):
+        self.numbers: dict = {}
+
+    def _number(self, structure) -> int:
+        return self.numbers.setdefault(structure, len(self.numbers))
+
+    def of(self, nodes: list, siblings=None) -> list:
+        """The items of a run of nodes; ``siblings`` may shorten the items of each element, innermost first."""
+        siblings = siblings or (lambda items: items)
+        levels: list[tuple] = [(None, [])]
+        for n in nodes:
+            if n[0] == "o":
+                levels.append((n, []))
+            elif n[0] == "c" and levels[-1][0] is not None and levels[-1][0][1] == n[1]:
+                start, items = levels.pop()
+                items = siblings(items)
+                levels[-1][1].append((self._number(("o", n[1], *(x[0] for x in items))), [start, *items, n]))
+            else:
+                levels[-1][1].append(self.leaf(n))
+        while len(levels) > 1:  # alignments may leave elements open
+            start, items = levels.pop()
+            levels[-1][1].extend([self.leaf(start), *items])
+        return siblings(levels[0][1])
+
+    def leaf(self, node: tuple) -> tuple:
+        return (self._number(key(node)), [node])
+
+    def repeated(self, groups: list[list]) -> tuple:
+        """The item of a repeated group, merged from groups of equal items."""
+        flat = [_nodes(g) for g in groups]
+        group = flat[0]
+        for other in flat[1:]:
+            group = [merge(x, y) for x, y in zip(group, other, strict=True)]
+        return self.leaf(group[0] if len(group) == 1 and group[0][0] == "+" else ("+", group))
+
+    def shorter(self, items: list) -> list:
+        """Runs of equal groups of siblings become repeated groups; shorter groups first, until nothing changes."""
+        changed = True
+        while changed:
+            changed, width = False, 0
+            while 2 * (width + 1) <= len(items):
+                width += 1
+                times = _repeats(np.array([x[0] for x in items]), width)
+                if times is None:
+                    continue
+                out, i = [], 0
+                while i < len(items):
+                    n = int(times[i]) + 1 if i < len(times) else 1
+                    out.append(self.repeated([items[i + k * width : i + (k + 1) * width] for k in range(n)]) if n > 1 else items[i])
+                    i += n * width if n > 1 else 1
+                items, changed = self.absorbed(out), True
+        return items
+
+    def absorbed(self, items: list) -> list:
+        """One more instance beside a repeated group joins it."""
+        out: list = []
+        i = 0
+        while i < len(items):
+            item = items[i]
+            node = item[1][0]
+            if not isinstance(node, list) and node[0] == "+":
+                inner = [x[0] for x in self.of(node[1])]
+                w = len(inner)
+                groups = [[item]]
+                while i + 1 < len(items) and items[i + 1][0] == item[0]:
+                    groups.append([items[i + 1]])
                     i += 1
-            # one more instance beside a repeated group joins it
-            nodes, joined = _absorb(out)
-            changed |= joined
-            keys = None
-    return nodes
-
-
-def _repeats(numbers: np.ndarray, width: int) -> bool:
-    """Whether some group of so many keys stands twice in a row."""
-    differ = np.flatnonzero(numbers[width:] != numbers[:-width])
-    return bool(np.diff(np.concatenate([[-1], differ, [len(numbers) - width]])).max() > width)
-
-
-def _absorb(nodes: list) -> tuple[list, bool]:
-    out, i, joined = [], 0, False
-    while i < len(nodes):
-        node = nodes[i]
-        if node[0] == "+":
-            inner = [key(x) for x in node[1]]
-            w = len(inner)
-            while [key(x) for x in nodes[i + 1 : i + 1 + w]] == inner:
-                node = ("+", [merge(x, y) for x, y in zip(node[1], nodes[i + 1 : i + 1 + w], strict=True)])
-                i, joined = i + w, True
-            while len(out) >= w and [key(x) for x in out[-w:]] == inner:
-                node = ("+", [merge(x, y) for x, y in zip(out[-w:], node[1], strict=True)])
-                del out[-w:]
-                joined = True
-            while i + 1 < len(nodes) and key(nodes[i + 1]) == key(node):
-                node, i, joined = merge(node, nodes[i + 1]), i + 1, True
-        out.append(node)
-        i += 1
-    return out, joined
+                item = self.repeated(groups) if len(groups) > 1 else item
+                plain = [item[1][0][1]]
+                while [x[0] for x in items[i + 1 : i + 1 + w]] == inner:
+                    plain.append(_nodes(items[i + 1 : i + 1 + w]))
+                    i += w
+                while len(out) >= w and [x[0] for x in out[-w:]] == inner:
+                    plain.insert(0, _nodes(out[-w:]))
+                    del out[-w:]
+                if len(plain) > 1:
+                    group = plain[0]
+                    for other in plain[1:]:
+                        group = [merge(x, y) for x, y in zip(group, other, strict=True)]
+                    item = self.leaf(("+", group))
+            out.append(item)
+            i += 1
+        return out
+
+
+def _nodes(items: list) -> list:
+    """The nodes of items, in order."""
+    out, left = [], list(reversed(items))
+    while left:
+        x = left.pop()
+        if isinstance(x[0], str):
+            out.append(x)
+        else:
+            left += reversed(x[1])
+    return out
+
+
+def fold(nodes: list) -> list:
+    """Runs of equal groups of siblings become repeated groups, in the innermost elements first."""
+    items = _Items()
+    return _nodes(items.of(nodes, items.shorter))
+
+
+def _repeats(numbers: np.ndarray, width: int) -> np.ndarray | None:
+    """For each place how often the group of so many numbers that starts there follows on itself, or None for nowhere."""
+    same = numbers[width:] == numbers[:-width]
+    differ = np.concatenate([np.flatnonzero(~same), [len(same)]])
+    ahead = differ[np.searchsorted(differ, np.arange(len(same)))] - np.arange(len(same))
+    times = ahead // width
+    return times if times.any() else None
 
 
 def _balanced(nodes: list) -> bool:
@@ -273,23 +334,108 @@ def _balanced(nodes: list) -> bool:
     return depth == 0
 
 
+#: Bits of the rows that an alignment keeps at once; longer streams are halved first.
+ALIGN_BITS = 1 << 28
+
+
+def common(a: list, b: list) -> list[tuple[int, int]]:
+    """Places of a longest common subsequence, by rows of bits; time grows with the product of the lengths over 64."""
+    numbers: dict = {}
+    return _common([numbers.setdefault(x, len(numbers)) for x in a], [numbers.setdefault(x, len(numbers)) for x in b])
+
+
+def _common(a: list[int], b: list[int]) -> list[tuple[int, int]]:
+    out: list[tuple[int, int]] = []
+    parts = [(0, len(a), 0, len(b))]
+    while parts:
+        i, j, k, m = parts.pop()
+        while i < j and k < m and a[i] == b[k]:
+            out.append((i, k))
+            i, k = i + 1, k + 1
+        while i < j and k < m and a[j - 1] == b[m - 1]:
+            j, m = j - 1, m - 1
+            out.append((j, m))
+        if i == j or k == m:
+            continue
+        if (j - i) * (m - k) <= ALIGN_BITS or j - i == 1:
+            out += [(i + x, k + y) for x, y in _matched(a[i:j], b[k:m])]
+            continue
+        half = (i + j) // 2
+        before = _scores(a[i:half], b[k:m])
+        after = _scores(a[half:j][::-1], b[k:m][::-1])[::-1]
+        cut = k + int(np.argmax(before + after))
+        parts += [(i, half, k, cut), (half, j, cut, m)]
+    return sorted(out)
+
+
+def _bit_rows(a: list[int], b: list[int]):
+    """Row by row of a, the bits of b where the longest common subsequence does not grow."""
+    places: dict[int, int] = {}
+    for y, value in enumerate(b):
+        places[value] = places.get(value, 0) | 1 << y
+    whole = (1 << len(b)) - 1
+    row = whole
+    for value in a:
+        met = row & places.get(value, 0)
+        row = ((row + met) | (row - met)) & whole
+        yield row
+
+
+def _scores(a: list[int], b: list[int]) -> np.ndarray:
+    """Length of the longest common subsequence of a and each prefix of b."""
+    row = (1 << len(b)) - 1
+    for row in _bit_rows(a, b):  # noqa: B007
+        pass
+    bits = np.unpackbits(np.frombuffer(row.to_bytes(len(b) // 8 + 1, "little"), np.uint8), bitorder="little")[: len(b)]
+    return np.concatenate([[0], np.cumsum(1 - bits.astype(np.int64))])
+
+
+def _matched(a: list[int], b: list[int]) -> list[tuple[int, int]]:
+    rows = list(_bit_rows(a, b))
+    out, x, y = [], len(a), len(b)
+    while x and y:
+        if rows[x - 1] >> (y - 1) & 1:
+            y -= 1
+        else:
+            x -= 1
+            if not x or rows[x - 1] >> (y - 1) & 1:
+                y -= 1
+                out.append((x, y))
+    return out
+
+
 def align(wrapper: list, page: list) -> list:
     """The wrapper that also takes the page: equal nodes merge, others become optional."""
-    a, b = [key(n) for n in wrapper], [key(n) for n in page]
     out: list = []
-    for what, i, j, k, m in SequenceMatcher(None, a, b, autojunk=False).get_opcodes():
-        if what == "equal":
-            out += [merge(x, y) for x, y in zip(wrapper[i:j], page[k:m], strict=True)]
-        else:
-            for part in (wrapper[i:j], page[k:m]):
-                # groups that do not close what they open cannot be optional as one; they stay as they are, each by itself
-                if part and _balanced(part):
-                    out.append(part[0] if len(part) == 1 and part[0][0] == "?" else ("?", part))
-                else:
-                    out += [n if n[0] in "oc" else ("?", [n]) if n[0] != "?" else n for n in part]
+    i = k = 0
+    for x, y in [*common([key(n) for n in wrapper], [key(n) for n in page]), (len(wrapper), len(page))]:
+        for part in (wrapper[i:x], page[k:y]):
+            out += _optional(part)
+        if x < len(wrapper) and y < len(page):
+            out.append(merge(wrapper[x], page[y]))
+        i, k = x + 1, y + 1
     return _unite(out)
 
 
+def _optional(part: list) -> list:
+    """Nodes that only some pages have; groups that do not close what they open cannot be optional as one, and what is
+    optional stays as it is, so that groups do not nest with every page."""
+    if not _balanced(part):
+        return [n if n[0] in "oc?" else ("?", [n]) for n in part]
+    out: list = []
+    run: list = []
+    depth = 0
+    for n in part:
+        if n[0] == "?" and not depth:
+            out += [("?", run)] if run else []
+            out.append(n)
+            run = []
+        else:
+            depth += (n[0] == "o") - (n[0] == "c")
+            run.append(n)
+    return out + ([("?", run)] if run else [])
+
+
 def _unite(nodes: list) -> list:
     """Optional groups that stand together and agree are one."""
     out: list = []
@@ -332,12 +478,16 @@ def once(nodes: list) -> set[tuple]:
     seen: dict[tuple, int] = {}
 
     def walk(nodes, path, times):
+        deeper = 0
         for n in nodes:
             if n[0] == "o":
-                path = (*path, n[1])
-                seen[path] = seen.get(path, 0) + times
+                if len(path) < LEVELS:
+                    path = (*path, n[1])
+                    seen[path] = seen.get(path, 0) + times
+                else:
+                    deeper += 1
             elif n[0] == "c":
-                path = path[:-1]
+                path, deeper = (path, deeper - 1) if deeper else (path[:-1], 0)
             elif n[0] != "t":
                 walk(n[1], path, 2 if n[0] == "+" else times)
 
@@ -356,17 +506,18 @@ def container(wrapper: list, single: set[tuple] | None = None) -> list[str] | No
     flat = {"any": 0.0, "title": 0.0}
 
     def walk(nodes, path, skipped):
+        deeper = 0
         for n in nodes:
             if n[0] == "o":
                 name = n[1].partition(".")[0]
                 inside = any(p.partition(".")[0] in ("article", "main") for p in path)
-                path = (*path, n[1])
+                path, deeper = ((*path, n[1]), 0) if len(path) < LEVELS else (path, deeper + 1)
                 if skipped or aside(name, n[1], inside):
                     skipped += 1
-                elif path in single and name in CONTAINERS:
+                elif not deeper and path in single and name in CONTAINERS:
                     weight.setdefault(path, 0.0)
             elif n[0] == "c":
-                path = path[:-1]
+                path, deeper = (path, deeper - 1) if deeper else (path[:-1], 0)
                 skipped = max(0, skipped - 1)
             elif n[0] == "t":
                 if not skipped:
@@ -407,13 +558,14 @@ def constant_asides(wrapper: list) -> list[list[str]]:
     varies: dict[tuple, bool] = {}
 
     def walk(nodes, path):
+        deeper = 0
         for n in nodes:
             if n[0] == "o":
-                path = (*path, n[1])
-                if doubtful(n[1].partition(".")[0], n[1]):
+                path, deeper = ((*path, n[1]), 0) if len(path) < LEVELS else (path, deeper + 1)
+                if not deeper and doubtful(n[1].partition(".")[0], n[1]):
                     varies.setdefault(path, False)
             elif n[0] == "c":
-                path = path[:-1]
+                path, deeper = (path, deeper - 1) if deeper else (path[:-1], 0)
             elif n[0] == "t":
                 for k in range(1, len(path) + 1):
                     if path[:k] in varies:
@@ -450,12 +602,13 @@ def _own(root: Tree) -> Tree:
     return node or _body(root) or root
 
 
-def _body(node: Tree) -> Tree | None:
-    for child in node.children:
-        if isinstance(child, Tree):
-            found = child if child.name == "body" else _body(child)
-            if found is not None:
-                return found
+def _body(root: Tree) -> Tree | None:
+    left = [root]
+    while left:
+        node = left.pop()
+        if node.name == "body":
+            return node
+        left += [c for c in reversed(node.children) if isinstance(c, Tree)]
     return None
 
 
@@ -479,24 +632,28 @@ def text_of(node: Tree, path: tuple = (), constant: frozenset = frozenset(), ins
             return True
         return not inside and child.name in ("div", "ul") and child.signature.partition("#")[2] in _SIDE_WHOLE
 
-    def walk(children, path):
+    open_elements = [(iter(node.children), path, False)]
+    while open_elements:
+        children, path, block = open_elements[-1]
         for child in children:
             if isinstance(child, str):
                 run.append(child)
-                continue
-            at = path if child.name in INLINE else (*path, child.signature)
-            if child.name in INLINE:
+            elif child.name in INLINE:
                 if child.name == "br":
                     run.append(" ")
                 elif not aside(child.name, child.signature, True):
-                    walk(child.children, at)
+                    open_elements.append((iter(child.children), path, False))
+                    break
             else:
                 flush()
+                at = (*path, child.signature) if constant else ()
                 if not left_out(child, at):
-                    walk(child.children, at)
+                    open_elements.append((iter(child.children), at, True))
+                    break
+        else:
+            open_elements.pop()
+            if block:
                 flush()
-
-    walk(node.children, path)
     flush()
     return "\n".join(blocks)
 
@@ -516,13 +673,14 @@ def _text(root: Tree, node: Tree, constant: frozenset) -> str:
     return text_of(node, _place(root, node) if constant else (), constant, node.name not in ("", "html", "body"))
 
 
-def _place(root: Tree, node: Tree, path: tuple = ()) -> tuple | None:
+def _place(root: Tree, node: Tree) -> tuple | None:
     """The path of an element."""
-    if root is node:
-        return path
-    for child in root.children:
-        if isinstance(child, Tree) and (found := _place(child, node, path if child.name in INLINE else (*path, child.signature))) is not None:
-            return found
+    left = [(root, ())]
+    while left:
+        at, path = left.pop()
+        if at is node:
+            return path
+        left += [(c, path if c.name in INLINE else (*path, c.signature)) for c in reversed(at.children) if isinstance(c, Tree)]
     return None
 
 
