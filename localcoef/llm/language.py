@@ -1,19 +1,20 @@
 """Language of a text by rank-order profiles of character n-grams and the out-of-place distance.
 
-Letters outside a learned alphabet count as one common symbol, every run of other characters as one word edge, and
-grams of one to three symbols are packed into an integer. A text's most frequent grams, in order of frequency, are
-compared to each language's list: each gram adds how far its place differs, or the list's length if it is missing.
-
-Cases: null text, or text without a letter: ``und`` with score 0; ties between grams go to the smaller gram, ties
-between languages to the first by name; rows without a language take no part in learning; without any learned
-language every row is ``und``; repeated rows give repeated rows. Only the named columns are read.
+Every letter of any script is a symbol of its own, every run of other characters one word edge, and grams of one to
+three symbols are packed into an integer. A text's most frequent grams, in order of frequency, are compared to each
+language's list: each gram adds how far its place differs, or the list's length if it is missing.
+
+Cases: null text, or text without a letter (numerals such as a half are none): ``und`` with score 0; ties between grams
+go to the smaller gram, ties between languages to the first by name; rows without a language take no part in learning;
+without any learned language every row is ``und``; repeated rows give repeated rows; a text of any length is read whole.
+Only the named columns are read.
 """
 
 from __future__ import annotations
 
-import re
 from collections import Counter
 from dataclasses import dataclass
+from functools import lru_cache
 
 import numpy as np
 import pyarrow as pa
@@ -27,52 +28,54 @@ UNDETERMINED = "und"
 PROFILE_GRAMS = 400
 #: The fit reads about this many documents of each language, chosen by a hash of their id.
 SAMPLE_DOCUMENTS = 1000
-ALPHABET = 120
-MAX_LANGUAGES = 500
-_LETTER = re.compile(r"[^\W\d_]")
-_EDGE, _OTHER = 1, 2
+#: The word edge, and the bits of a symbol in a packed gram.
+_EDGE, _BITS = 32, 21
 
 
 @dataclass
 class Profiles:
-    """Symbols by letter, and for each language its grams with their places."""
+    """For each language its grams, most frequent first."""
 
-    letters: list[str]
     names: list[str]
     grams: list[list[int]]
     size: int = PROFILE_GRAMS
 
     def prepared(self):
-        table = np.full(0x110000, _OTHER, np.int32)
-        for i, c in enumerate(self.letters):
-            table[ord(c)] = 3 + i
-        alpha = np.zeros(0x110000, bool)
-        for c in range(0x110000):
-            if chr(c).isalpha():
-                alpha[c] = True
-        table[~alpha] = _EDGE
+        """The grams of each language in rising order, with their places."""
         lists = []
         for g in self.grams:
             order = np.argsort(np.array(g, np.int64), kind="stable")
             lists.append((np.array(g, np.int64)[order], order))
-        return table, lists
+        return lists
+
 
+@lru_cache(1)
+def _symbol_table() -> np.ndarray:
+    return np.fromiter((c if chr(c).isalpha() else _EDGE for c in range(0x110000)), np.int64, 0x110000)
 
-def symbols(text: str, table: np.ndarray) -> np.ndarray:
-    """Symbol codes of a text between two edges, a run of edges as one."""
-    codes = table[np.frombuffer(text.lower().encode("utf-32-le", "surrogatepass"), np.uint32)]
-    codes = np.concatenate([[_EDGE], codes, [_EDGE]]).astype(np.int32)
+
+def symbols(text: str) -> np.ndarray:
+    """Symbols of a text between two edges, a run of edges as one."""
+    codes = _symbol_table()[np.frombuffer(text.lower().encode("utf-32-le", "surrogatepass"), np.uint32)]
+    codes = np.concatenate([[_EDGE], codes, [_EDGE]])
     keep = np.ones(len(codes), bool)
     keep[1:] = (codes[1:] != _EDGE) | (codes[:-1] != _EDGE)
     return codes[keep]
 
 
+def packed(gram: str) -> int:
+    value = 0
+    for c in gram:
+        value = value << _BITS | ord(c)
+    return value
+
+
 def grams(codes: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
     """Distinct packed grams of one to three symbols, none across a word edge, with their counts."""
     one = codes[codes != _EDGE]
-    two = codes[:-1] * 128 + codes[1:]
+    two = codes[:-1] << _BITS | codes[1:]
     inner = codes[1:-1] != _EDGE
-    three = (two[:-1] * 128 + codes[2:])[inner]
+    three = (two[:-1] << _BITS | codes[2:])[inner]
     every = np.concatenate([one, two, three])
     every.sort()
     if not len(every):
@@ -83,11 +86,10 @@ def grams(codes: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
 
 def most_frequent(codes: np.ndarray, counts: np.ndarray, size: int) -> np.ndarray:
     """Up to ``size`` grams by falling count, then by gram."""
-    key = (-counts.astype(np.int64) << 22) + codes
-    if len(key) > size:
-        key = np.partition(key, size - 1)[:size]
-    key.sort()
-    return key & ((1 << 22) - 1)
+    if len(counts) > size:  # only grams that are as frequent as the last one taken can count
+        often = counts >= np.partition(counts, len(counts) - size)[len(counts) - size]
+        codes, counts = codes[often], counts[often]
+    return codes[np.argsort(-counts, kind="stable")[:size]]
 
 
 def distances(top: np.ndarray, lists, size: int) -> np.ndarray:
@@ -127,49 +129,28 @@ def fit(docs: DataFrame, learn: Column, text_col: str = "text", lang_col: str =
     ``sample`` bounds the fit: of each language about that many documents are read, by a hash of the id, so the
     share falls as the table grows. What comes to the driver is ``size`` grams for each language.
     """
-    known = docs.where(learn & F.col(lang_col).isNotNull() & F.col(text_col).isNotNull()).select(
-        F.col(lang_col).cast("string").alias("lang"), F.col(text_col).cast("string").alias("text"), F.pmod(F.xxhash64(F.col(id_col).cast("string")), F.lit(1 << 30)).alias("at")
-    )
-    found = {r["lang"]: r["n"] for r in known.groupBy("lang").agg(F.count("*").alias("n")).orderBy(F.desc("n"), "lang").limit(MAX_LANGUAGES).collect()}
-    if not found:
-        return Profiles([], [], [], size)
-    chosen = F.lit(False)
-    for lang, n in found.items():
-        chosen = chosen | ((F.col("lang") == lang) & (F.col("at") < F.lit(min(1 << 30, ((1 << 30) * sample) // n + 1))))
-    counts = known.where(chosen).select("lang", "text").mapInArrow(_fit_counts, "lang string, gram string, n long").groupBy("lang", "gram").agg(F.sum("n").alias("n"))
-    # the most frequent grams of a language, kept small before they meet
-    best = counts.groupBy("lang").agg(F.expr(f"slice(sort_array(collect_list(struct(-n AS n, gram))), 1, {size * 4})").alias("top"))
-    tops = {r["lang"]: [(x["gram"], -x["n"]) for x in r["top"]] for r in best.collect()}
-    letters = Counter()
-    for top in tops.values():
-        share = sum(n for g, n in top if len(g) == 1) or 1
-        for g, n in top:
-            if len(g) == 1:
-                letters[g] += n / share
-    alphabet = [c for c, _ in sorted(letters.items(), key=lambda x: (-x[1], x[0]))[:ALPHABET]]
-    code = {c: 3 + i for i, c in enumerate(alphabet)} | {" ": _EDGE}
+    at = F.pmod(F.xxhash64(F.col(id_col).cast("string"), F.col(text_col)), F.lit(1 << 30))
+    known = docs.where(learn & F.col(lang_col).isNotNull() & F.col(text_col).isNotNull()).select(F.col(lang_col).cast("string").alias("lang"), F.col(text_col).cast("string").alias("text"), at.alias("at"))
+    share = known.groupBy("lang").agg(((1 << 30) * F.lit(float(sample)) / F.count("*")).alias("share"))
+    # one row for each language, far less than the profiles that every worker gets
+    chosen = known.join(F.broadcast(share), "lang").where(F.col("at") < F.col("share") + 1).select("lang", "text")
+    counts = chosen.mapInArrow(_fit_counts, "lang string, gram string, n long").groupBy("lang", "gram").agg(F.sum("n").alias("n"))
+    # the most frequent grams of a language, of a bounded number of texts
+    best = counts.groupBy("lang").agg(F.expr(f"slice(sort_array(collect_list(struct(-n AS n, gram))), 1, {size})").alias("top"))
+    tops = {r["lang"]: [(-x["n"], packed(x["gram"])) for x in r["top"]] for r in best.collect()}
     names = sorted(tops)
-    lists = []
-    for name in names:
-        packed: Counter = Counter()
-        for g, n in tops[name]:
-            value = 0
-            for c in g:
-                value = value * 128 + code.get(c, _OTHER)
-            packed[value] += n
-        lists.append([g for g, _ in sorted(packed.items(), key=lambda x: (-x[1], x[0]))[:size]])
-    return Profiles(alphabet, names, lists, size)
-
-
-def classify(texts: list[str | None], profiles: Profiles, ready) -> tuple[list[str], list[float]]:
-    table, lists = ready
+    return Profiles(names, [[g for _, g in sorted(tops[name], key=lambda x: (-x[0], x[1]))] for name in names], size)
+
+
+def classify(texts: list[str | None], profiles: Profiles, lists) -> tuple[list[str], list[float]]:
     names, scores = [], []
     for text in texts:
-        if not lists or not text or not _LETTER.search(text):
+        codes = symbols(text) if lists and text else ()
+        if len(codes) < 2:  # one edge and no letter
             names.append(UNDETERMINED)
             scores.append(0.0)
             continue
-        top = most_frequent(*grams(symbols(text, table)), profiles.size)
+        top = most_frequent(*grams(codes), profiles.size)
         far = distances(top, lists, profiles.size)
         best = int(far.argmin())
         names.append(profiles.names[best])
