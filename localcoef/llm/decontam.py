@@ -2,19 +2,22 @@
 
 Documents and items meet where they share a seed, a run of a few words. For each such pair whose seeds could cover
 enough of the item, the longest matches that overlap no earlier tile are marked again and again, found by running
-hashes of falling length, and verified word by word by their 64-bit hashes. A document is contaminated by an item if
-its tiles cover enough of the item's words, in whatever order, or if one tile is long by itself.
+hashes of falling length, and verified word by word by their 64-bit hashes. Only the stretches of the document that
+seeds of the item cover are tiled, and of equal stretches as many as the item has room for, so a phrase that a text
+repeats and many items share costs little. A document is contaminated by an item if its tiles cover enough of the
+item's words, in whatever order, or if one tile is long by itself.
 
 Cases: null and empty texts, and items without words, match nothing; an item shorter than a seed must occur as a
 whole; ties between tiles go to the first in the item, then in the document; between items to the greater coverage,
 then the smaller id, null last; an item without an id matches as others do, and its documents have a coverage but no
-item_id, so the coverage tells what is contaminated; repeated rows give repeated rows; an empty table on either side leaves all documents clean.
+item_id, so the coverage tells what is contaminated; repeated rows give repeated rows; ids may be of any type; an empty table on either side leaves all documents clean.
 Only the named columns are read.
 """
 
 from __future__ import annotations
 
 from dataclasses import dataclass
+from heapq import heapify, heappop, heappush
 
 import numpy as np
 import pyarrow as pa
@@ -25,6 +28,8 @@ from localcoef.llm.textcore import WordBlock, text_blocks, window_hashes
 
 #: Characters of benchmark text that are broadcast at once; a larger benchmark is taken in several blocks.
 BLOCK_CHARS = 32_000_000
+#: Shared seeds that are held at once, for several documents; one document meets each seed of the block once at most.
+HELD_ENTRIES = 1_000_000
 
 
 @dataclass(frozen=True)
@@ -46,19 +51,24 @@ def tiles(doc: np.ndarray, item: np.ndarray, least: int) -> list[tuple[int, int,
         if found and found[0][0] > 2 * width:
             width = found[0][0]
             continue
-        again = False
-        for size, at_item, at_doc in found:
-            inside = free_item[at_item : at_item + size].all() and free_doc[at_doc : at_doc + size].all()
-            if inside:
+        queue = [(-size, at_item, at_doc) for size, at_item, at_doc in found]
+        heapify(queue)
+        while queue:
+            size, at_item, at_doc = heappop(queue)
+            size = -size
+            free = free_item[at_item : at_item + size] & free_doc[at_doc : at_doc + size]
+            if free.all():
                 free_item[at_item : at_item + size] = False
                 free_doc[at_doc : at_doc + size] = False
                 out.append((at_doc, at_item, size))
-            else:
-                again = True  # what is left of an overlapped match is looked for again
-        if not again:
-            if width == least:
-                break
-            width = max(least, width // 2)
+                continue
+            edge = np.flatnonzero(np.diff(np.concatenate([[False], free, [False]])))
+            for low, high in zip(edge[::2].tolist(), edge[1::2].tolist(), strict=True):
+                if high - low >= width:  # what earlier tiles have left of a match
+                    heappush(queue, (low - high, at_item + low, at_doc + low))
+        if width == least:
+            break
+        width = max(least, width // 2)
     return out
 
 
@@ -100,6 +110,7 @@ class Items:
         block = WordBlock(texts, lower=True)
         words = block.hashes()
         self.words = [words[a:b] for a, b in zip(block.first[:-1], block.first[1:], strict=True)]
+        self.size = np.diff(block.first)
         seeds, owner, spot = [], [], []
         for k, w in enumerate(self.words):
             if 0 < len(w):
@@ -127,31 +138,68 @@ class Items:
             hit = np.flatnonzero((seeds[at] == h) & (room[: len(h)] >= width))
             if not len(hit):
                 continue
-            low, high = np.searchsorted(seeds, h[hit], "left"), np.searchsorted(seeds, h[hit], "right")
-            n = high - low
-            entry = np.repeat(low, n) + np.arange(n.sum()) - np.repeat(np.cumsum(n) - n, n)
-            met = np.unique(np.stack([np.repeat(doc_of[hit], n), owner[entry], spot[entry]], 1), axis=0)
-            cut = np.flatnonzero(np.concatenate([[True], (met[1:, :2] != met[:-1, :2]).any(1), [True]]))
-            for a, b in zip(cut[:-1].tolist(), cut[1:].tolist(), strict=True):
-                doc, item = int(met[a, 0]), int(met[a, 1])
-                size = len(self.words[item])
-                spots = met[a:b, 2]
-                reach = int(np.minimum(np.diff(np.append(spots, spots[-1] + width)), width).sum())  # no tiling covers more
-                if reach < min(self.rule.coverage * size, self.rule.long_tile):
-                    continue
-                got = tiles(words[block.first[doc] : block.first[doc + 1]], self.words[item], width)
-                share, longest = sum(t[2] for t in got) / size, max((t[2] for t in got), default=0)
-                if (share >= self.rule.coverage or longest >= self.rule.long_tile) and _better((share, item, longest), best[doc], self.ids):
-                    best[doc] = (share, item, longest)
+            # each seed once for a document; a document meets an entry of the index once at most
+            doc_hit, first = np.unique(np.stack([doc_of[hit].astype(np.uint64), h[hit]], 1), axis=0, return_index=True)
+            low, high = np.searchsorted(seeds, doc_hit[:, 1], "left"), np.searchsorted(seeds, doc_hit[:, 1], "right")
+            docs, n = doc_of[hit][first], high - low
+            total = np.cumsum(n)
+            edge = np.flatnonzero(np.concatenate([[True], docs[1:] != docs[:-1], [True]]))
+            a = 0
+            while a < len(edge) - 1:  # so many documents at once that the entries they meet stay few
+                b = a + 1
+                while b < len(edge) - 1 and total[edge[b + 1] - 1] - total[edge[a]] + n[edge[a]] <= HELD_ENTRIES:
+                    b += 1
+                part = slice(edge[a], edge[b])
+                entry = np.repeat(low[part], n[part]) + np.arange(n[part].sum()) - np.repeat(np.cumsum(n[part]) - n[part], n[part])
+                self._tile(width, np.repeat(docs[part], n[part]), owner[entry], spot[entry], words, block, best)
+                a = b
         return best
 
+    def _tile(self, width, doc_of, owner, spot, words, block, best) -> None:
+        """Tiles the pairs whose shared seeds could cover enough of the item, and keeps each document's worst item."""
+        order = np.lexsort([spot, owner, doc_of])
+        doc_of, owner, spot = doc_of[order], owner[order], spot[order]
+        head = np.concatenate([[True], (doc_of[1:] != doc_of[:-1]) | (owner[1:] != owner[:-1]), [True]])
+        cut = np.flatnonzero(head)
+        step = np.minimum(np.append(np.diff(spot), width), width)
+        step[cut[1:] - 1] = width
+        covered = np.add.reduceat(step, cut[:-1])  # no tiling covers more words of the item
+        size = self.size[owner[cut[:-1]]]
+        for k in np.flatnonzero(covered >= np.minimum(self.rule.coverage * size, self.rule.long_tile)).tolist():
+            doc, item = int(doc_of[cut[k]]), int(owner[cut[k]])
+            shared = _stretches(words[block.first[doc] : block.first[doc + 1]], self.words[item], width)
+            got = tiles(shared, self.words[item], width)
+            share, longest = sum(t[2] for t in got) / len(self.words[item]), max((t[2] for t in got), default=0)
+            if (share >= self.rule.coverage or longest >= self.rule.long_tile) and _better((share, item, longest), best[doc], self.ids):
+                best[doc] = (share, item, longest)
+
+
+def _stretches(doc: np.ndarray, item: np.ndarray, width: int) -> np.ndarray:
+    """The words of a document that runs of ``width`` words of the item cover, stretch by stretch in order, with a word
+    that the item lacks between them; of equal stretches as many as the item can hold."""
+    hit = np.flatnonzero(np.isin(window_hashes(doc, width), window_hashes(item, width)))
+    if not len(hit):
+        return doc[:0]
+    gap = np.flatnonzero(np.diff(hit) > width)
+    first, last = hit[np.append(0, gap + 1)], hit[np.append(gap, len(hit) - 1)] + width
+    lacks = np.uint64(next(x for x in range(len(item) + 1) if x not in set(item[item <= len(item)].tolist())))
+    seen: dict[bytes, int] = {}
+    out = []
+    for a, b in zip(first.tolist(), last.tolist(), strict=True):
+        run = doc[a:b]
+        at = run.tobytes()
+        seen[at] = seen.get(at, 0) + 1
+        if seen[at] <= max(1, len(item) // width):
+            out += [run, lacks[None]]
+    return np.concatenate(out)
+
 
 def _better(new, old, ids) -> bool:
     return old is None or _rank(new[0], ids[new[1]]) < _rank(old[0], ids[old[1]])
 
 
-def _rank(coverage: float, item: int | None) -> tuple:
-    return -coverage, item is None, item or 0
+def _rank(coverage: float, item) -> tuple:
+    return -coverage, item is None, 0 if item is None else item
 
 
 def contamination(docs: DataFrame, items: DataFrame, rule: Tiling = Tiling(), id_col: str = "doc_id", text_col: str = "text", item_col: str = "item_id", item_text: str = "text", keep: list[str] | None = None, block_chars: int = BLOCK_CHARS) -> DataFrame:
@@ -161,12 +209,12 @@ def contamination(docs: DataFrame, items: DataFrame, rule: Tiling = Tiling(), id
     any size is matched as a series of bounded broadcasts; no pair is formed but where a seed is shared.
     """
     spark = docs.sparkSession
-    keep = keep if keep is not None else [id_col]
-    chosen = items.select(F.col(item_col).cast("long").alias("item"), F.col(item_text).cast("string").alias("text")).where("text is not null")
+    keep, kind = keep if keep is not None else [id_col], items.schema[item_col].dataType
+    chosen = items.select(F.col(item_col).alias("item"), F.col(item_text).cast("string").alias("text")).where("text is not null")
     chars = chosen.agg(F.coalesce(F.sum(F.char_length("text")), F.lit(0)).alias("n")).first()["n"]
     n_blocks = max(1, -(-chars // block_chars))
     packed = text_col.split(".", 1)[1] if "." in text_col else None  # in a kept struct, so not sent twice
-    state = docs.select(*keep, *([] if packed else [F.col(text_col).cast("string").alias("__text")]), F.lit(None).cast("long").alias("item_id"), F.lit(None).cast("double").alias("coverage"), F.lit(None).cast("long").alias("longest_tile"))
+    state = docs.select(*keep, *([] if packed else [F.col(text_col).cast("string").alias("__text")]), F.lit(None).cast(kind).alias("item_id"), F.lit(None).cast("double").alias("coverage"), F.lit(None).cast("long").alias("longest_tile"))
     schema = state.schema
     for k in range(n_blocks):
         rows = chosen.where(F.pmod(F.xxhash64("item", "text"), F.lit(n_blocks)) == k).orderBy("item", "text").collect()
@@ -185,7 +233,7 @@ def _matcher(shared, packed: str | None, n_keep: int):
                 for i, got in enumerate(items.match(texts), low):
                     if got and (old[i][1] is None or _rank(got[0], items.ids[got[1]]) < _rank(old[i][1], old[i][0])):
                         old[i] = (items.ids[got[1]], got[0], got[2])
-            new = [pa.array([o[j] for o in old], kind) for j, kind in enumerate((pa.int64(), pa.float64(), pa.int64()))]
+            new = [pa.array([o[j] for o in old], batch.column(same + j).type) for j in range(3)]
             yield pa.RecordBatch.from_arrays([*batch.columns[:same], *new], batch.schema.names)
 
     return run
