@@ -5,6 +5,9 @@ common prefix crosses a document. The suffix array comes from prefix doubling ov
 the longest common prefixes of neighbours come from the ranks kept of each doubling step. A maximal repeat starts at
 a suffix with the longer of its two neighbour prefixes; the union of these spans is the repeated part.
 
+A block is about 256 KB of texts or one longer text. For a text of n words the ranks take 4 bytes a word for each
+doubling step, of which there are log2 of its longest repeat, so at most 4 * 25 * n bytes.
+
 Cases: null or empty text has no words and fails the word rule; a text of one word has no repeat; repeated rows
 give repeated rows; an empty table gives an empty table. Only the named columns are read.
 """
@@ -36,8 +39,6 @@ class Rules:
     covered: float = 0.3
     #: No repeat may be longer than this share of the text.
     longest: float = 0.2
-    #: Of the characters in words, at most this share may be symbols: strings of them repeat below the level of words.
-    symbols: float = 0.05
 
 
 def suffix_ranks(values: np.ndarray) -> tuple[np.ndarray, list[np.ndarray]]:
@@ -132,7 +133,7 @@ def measure(texts: list[str | None], rules: Rules) -> dict[str, list]:
     failed = (sizes < rules.min_words) | (100 * thrice > rules.repeat_percent * sizes)
     some = np.maximum(sizes, 1)
     chars, symbols = (x[at[1:]] - x[at[:-1]] for x, at in ((chars, block.first), (symbols, block.offset)))
-    kept = ~failed & (symbols <= rules.symbols * np.maximum(chars, 1)) & (long_part <= rules.covered * some) & (longest <= np.maximum(rules.longest * some, rules.long_repeat))
+    kept = ~failed & (long_part <= rules.covered * some) & (longest <= np.maximum(rules.longest * some, rules.long_repeat))
     return {
         "n_words": sizes, "word_chars": chars, "n_symbols": symbols,
         "n_dup_lines": dup, "n_repeat_words": thrice, "base_failed": failed, "kept": kept, "n_long_repeat_words": long_part, "longest_repeat": longest,
