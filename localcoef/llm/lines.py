@@ -48,7 +48,7 @@ def later_windows(base: DataFrame) -> DataFrame:
 def repeated_lines(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
     """For each (id, key) with a removal: ``covered``, the numbers of the lines to remove."""
     base = docs.select(F.col(id_col).alias("id"), F.xxhash64(F.col(text_col)).alias("key"), F.col(text_col).cast("string").alias("text"))
-    return later_windows(base).groupBy("id", "key").agg(F.array_distinct(F.flatten(F.collect_list(F.array("i0", "i1", "i2")))).alias("covered"))
+    return later_windows(base).groupBy("id", "key").agg(F.array_distinct(F.flatten(F.collect_set(F.array("i0", "i1", "i2")))).alias("covered"))
 
 
 def _kept_text(text: Column, covered: Column) -> Column:
