@@ -64,7 +64,7 @@ def runs_by_force(texts, width):
     return out
 
 
-@pytest.mark.parametrize("rule", [substrings.Runs(), substrings.Runs(segments=1), substrings.Runs(broadcast_rows=0)])
+@pytest.mark.parametrize("rule", [substrings.Runs(), substrings.Runs(segments=1), substrings.Runs(segments=2, longer=(10, 16, 27)), substrings.Runs(broadcast_rows=0)])
 def test_repeated_runs(spark, rule):
     shared = prose(5, 50)
     texts = odd_texts() + [" ".join(prose(10 + k, k * 7) + shared[k % 3 : 40 + k] + prose(50 + k, 30)) for k in range(10)] + [" ".join(shared * 2)]
@@ -323,3 +323,156 @@ def test_near_duplicates_of_odd_ids(spark):
     assert seen == sorted([(None, None, True), (None, None, True), (7, 3, False), (7, 7, True), (3, 3, True), (7, 3, False)], key=str)
     with pytest.raises(TypeError):
         neardup.near_duplicates(spark.createDataFrame([("a", text)], "doc_id string, text string"))
+
+
+def test_repeated_runs_of_odd_rows(spark):
+    shared = " ".join(prose(5, 50))
+    rows = [("a", shared), ("a", shared), (None, shared + " x"), ("b", None)] + [("c", shared)] * 20
+    got = substrings.remove_repeats(spark.createDataFrame(rows, "doc_id string, text string")).collect()
+    assert sorted(str((r["doc_id"], r["n_words"], r["n_removed"])) for r in got) == sorted(str((i, len((t or "").split()), 50 if t else 0)) for i, t in rows)
+
+
+def test_numerals_are_no_letters(spark):
+    texts, langs = ["½ ² Ⅷ", "²", "abc def ghi " * 20, "где ты был " * 20, "日本語 文字 漢字 " * 20], [None, None, "en", "ru", "ja"]
+    table_ = table(spark, texts * 3, langs * 3)
+    profiles = language.fit(table_, F.lit(True))
+    got = {r["doc_id"]: (r["lang_pred"], r["score"]) for r in language.predict(table_, profiles).collect()}
+    assert [got[i][0] for i in range(5)] == ["und", "und", "en", "ru", "ja"] and got[0][1] == 0
+
+
+def plain_places(text, size):
+    words = "".join(c if c.isalpha() else " " for c in text.lower()).split()
+    seen = Counter(g for w in words for n in (1, 2, 3) for i in range(len(w) + 3 - n) if (g := f" {w} "[i : i + n]) != " ")
+    return sorted(seen, key=lambda g: (-seen[g], language.packed(g)))[:size]
+
+
+def test_distances_equal_plain_ones():
+    texts = ["the cat and the dog ½ sat on the mat", "le chat et le chien sont là", "Ünïted çités ß", "日本 の 語", "a b c d"]
+    for size in (5, 30, 400):
+        profiles = language.Profiles([str(i) for i in range(3)], [[language.packed(g) for g in plain_places(t, size)] for t in texts[:3]], size)
+        for text in texts:
+            mine, far = plain_places(text, size), []
+            for t in texts[:3]:
+                theirs = plain_places(t, size)
+                far.append(sum(min(size, abs(theirs.index(g) - i)) if g in theirs else size for i, g in enumerate(mine)))
+            assert language.distances(language.most_frequent(*language.grams(language.symbols(text)), size), profiles.prepared(), size).tolist() == far
+            names, scores = language.classify([text], profiles, profiles.prepared())
+            assert names == [str(far.index(min(far)))] and abs(scores[0] - (1 - min(far) / len(mine) / size)) < 1e-12
+
+
+def test_language_of_the_table(spark):
+    truth = {r["doc_id"]: r["lang"] for r in spark.read.parquet("/root/testdata/sf0.01/documents.parquet").select("doc_id", "lang").collect()}
+    got = [r for r in QUERIES["op5_language_profiles"](spark, "/root/testdata/sf0.01").collect() if r["held_out"] and truth[r["doc_id"]] and r["lang_pred"] != "und"]
+    assert len(got) > 250 and sum(r["lang_pred"] == truth[r["doc_id"]] for r in got) >= 0.99 * len(got)
+
+
+def plain_tiles(doc, item, least):
+    """Greedy tiling by definition: always the longest free match, the first in the item and then in the document."""
+    free = [[True] * len(doc), [True] * len(item)]
+    out = []
+    while True:
+        best = (0, 0, 0)
+        for i in range(len(item)):
+            for j in range(len(doc)):
+                n = 0
+                while i + n < len(item) and j + n < len(doc) and item[i + n] == doc[j + n] and free[0][j + n] and free[1][i + n]:
+                    n += 1
+                if n > best[0]:
+                    best = (n, i, j)
+        n, i, j = best
+        if n < least:
+            return sorted(out)
+        free[0][j : j + n], free[1][i : i + n] = [False] * n, [False] * n
+        out.append((j, i, n))
+
+
+def test_tiling_equals_plain_tiling():
+    import numpy as np
+
+    from localcoef.llm.decontam import _stretches
+
+    r = random.Random(5)
+    for _ in range(1500):
+        size, least = r.choice((2, 3, 8)), r.choice((2, 3))
+        item, doc = (np.array([r.randrange(size) for _ in range(r.randrange(1, n))], np.uint64) for n in (14, 26))
+        want = plain_tiles(doc.tolist(), item.tolist(), least)
+        assert sorted(tiles(doc, item, least)) == want
+        assert sorted(n for _, _, n in tiles(_stretches(doc, item, least), item, least)) == sorted(n for _, _, n in want)
+
+
+def test_decontamination_of_the_table(spark):
+    """All pairs of documents and items with plain tiling of what they share."""
+    import numpy as np
+
+    from localcoef.llm.textcore import WordBlock
+
+    docs = spark.read.parquet("/root/testdata/sf0.001/documents.parquet").select("doc_id", "text").collect()
+    items = spark.read.parquet("/root/testdata/sf0.001/benchmark.parquet").select("item_id", "text").collect()
+    block = WordBlock([r["text"] for r in items] + [r["text"] for r in docs], lower=True)
+    words = [block.hashes()[a:b] for a, b in zip(block.first[:-1], block.first[1:], strict=True)]
+    want = {}
+    for d, w in zip(docs, words[len(items) :], strict=True):
+        found = []
+        for t, x in zip(items, words, strict=False):
+            near = np.flatnonzero(np.isin(w, x))
+            if len(x) and len(near) >= min(13, 0.5 * len(x)):
+                got = plain_tiles(w[max(0, near[0] - 1) : near[-1] + 2].tolist(), x.tolist(), min(4, len(x)))
+                share, longest = sum(n for *_, n in got) / len(x), max((n for *_, n in got), default=0)
+                if share >= 0.5 or longest >= 13:
+                    found.append((-share, t["item_id"], longest))
+        want[d["doc_id"]] = (min(found)[1], -min(found)[0], min(found)[2]) if found else (None, None, None)
+    got = {r["doc_id"]: (r["item_id"], r["coverage"], r["longest_tile"]) for r in QUERIES["op4_string_tiling"](spark, "/root/testdata/sf0.001").collect()}
+    assert got == want and any(c for _, c, _ in want.values())
+
+
+def test_hot_seeds(spark):
+    from time import monotonic
+
+    phrase = "one two three four five six"
+    items = spark.createDataFrame([(f"i{k}", f"{phrase} x{k} y{k} z{k} w{k}") for k in range(300)] + [("none", None)], "item_id string, text string")
+    began = monotonic()
+    got = contamination(table(spark, [" ".join([phrase] * 300), "one two three"]), items).orderBy("doc_id").collect()
+    assert [(r["item_id"], r["coverage"]) for r in got] == [("i0", 0.6), (None, None)] and monotonic() - began < 60
+
+
+def test_repetition_verdict(spark):
+    rules_limit = {"long": 6, "covered": 0.3, "longest": 0.2}
+    r = random.Random(3)
+    texts = ["\n".join(" ".join(r.choice("abcdefghijklmnopq") * r.randrange(1, 4) + r.choice(["", "#", "$|"]) for _ in range(r.randrange(1, 12))) for _ in range(r.randrange(1, 30))) for _ in range(60)]
+    texts += [t + "\n" + t[: len(t) // 3] for t in texts] + [None, ""]
+    got = {x["doc_id"]: x for x in score_quality(table(spark, texts)).collect()}
+    for i, t in enumerate(texts):
+        w = WORD.findall(t or "")
+        best = [max((next((n for n in range(min(len(w) - a, len(w) - b) + 1) if a + n >= len(w) or b + n >= len(w) or w[a + n] != w[b + n]), 0) for b in range(len(w)) if b != a), default=0) for a in range(len(w))]
+        covered = {p for a, n in enumerate(best) if n >= rules_limit["long"] for p in range(a, a + n)}
+        lines_ = [x for x in (t or "").split("\n") if WORD.search(x)]
+        assert got[i]["longest_repeat"] == max(best, default=0) and got[i]["n_long_repeat_words"] == len(covered)
+        assert got[i]["n_symbols"] == len(re.findall(r"[#*$%&|<>]", t or "")) and got[i]["n_dup_lines"] == len(lines_) - len(set(lines_))
+        verdict = len(covered) <= 0.3 * len(w) and max(best, default=0) <= max(0.2 * len(w), 6)
+        assert got[i]["kept"] == (verdict and not got[i]["base_failed"])
+
+
+def test_wrappers_of_deep_pages(spark):
+    deep = "<html><body>" + "<div>" * 2500 + "x" + "<b>" * 2500 + "y<p>z" + "</div>" * 10
+    rows = [(n, "http://h.example.com/", deep) for n in range(2)] + [(2, "http://h.example.com/", "<p>" * 3000 + "<ul><li>" * 1500)]
+    got = {r["page_id"]: r["text"] for r in extract_pages(spark.createDataFrame(rows, "page_id long, url string, html string")).collect()}
+    assert got == {0: "xy\nz", 1: "xy\nz", 2: ""}
+
+
+def test_alignment_is_longest():
+    from localcoef.llm import wrappers
+
+    r = random.Random(1)
+    for bits in (1 << 28, 6, 40):
+        for _ in range(200):
+            a, b = ([r.randrange(4) for _ in range(r.randrange(14))] for _ in range(2))
+            wrappers.ALIGN_BITS, pairs = bits, None
+            pairs = wrappers.common(a, b)
+            row = [0] * (len(b) + 1)
+            for x in a:
+                new = [0]
+                for j, y in enumerate(b):
+                    new.append(row[j] + 1 if x == y else max(new[-1], row[j + 1]))
+                row = new
+            assert len(pairs) == row[-1] and all(a[x] == b[y] for x, y in pairs) and all(p[0] < q[0] and p[1] < q[1] for p, q in zip(pairs, pairs[1:], strict=False))
+    wrappers.ALIGN_BITS = 1 << 28
