@@ -5,7 +5,8 @@ four return the columns of documents; the last returns what the codec reports of
 
 Cases: a document without a letter goes in the first stage, so a null or empty text does; a document whose lines are
 all later occurrences goes in the second; extra columns, whatever their names, pass through the first four stages;
-repeated rows with one id are one document to the near-duplicate stage and stay together; an empty table stays empty.
+repeated rows with one id and one text stay together in the near-duplicate stage, and of rows with one id and different
+texts each is judged by its text; documents without an id stay there; an empty table stays empty.
 """
 
 from __future__ import annotations
@@ -19,12 +20,12 @@ from localcoef.llm.language import UNDETERMINED, fit, predict
 from localcoef.llm.lines import without_repeated_lines
 from localcoef.llm.neardup import near_duplicates
 from localcoef.llm.queries import BYTE_BPE, table, vocabulary
-from localcoef.llm.store import kept, small_batches, written
+from localcoef.llm.store import small_batches, written
 from localcoef.ship import ship
 
 #: A document whose best language is this far from its profile's order is rejected; clean prose scores 0.4 and more.
 LEAST_SCORE = 0.2
-#: Ids of near duplicates up to this number are broadcast; more are shuffled.
+#: Rows of near duplicates up to this number, of sixteen bytes each, are broadcast; more are shuffled.
 BROADCAST_IDS = 1_000_000
 
 
@@ -47,9 +48,11 @@ def lines(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
 
 def near(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
     """Keeps the document with the least id of each group of near duplicates."""
-    gone = kept(near_duplicates(docs).where("not kept").select(F.col("doc_id").alias("__gone")).distinct())
+    found = near_duplicates(docs, with_key=True).where("not kept")
+    gone = written(found.select(F.col("doc_id").alias("__gone"), F.col("text_key").alias("__key")).distinct(), "gone")
     few = gone.count() <= BROADCAST_IDS
-    return docs.join(F.broadcast(gone) if few else gone, docs["doc_id"] == gone["__gone"], "left_anti")
+    same = (docs["doc_id"] == gone["__gone"]) & (F.xxhash64(docs["text"]) == gone["__key"])
+    return docs.join(F.broadcast(gone) if few else gone, same, "left_anti")
 
 
 def benchmark(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
