@@ -60,8 +60,17 @@ def variance_of_sums(sx: float, sxx: float, s: int, ddof: int = 1, centered: boo
 
 
 def variance_ceiling(psi: float, m: int, s: int) -> float:
-    """No bucket mean of s draws varies more, whatever the split."""
-    return (m - 1) / s * psi
+    """No bucket mean of s draws varies more, whatever the split: no value is above m * psi, and their mean is psi."""
+    return (m - 1) / s * psi * psi
+
+
+def regime(r: float, eps: float, k: int, eta: float, zeta: int, budget: str = "strict") -> tuple[float, str]:
+    """The share of the cap that the first round takes, and whether sizes grow as 1 / eps or as 1 / eps^2 there.
+
+    The first round grows with r / eps and the cap with its square, so a small range makes an early end likely.
+    """
+    share = sample_start(r, eps, k, budget_of_round(0, eta, budget)) / max(sample_cap(r, eps, zeta, eta, budget), 1.0)
+    return share, "optimistic" if r <= 1 else "mixed" if share < 1 else "pessimistic"
 
 
 def omega(x: np.ndarray, r: float) -> np.ndarray:

@@ -9,13 +9,17 @@ from localcoef.model import Graph, bucket_sizes
 from localcoef.operators.exact import degrees
 
 
-def bag_triangles(g: Graph, bag: DataFrame) -> DataFrame:
+def bag_triangles(g: Graph, bag: DataFrame, few: bool = False) -> DataFrame:
     """(u, v, w) for the distinct edges of a bag and their common neighbours w.
 
-    The neighbours come from the endpoint of lower degree and are kept if they are joined to the other one.
+    The neighbours come from the endpoint of lower degree and are kept if they are joined to the other one. With
+    ``few``, for a bag of bounded size, its endpoints are broadcast: the edges are only scanned, and what is shuffled
+    is the neighbourhood of the drawn edges.
     """
-    deg = degrees(g)
     drawn = bag.select("u", "v").distinct()
+    if few:
+        return _few_triangles(g, drawn)
+    deg = degrees(g)
     ends = drawn.join(deg.select(F.col("id").alias("u"), F.col("deg").alias("du")), "u").join(deg.select(F.col("id").alias("v"), F.col("deg").alias("dv")), "v")
     small = F.col("du") <= F.col("dv")
     ends = ends.select("u", "v", F.when(small, F.col("u")).otherwise(F.col("v")).alias("src"), F.when(small, F.col("v")).otherwise(F.col("u")).alias("far"))
@@ -24,6 +28,18 @@ def bag_triangles(g: Graph, bag: DataFrame) -> DataFrame:
     return near.join(closing, ["x", "y"], "left_semi").select("u", "v", "w")
 
 
+def _few_triangles(g: Graph, drawn: DataFrame) -> DataFrame:
+    touched = drawn.select(F.explode(F.array("u", "v")).alias("src")).distinct()
+    around = g.adjacency.join(F.broadcast(touched), "src", "left_semi")
+    deg = around.groupBy("src").agg(F.count("*").alias("deg"))
+    ends = drawn.join(deg.select(F.col("src").alias("u"), F.col("deg").alias("du")), "u").join(deg.select(F.col("src").alias("v"), F.col("deg").alias("dv")), "v")
+    small = F.col("du") <= F.col("dv")
+    ends = ends.select("u", "v", F.when(small, F.col("u")).otherwise(F.col("v")).alias("src"), F.when(small, F.col("v")).otherwise(F.col("u")).alias("far"))
+    near = g.adjacency.join(F.broadcast(ends), "src").where("dst <> far").select("u", "v", F.col("far").alias("x"), F.col("dst").alias("w"))
+    closing = around.select(F.col("src").alias("x"), F.col("dst").alias("w"))
+    return near.join(closing, ["x", "w"], "left_semi").select("u", "v", "w")
+
+
 def check_split(q: float) -> None:
     if not 0 <= q <= 0.5:
         raise ValueError("the split weight lies between 0 and 1/2")
@@ -61,9 +77,9 @@ def edge_values(shares: DataFrame, scales: DataFrame, m: int) -> DataFrame:
     return shares.join(scales, "node").groupBy("u", "v", "bucket").agg((F.sum(F.col("a") * F.col("scale")) * m).alias("x"))
 
 
-def edge_bucket_values(g: Graph, bag: DataFrame, buckets: DataFrame, w: DataFrame, m: int, q: float) -> DataFrame:
+def edge_bucket_values(g: Graph, bag: DataFrame, buckets: DataFrame, w: DataFrame, m: int, q: float, few: bool = False) -> DataFrame:
     """(ix, bucket, x)."""
-    values = edge_values(edge_shares(bag_triangles(g, bag), q), bucket_weights(buckets, w), m)
+    values = edge_values(edge_shares(bag_triangles(g, bag, few), q), bucket_weights(buckets, w), m)
     return bag.join(values, ["u", "v"]).select("ix", "bucket", "x")
 
 

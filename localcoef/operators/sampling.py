@@ -13,20 +13,27 @@ BROADCAST_DRAWS = 2_000_000
 
 def uniform(seed: int, stream: str, *keys: Column) -> Column:
     """A number in [0, 1) of 52 bits, from the hash of seed, stream and keys."""
-    text = F.concat_ws(":", F.lit(str(seed)), F.lit(stream), *[k.cast("string") for k in keys])
+    return uniform_of(F.lit(seed), stream, *keys)
+
+
+def uniform_of(seed: Column, stream: str, *keys: Column) -> Column:
+    """As ``uniform``, with a seed of each row."""
+    text = F.concat_ws(":", seed.cast("string"), F.lit(stream), *[k.cast("string") for k in keys])
     return F.conv(F.substring(F.md5(text), 1, 13), 16, 10).cast("long") / F.lit(float(1 << 52))
 
 
-def number_edges(edges: DataFrame, shards: int = 8) -> DataFrame:
-    """(eid, u, v) with ids from 0 without gaps, by shards and a driver array of their sizes; no global sort."""
+#: Shards that edges are numbered in, each sorted by a task of its own.
+SHARDS = 4096
+
+
+def number_edges(edges: DataFrame, shards: int = SHARDS) -> DataFrame:
+    """(eid, u, v) with ids from 0 without gaps, by shards and a table of their sizes, one row each; no global sort."""
     keyed = edges.select("u", "v", F.pmod(F.col("u") * 31 + F.col("v"), F.lit(shards)).cast("int").alias("shard"))
-    counts = {r["shard"]: r["n"] for r in keyed.groupBy("shard").agg(F.count("*").alias("n")).collect()}
-    before, offsets = 0, []
-    for s in range(shards):
-        offsets.append(before)
-        before += counts.get(s, 0)
-    offset = F.element_at(F.array(*[F.lit(o) for o in offsets]), F.col("shard") + 1)
-    return keyed.select((offset + F.row_number().over(Window.partitionBy("shard").orderBy("u", "v")) - 1).cast("long").alias("eid"), "u", "v")
+    sizes = keyed.groupBy("shard").agg(F.count("*").alias("n"))
+    ahead = F.sum("n").over(Window.orderBy("shard").rowsBetween(Window.unboundedPreceding, -1))
+    offsets = sizes.select("shard", F.coalesce(ahead, F.lit(0)).alias("before"))
+    placed = keyed.withColumn("r", F.row_number().over(Window.partitionBy("shard").orderBy("u", "v")))
+    return placed.join(F.broadcast(offsets), "shard").select((F.col("before") + F.col("r") - 1).cast("long").alias("eid"), "u", "v")
 
 
 def draw_indexed(numbered: DataFrame, m: int, s: int, seed: int, stream: str = "main", start: int = 0) -> DataFrame:

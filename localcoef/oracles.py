@@ -59,7 +59,7 @@ LABELS = {
 
 W = {"clustering": "SELECT id, (d * (d - 1) // 2)::DOUBLE AS w FROM deg", "closure": "SELECT id, wh / 2.0::DOUBLE AS w FROM head"}
 NUMBER = """,
-numbered AS (SELECT row_number() OVER (ORDER BY (u * 31 + v) % 8, u, v) - 1 AS eid, u, v FROM edges), total AS (SELECT count(*) AS m FROM edges)"""
+numbered AS (SELECT row_number() OVER (ORDER BY (u * 31 + v) % 4096, u, v) - 1 AS eid, u, v FROM edges), total AS (SELECT count(*) AS m FROM edges)"""
 
 
 def hashed(seed: int, stream: str, *keys: str) -> str:

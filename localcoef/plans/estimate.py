@@ -16,7 +16,7 @@ from localcoef.operators.bounds import dimension_bound, range_bounds, spread_sup
 from localcoef.operators.estimators import edge_bucket_values, moments
 from localcoef.operators.exact import denominators, exact_bucket_means
 from localcoef.operators.prefilter import apply_filter, low_degree_threshold
-from localcoef.operators.sampling import draw_indexed, number_edges
+from localcoef.operators.sampling import BROADCAST_DRAWS, draw_indexed, number_edges
 from localcoef.operators.tuning import tune_split
 from localcoef.plans.store import written
 
@@ -57,6 +57,7 @@ def prepare(g: Graph, buckets: DataFrame, coefficient: str, work_factor: float |
             rest = Graph(g.nodes, written(found.rest.edges, "rest"))
             known = {r["bucket"]: r["known"] for r in found.known.collect()}
     numbered = written(number_edges(rest.edges), "numbered")
+    rest = Graph(g.nodes, numbered.select("u", "v"))
     m = numbered.count()
     return Run(g, rest, buckets, w, numbered, m, sizes, known, {"filter": time.perf_counter() - began})
 
@@ -66,14 +67,14 @@ def _tuned(run: Run, q: float | None, pilot: int, seed: int) -> float:
     if q is None:
         c = min(pilot, max(2, run.m))
         bag = written(draw_indexed(run.numbered, run.m, c, seed, "pilot"), "pilot")
-        q = tune_split(run.rest, bag, run.buckets, run.w, run.m, c)
+        q = tune_split(run.rest, bag, run.buckets, run.w, run.m, c, few=c <= BROADCAST_DRAWS)
     run.seconds["tuning"] = time.perf_counter() - began
     return q
 
 
 def _values(run: Run, low: int, high: int, q: float, seed: int) -> DataFrame:
     bag = draw_indexed(run.numbered, run.m, high - low, seed, "main", low)
-    return edge_bucket_values(run.rest, bag, run.buckets, run.w, run.m, q)
+    return edge_bucket_values(run.rest, bag, run.buckets, run.w, run.m, q, few=high - low <= BROADCAST_DRAWS)
 
 
 def _result(run: Run, rows: list[dict]) -> DataFrame:
@@ -154,8 +155,8 @@ def adaptive_estimate(
         done = all(half[j] <= targets[j] for j in run.sizes)
         if done or s >= cap or i == max_rounds - 1:
             why = "bounds" if done else "cap" if s >= cap else "rounds"
-            if not done:  # at the cap the plain mean is as good as the least target
-                center, half = mean, {j: min(half[j], least if s >= cap else half[j]) for j in run.sizes}
+            if not done and s >= cap:  # here the plain mean is as good as the least target, whatever the data
+                center, half = mean, dict.fromkeys(run.sizes, least)
             run.seconds["loop"] = time.perf_counter() - began
             return _result(run, [{"bucket": j, "f": center[j] + run.known[j], "eps": targets[j], "eps_hat": half[j], "draws": s, "rounds": i + 1, "q": q, "r": ranges[j], "zeta": zeta, "why": why} for j in run.sizes])
         s = min(cap, max(s + 1, math.ceil(s * growth)))
