@@ -2,6 +2,7 @@
 
 from __future__ import annotations
 
+import hashlib
 from collections.abc import Callable, Iterator
 from uuid import uuid4
 
@@ -10,9 +11,11 @@ from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 from pyspark.sql.streaming import StatefulProcessor, StatefulProcessorHandle
 
-from localcoef.model import Graph, canonical
+from localcoef.model import Graph, bucket_sizes, canonical
+from localcoef.operators.estimators import bag_triangles, bucket_means, bucket_weights, edge_shares, edge_values
+from localcoef.operators.sampling import draw_poisson
 from localcoef.plans.estimate import fixed_size_estimate
-from localcoef.plans.store import shared_path
+from localcoef.plans.store import shared_path, written
 
 
 def event_stream(spark: SparkSession, sf_dir: str, files: int = 1, delay: str = "1 hour") -> DataFrame:
@@ -61,42 +64,50 @@ def run_to_memory(stream: DataFrame, mode: str = "append") -> DataFrame:
 
 
 class RetainedTriangles(StatefulProcessor):
-    """For each colour class, keeps arriving edges by hash and counts how often an arriving edge closes two kept ones.
+    """For each triple of colours, keeps arriving edges by hash and counts how often an arriving edge closes two kept ones.
 
-    The triangles whose three corners have one colour are counted; the classes spread the state over the cluster.
+    A triangle is counted in the triple of its corners' colours alone, so all triples together count each once. The kept
+    neighbours of a node are held by their colour.
     """
 
     def __init__(self, rate: float, seed: int):
         self.rate, self.seed = rate, seed
 
     def init(self, handle: StatefulProcessorHandle) -> None:
-        self.kept = handle.getMapState("kept", "node long", "near array<long>")
+        self.kept = handle.getMapState("kept", "node long, colour int", "near array<long>")
         self.found = handle.getValueState("found", "n double")
 
     def handleInputRows(self, key, rows: Iterator[pd.DataFrame], timers) -> Iterator[pd.DataFrame]:
         total = self.found.get()[0] if self.found.exists() else 0.0
-        near = lambda x: set(self.kept.getValue((x,))[0]) if self.kept.containsKey((x,)) else set()
+        near = lambda x, c: set(self.kept.getValue((x, c))[0]) if self.kept.containsKey((x, c)) else set()
         for frame in rows:
-            for u, v in frame.sort_values(["ts", "u", "v"])[["u", "v"]].itertuples(index=False):
-                a, b = near(u), near(v)
-                if v in a:
+            for u, v, cu, cv in frame.sort_values(["ts", "u", "v"])[["u", "v", "cu", "cv"]].itertuples(index=False):
+                u, v, cu, cv = int(u), int(v), int(cu), int(cv)
+                of_u, of_v = near(u, cv), near(v, cu)
+                if v in of_u:
                     continue
-                total += len(a & b) / self.rate**2
-                if (hash((self.seed, int(u), int(v))) & 0xFFFF) / 65536 < self.rate:
-                    self.kept.updateValue((u,), (sorted(a | {int(v)}),))
-                    self.kept.updateValue((v,), (sorted(b | {int(u)}),))
+                third = [int(c) for c in key]
+                third.remove(cu)
+                third.remove(cv)
+                total += len(near(u, third[0]) & near(v, third[0])) / self.rate**2
+                if int(hashlib.md5(f"{self.seed}:{u}:{v}".encode()).hexdigest()[:8], 16) / 2**32 < self.rate:
+                    self.kept.updateValue((u, cv), (sorted(of_u | {v}),))
+                    self.kept.updateValue((v, cu), (sorted(near(v, cu) | {u}),))
         self.found.update((total,))
-        yield pd.DataFrame({"colour": [int(key[0])], "triangles": [total]})
+        yield pd.DataFrame({"a": [int(key[0])], "b": [int(key[1])], "c": [int(key[2])], "triangles": [total]})
 
     def close(self) -> None:
         pass
 
 
 def retained_triangles(edges: DataFrame, rate: float = 1.0, colours: int = 4, seed: int = 0) -> DataFrame:
-    """(colour, triangles) of the triangles inside each colour class, updated batch by batch."""
-    colour = lambda c: F.pmod(F.xxhash64(c), F.lit(colours))
-    inside = edges.where(colour("u") == colour("v")).withColumn("colour", colour("u").cast("int"))
-    return inside.groupBy("colour").transformWithStateInPandas(RetainedTriangles(rate, seed), "colour int, triangles double", "update", "none")
+    """(a, b, c, triangles) of the triangles whose corners have these colours, updated batch by batch; the sum over all
+    triples is the whole count. Each edge goes to as many triples as there are colours."""
+    colour = lambda c: F.pmod(F.xxhash64(c), F.lit(colours)).cast("int")
+    met = edges.withColumns({"cu": colour("u"), "cv": colour("v")}).withColumn("cw", F.explode(F.sequence(F.lit(0), F.lit(colours - 1))))
+    triple = F.array_sort(F.array("cu", "cv", "cw"))
+    met = met.withColumns({n: triple[i] for i, n in enumerate("abc")})
+    return met.groupBy("a", "b", "c").transformWithStateInPandas(RetainedTriangles(rate, seed), "a int, b int, c int, triangles double", "update", "none")
 
 
 def refresh(edges: DataFrame, buckets: DataFrame, coefficient: str, path: str, done: Callable[[DataFrame, int], None], fraction: float = 0.2, seed: int = 0):
@@ -109,3 +120,37 @@ def refresh(edges: DataFrame, buckets: DataFrame, coefficient: str, path: str, d
         done(fixed_size_estimate(g, buckets, coefficient, fraction=fraction, q=1 / 3, seed=seed), number)
 
     return edges.writeStream.foreachBatch(batch)
+
+
+def streamed_estimate(edges: DataFrame, buckets: DataFrame, coefficient: str, fraction: float = 0.2, seed: int = 0) -> DataFrame:
+    """Runs ``refresh`` over a bounded edge stream to its end and gives the last estimate."""
+    spark, last = buckets.sparkSession, []
+    q = refresh(edges, buckets, coefficient, shared_path(spark, "edges"), lambda df, _: last.append(written(df, "refreshed")), fraction, seed)
+    q.option("checkpointLocation", shared_path(spark, "stream")).trigger(availableNow=True).start().awaitTermination()
+    return last[-1]
+
+
+def streamed_passes(edges: Callable[[], DataFrame], buckets: DataFrame, coefficient: str, s: int, q: float = 1 / 3, seed: int = 0) -> DataFrame:
+    """(bucket, size, f) from passes over an edge stream that is read anew each time and never held whole: degrees, then
+    a one-pass bag, then the edges around the drawn ones, each run to its end."""
+    spark = buckets.sparkSession
+    both = edges().select(F.explode(F.array("u", "v")).alias("id")).groupBy("id").agg(F.count("*").alias("deg"))
+    deg = written(buckets.select("id").join(run_to_memory(both, "complete"), "id", "left").fillna(0), "deg")
+    m = (deg.agg(F.sum("deg").alias("n")).first()["n"] or 0) // 2
+    if not m:
+        return bucket_sizes(buckets).withColumn("f", F.lit(0.0))
+    bag = written(run_to_memory(draw_poisson(edges(), m, s, seed)), "bag")
+    n = bag.agg(F.coalesce(F.sum("copies"), F.lit(0)).alias("n")).first()["n"]
+    touched = bag.select(F.explode(F.array("u", "v")).alias("id")).distinct()
+    ends = edges().select("u", "v", F.inline(F.array(F.struct(F.col("u").alias("id")), F.struct(F.col("v").alias("id")))))
+    around = written(run_to_memory(ends.join(touched, "id", "left_semi").select("u", "v")).distinct(), "around")
+    if coefficient == "closure":  # the headed wedges need the degrees at the other ends, one more pass
+        at = lambda x, y: F.struct(F.col(x).alias("id"), F.col(y).alias("other"))
+        far = edges().select(F.inline(F.array(at("u", "v"), at("v", "u")))).join(deg.select(F.col("id").alias("other"), F.col("deg").alias("d")), "other")
+        sums = run_to_memory(far.groupBy("id").agg(F.sum(F.col("d") - 1).alias("wh")), "complete")
+        w = deg.join(sums, "id", "left").select("id", (F.coalesce("wh", F.lit(0)) / 2).alias("w"))
+    else:
+        w = deg.select("id", (F.col("deg") * (F.col("deg") - 1) / 2).alias("w"))
+    values = edge_values(edge_shares(bag_triangles(Graph.of(around, buckets), bag), q), bucket_weights(buckets, written(w, "wedges")), m)
+    weighted = bag.join(values, ["u", "v"]).select("bucket", (F.col("x") * F.col("copies")).alias("x"))
+    return bucket_means(weighted, buckets, max(1, n))
