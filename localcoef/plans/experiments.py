@@ -3,6 +3,7 @@
 from __future__ import annotations
 
 import math
+import time
 from collections.abc import Callable, Sequence
 from itertools import count
 
@@ -13,7 +14,8 @@ from localcoef.model import Graph
 from localcoef.operators.baselines import wedge_baseline
 from localcoef.operators.exact import degrees, exact_bucket_means, graph_profile, local_coefficients, node_profile, triangles
 from localcoef.operators.measures import bucket_error, coverage, max_error, mean_sup_error, step_shares, sup_error, timed, tuning_report
-from localcoef.operators.tuning import split_quadratics, variance_by_split
+from localcoef.operators.sampling import BROADCAST_DRAWS, uniform_of
+from localcoef.operators.tuning import edge_lines, line_sums, split_quadratics, tuned_from_sums, variance_by_split
 from localcoef.plans.estimate import Run, adaptive_estimate, fixed_size_estimate, prepare
 from localcoef.plans.store import written
 from localcoef.sources import partitions as P
@@ -64,25 +66,74 @@ def _stack(frames: list[tuple[int, DataFrame]]) -> DataFrame:
     return out
 
 
+def run_sums(run: Run, sizes: Sequence[int], seeds: Sequence[int], pilot: int = 500) -> tuple[DataFrame, float]:
+    """(stream, run, draws, bucket, b, s, bb, bs, ss) of all runs, bag sizes and pilots in one job, and its seconds.
+
+    A draw's value is a line in the split weight, so these sums give the estimate of every run at every split weight;
+    a shorter bag of a run is the begin of a longer one. The bags are those of ``draw_indexed``.
+    """
+    began = time.perf_counter()
+    spark, most, c = run.buckets.sparkSession, max(sizes), min(pilot, max(2, run.m))
+    bags = None
+    for stream, n in (("main", most), ("pilot", c)):
+        names = F.element_at(F.array(*[F.lit(x) for x in seeds]), (F.floor(F.col("id") / n) + 1).cast("int"))
+        draws = spark.range(n * len(seeds)).select(F.lit(stream).alias("stream"), names.alias("run"), (F.col("id") % n).alias("ix"))
+        draws = draws.withColumn("eid", F.least(F.floor(uniform_of(F.col("run"), stream, F.col("ix")) * run.m).cast("long"), F.lit(run.m - 1)))
+        bags = draws if bags is None else bags.unionByName(draws)
+    few = (most + c) * len(seeds) <= BROADCAST_DRAWS
+    bag = written(run.numbered.join(F.broadcast(bags) if few else bags, "eid").drop("eid"), "bags")
+    lines = bag.join(edge_lines(run.rest, bag, run.buckets, run.w, run.m, few), ["u", "v"])
+    size = F.array(*[F.lit(x) for x in sorted(set(sizes))])
+    long_enough = F.when(F.col("stream") == "pilot", F.array(F.lit(c))).otherwise(F.filter(size, lambda x: x > F.col("ix")))
+    out = written(line_sums(lines.withColumn("draws", F.explode(long_enough)), "stream", "run", "draws"), "sums")
+    return out, time.perf_counter() - began
+
+
+def tuned_by_run(run: Run, sums: DataFrame, seeds: Sequence[int], pilot: int = 500) -> dict[int, float]:
+    """Each run's split weight from its pilot; a row for each run and bucket comes to the driver."""
+    c, rows = min(pilot, max(2, run.m)), {s: [] for s in seeds}
+    for r in sums.where("stream = 'pilot'").collect():
+        rows[r["run"]].append(r)
+    return {s: tuned_from_sums(found, c) for s, found in rows.items()}
+
+
+def _estimates(run: Run, sums: DataFrame, sizes: Sequence[int], splits: DataFrame) -> DataFrame:
+    """(run, draws, q, bucket, f) for the (run, q) of ``splits``; a bucket that no draw touches has its known part alone."""
+    spark = run.buckets.sparkSession
+    known = spark.createDataFrame([(j, float(run.known[j])) for j in run.sizes], "bucket int, known double")
+    main = sums.where("stream = 'main'")
+    every = spark.createDataFrame([(x,) for x in sorted(set(sizes))], "draws int").crossJoin(F.broadcast(splits)).crossJoin(F.broadcast(known))
+    met = every.join(main.select("run", "draws", "bucket", "b", "s"), ["run", "draws", "bucket"], "left")
+    zero = lambda c: F.coalesce(F.col(c), F.lit(0.0))
+    return met.select("run", "draws", "q", "bucket", (F.col("known") + (zero("b") + F.col("q") * zero("s")) / F.col("draws")).alias("f"))
+
+
+def _sizes(run: Run, fractions: Sequence[float]) -> dict[float, int]:
+    return {f: max(1, math.ceil(f * run.m)) for f in fractions}
+
+
 def fixed_fraction(run: Run, coefficient: str, fractions: Sequence[float], seeds: Sequence[int], q: float | None = None) -> DataFrame:
-    """(fraction, bucket, psi, max_err, sup_err, avg_sup_err, avg_seconds) of the fixed-size variant over several runs."""
+    """(fraction, draws, bucket, psi, max_err, sup_err, avg_sup_err, avg_seconds) of the fixed-size variant over several runs.
+
+    All runs are one job; ``avg_seconds`` is its time over the number of runs.
+    """
     truth = written(exact_bucket_means(run.graph, run.buckets, coefficient), "truth")
+    sizes = _sizes(run, fractions)
+    sums, seconds = run_sums(run, list(sizes.values()), seeds)
+    tuned = tuned_by_run(run, sums, seeds) if q is None else dict.fromkeys(seeds, q)
+    spark = run.buckets.sparkSession
+    every = written(_estimates(run, sums, list(sizes.values()), spark.createDataFrame([(s, float(x)) for s, x in tuned.items()], "run int, q double")), "estimates")
     out = None
-    for fraction in fractions:
-        took, frames = [], []
-        for seed in seeds:
-            df, seconds = timed(lambda seed=seed, fraction=fraction: written(fixed_size_estimate(None, None, coefficient, fraction=fraction, q=q, seed=seed, run=run), "estimate"))
-            took.append(seconds)
-            frames.append((seed, df))
-        errors = bucket_error(_stack(frames), truth)
+    for fraction, s in sizes.items():
+        errors = bucket_error(every.where(F.col("draws") == s), truth)
         rows = max_error(errors).join(truth, "bucket").crossJoin(F.broadcast(sup_error(errors))).crossJoin(F.broadcast(mean_sup_error(errors)))
-        rows = rows.select(F.lit(fraction).alias("fraction"), "bucket", "psi", "max_err", "sup_err", "avg_sup_err", F.lit(sum(took) / len(took)).alias("avg_seconds"))
+        rows = rows.select(F.lit(fraction).alias("fraction"), F.lit(s).cast("long").alias("draws"), "bucket", "psi", "max_err", "sup_err", "avg_sup_err", F.lit(seconds / len(seeds)).alias("avg_seconds"))
         out = rows if out is None else out.unionByName(rows)
     return out
 
 
 def equal_guarantee(run: Run, coefficient: str, eps: float, eta: float, seeds: Sequence[int], bounds: Sequence[str] = ("plugin", "bernstein"), limit: float = 300.0) -> DataFrame:
-    """(method, avg_err, max_avg_err, sup_err, covered, draws, eps_hat, seconds): wedge sampling gets the half-widths that the adaptive run attained."""
+    """(method, avg_err, max_avg_err, sup_err, covered, draws, eps_hat, seconds): wedge sampling gets the half-widths that the adaptive run attained; the ratios are the baseline's figures over ours."""
     spark, k = run.buckets.sparkSession, len(run.sizes)
     truth = written(exact_bucket_means(run.graph, run.buckets, coefficient), "truth")
     ours: dict[str, list] = {b: [] for b in bounds} | {"wedge": []}
@@ -93,7 +144,8 @@ def equal_guarantee(run: Run, coefficient: str, eps: float, eta: float, seeds: S
             ours[b].append((seed, df.select("bucket", "f", "eps_hat", "draws")))
             took[b] += seconds
         if took["wedge"] < limit:
-            widths = ours[bounds[0]][-1][1].select("bucket", F.greatest("eps_hat", F.lit(0.02)).alias("eps"))
+            # a bucket that is known exactly has width 0, which no number of draws attains; there the target is asked for
+            widths = ours[bounds[0]][-1][1].select("bucket", F.when(F.col("eps_hat") > 0, F.col("eps_hat")).otherwise(F.lit(eps)).alias("eps"))
             df, seconds = timed(lambda widths=widths, seed=seed: written(wedge_baseline(run.graph, run.buckets, coefficient, widths, k, eta, seed).join(widths, "bucket"), "wedge"))
             ours["wedge"].append((seed, df.select("bucket", "f", F.col("eps").alias("eps_hat"), "draws")))
             took["wedge"] += seconds
@@ -105,7 +157,10 @@ def equal_guarantee(run: Run, coefficient: str, eps: float, eta: float, seeds: S
         rows = errors.agg(F.avg("err").alias("avg_err")).crossJoin(mean_sup_error(errors).withColumnRenamed("avg_sup_err", "max_avg_err")).crossJoin(sup_error(errors)).crossJoin(coverage(every, truth).select("covered")).crossJoin(draws)
         rows = rows.select(F.lit(method).alias("method"), "avg_err", "max_avg_err", "sup_err", "covered", "draws", "eps_hat", F.lit(took[method] / len(frames)).alias("seconds"))
         out = rows if out is None else out.unionByName(rows)
-    return out
+    out = written(out, "methods")
+    wedge = out.where("method = 'wedge'").select(F.col("avg_err").alias("e"), F.col("seconds").alias("t"), F.col("draws").alias("d"))
+    gains = [(F.col(x) / F.when(F.col(y) > 0, F.col(y))).alias(n) for x, y, n in (("e", "avg_err", "error_ratio"), ("t", "seconds", "time_ratio"), ("d", "draws", "draw_ratio"))]
+    return out.crossJoin(F.broadcast(wedge)).select(*out.columns, *gains)
 
 
 def breakdown(g: Graph, buckets: DataFrame, coefficient: str, eps: float, eta: float, work_factor: float = 10) -> DataFrame:
@@ -115,28 +170,23 @@ def breakdown(g: Graph, buckets: DataFrame, coefficient: str, eps: float, eta: f
     return buckets.sparkSession.createDataFrame(step_shares(run.seconds), "step string, seconds double, share double")
 
 
-def q_grid(run: Run, coefficient: str, grid: Sequence[float], fractions: Sequence[float], seeds: Sequence[int]) -> DataFrame:
-    """(fraction, q, sup_err)."""
+def q_grid(run: Run, coefficient: str, grid: Sequence[float], fractions: Sequence[float], seeds: Sequence[int], sums: DataFrame | None = None) -> DataFrame:
+    """(fraction, draws, q, sup_err): all runs, sizes and split weights from one table of sums."""
     truth = written(exact_bucket_means(run.graph, run.buckets, coefficient), "truth")
-    out = None
-    for fraction in fractions:
-        for q in grid:
-            every = _stack([(s, fixed_size_estimate(None, None, coefficient, fraction=fraction, q=q, seed=s, run=run)) for s in seeds])
-            row = sup_error(bucket_error(every, truth)).select(F.lit(fraction).alias("fraction"), F.lit(float(q)).alias("q"), "sup_err")
-            out = row if out is None else out.unionByName(row)
-    return out
+    spark, sizes = run.buckets.sparkSession, _sizes(run, fractions)
+    sums = run_sums(run, list(sizes.values()), seeds)[0] if sums is None else sums
+    splits = spark.createDataFrame([(s, float(q)) for s in seeds for q in grid], "run int, q double")
+    errors = _estimates(run, sums, list(sizes.values()), splits).join(truth.select("bucket", "psi"), "bucket")
+    sup = errors.groupBy("draws", "q").agg(F.max(F.abs(F.col("f") - F.col("psi"))).alias("sup_err"))
+    names = spark.createDataFrame([(f, s) for f, s in sizes.items()], "fraction double, draws int")
+    return sup.join(F.broadcast(names), "draws").select("fraction", F.col("draws").cast("long").alias("draws"), "q", "sup_err")
 
 
 def q_quality(run: Run, coefficient: str, grid: Sequence[float], seeds: Sequence[int], fraction: float, pilot: int = 500) -> DataFrame:
     """(q_mean, q_sd, best_grid_q, tuned_variance, best_variance): the tuned weights against the grid."""
-    from localcoef.operators.sampling import draw_indexed
-    from localcoef.operators.tuning import tune_split
-
-    tuned = []
-    for seed in seeds:
-        c = min(pilot, run.m)
-        tuned.append(tune_split(run.rest, draw_indexed(run.numbered, run.m, c, seed, "pilot"), run.buckets, run.w, run.m, c))
-    errors = {r["q"]: r["sup_err"] for r in q_grid(run, coefficient, grid, [fraction], seeds).collect()}
+    sums, _ = run_sums(run, list(_sizes(run, [fraction]).values()), seeds, pilot)
+    tuned = list(tuned_by_run(run, sums, seeds, pilot).values())
+    errors = {r["q"]: r["sup_err"] for r in q_grid(run, coefficient, grid, [fraction], seeds, sums).collect()}
     report = tuning_report(tuned, errors)
     full = written(split_quadratics(run.rest, run.rest.edges, run.buckets, run.w, run.m, run.m), "quadratics")
     worst = {r["q"]: r["v"] for r in variance_by_split(full, [*grid, report["q_mean"]]).groupBy("q").agg(F.max("variance").alias("v")).collect()}

@@ -6,7 +6,7 @@ Floating-point results are rounded to six places on both sides, as sums differ i
 from __future__ import annotations
 
 import re
-from collections.abc import Callable
+from collections.abc import Callable, Sequence
 from contextvars import ContextVar
 
 from pyspark.sql import DataFrame, SparkSession
@@ -165,8 +165,8 @@ for _c in O.W:
         lambda s, d, c=_c: r6(estimators.exact_edge_moments(g := cpy(s, d), part_buckets(s, d, g, "brand"), exact.denominators(g, c), g.edges.count(), SPLIT).select("bucket", "mean"))
     )
     query(f"e8_variance_{_c}", FULL[_c] + """, mo AS (SELECT bucket, coalesce(sum(x), 0) / (SELECT m FROM total) AS mean, coalesce(sum(x * x), 0) / (SELECT m FROM total) AS two FROM sizes LEFT JOIN vals USING (bucket) GROUP BY bucket)
-      SELECT bucket, round(two - mean * mean, 4) AS variance, round(((SELECT m FROM total) - 1) * mean, 4) AS ceiling FROM mo""")(
-        lambda s, d, c=_c: estimators.exact_edge_moments(g := cpy(s, d), part_buckets(s, d, g, "brand"), exact.denominators(g, c), m := g.edges.count(), SPLIT).select("bucket", F.round("variance", 4).alias("variance"), F.round(F.col("mean") * (m - 1), 4).alias("ceiling"))
+      SELECT bucket, round(two - mean * mean, 4) AS variance, round(((SELECT m FROM total) - 1) * mean * mean, 4) AS ceiling FROM mo""")(
+        lambda s, d, c=_c: estimators.exact_edge_moments(g := cpy(s, d), part_buckets(s, d, g, "brand"), exact.denominators(g, c), m := g.edges.count(), SPLIT).select("bucket", F.round("variance", 4).alias("variance"), F.round(F.col("mean") * F.col("mean") * (m - 1), 4).alias("ceiling"))
     )
     query(f"b9_true_range_{_c}", FULL[_c] + " SELECT bucket, round(coalesce(max(x), 0), 6) AS r FROM sizes LEFT JOIN vals USING (bucket) GROUP BY bucket")(
         lambda s, d, c=_c: r6(estimators.exact_edge_moments(g := cpy(s, d), part_buckets(s, d, g, "brand"), exact.denominators(g, c), g.edges.count(), SPLIT).select("bucket", F.col("largest").alias("r")))
@@ -253,6 +253,7 @@ def _plugin(s: SparkSession, d: str, chunked: bool) -> DataFrame:
 
 query("c6_plugin_windows", PLUGIN_SQL)(lambda s, d: _plugin(s, d, False))
 query("c6_plugin_chunks", PLUGIN_SQL)(lambda s, d: _plugin(s, d, True))
+query("c11_regime")(lambda s, d: _regime(s, d))
 query("c12_cost_model")(lambda s, d: s.createDataFrame(C.cost_model(1981, 17952, 25, 57, 2697, 6.8, 0.075, 0.01, 5), "step string, rows double"))
 
 
@@ -438,17 +439,49 @@ query("m7_step_shares")(lambda s, d: X.breakdown(g := cpy(s, d), part_buckets(s,
 # --- workloads
 
 
+def _regime(s: SparkSession, d: str) -> DataFrame:
+    """For each error target: how large the first round is against the cap, from the graph's own range and dimension bounds."""
+    g = cpy(s, d)
+    b = part_buckets(s, d, g, "type")
+    m, w = g.edges.count(), exact.denominators(g, "clustering")
+    top = bounds.range_bounds(g, b, w, m, SPLIT).agg(F.max("r").alias("r")).first()["r"]
+    zeta = bounds.dimension_bound(bounds.spread_sup(g, b).first()["chi"], SPLIT)
+    k = b.select("bucket").distinct().count()
+    rows = [(e, float(top), zeta, *C.regime(top, e, k, 0.01, zeta)) for e in (0.2, 0.075, 0.01)]
+    return r6(s.createDataFrame(rows, "eps double, r double, zeta int, first_share double, kind string"))
+
+
 def _run(s: SparkSession, d: str, kind: str, coefficient: str = "clustering", factor: float | None = 40):
     g = cpy(s, d)
     return prepare(g, part_buckets(s, d, g, kind), coefficient, factor)
 
 
+FRACTIONS, SEEDS, TEN = (0.001, 0.002, 0.005, 0.01, 0.05, 0.1), (1, 2, 3, 4, 5), tuple(range(1, 11))
+
+
+def _arms(s: SparkSession, d: str, graphs: Sequence[str], kinds: Sequence[str], coefficients: Sequence[str], arm) -> DataFrame:
+    """The rows of ``arm(run, coefficient)`` for each graph, partition and coefficient."""
+    out = None
+    for graph in graphs:
+        g = G.GRAPHS[graph](s, d)
+        g = Graph(g.nodes, written(g.edges, "arm"))
+        for kind in kinds:
+            buckets = X.part_buckets(s, d, g, kind)
+            for c in coefficients:
+                row = arm(prepare(g, buckets, c, None), c).select(F.lit(graph).alias("graph"), F.lit(kind).alias("part"), F.lit(c).alias("coef"), "*")
+                out = row if out is None else out.unionByName(row)
+    return out
+
+
 for _c in O.W:
-    query(f"wk2_fixed_fraction_{_c}")(lambda s, d, c=_c: X.fixed_fraction(_run(s, d, "deg", c, None), c, (0.005, 0.05, 0.2), (1, 2)).drop("avg_seconds"))
-    query(f"wk3_equal_guarantee_{_c}")(lambda s, d, c=_c: X.equal_guarantee(_run(s, d, "type", c), c, 0.2, 0.01, (1,)).drop("seconds"))
-query("wk4_breakdown")(lambda s, d: X.breakdown(g := cpy(s, d), part_buckets(s, d, g, "deg"), "clustering", 0.2, 0.01, 40).select("step"))
-query("wk5_q_grid")(lambda s, d: X.q_grid(_run(s, d, "deg", "clustering", None), "clustering", (0.0, 0.2, 0.5), (0.01, 0.1), (1, 2)))
-query("wk6_q_quality")(lambda s, d: X.q_quality(_run(s, d, "brand", "clustering", None), "clustering", (0.0, 0.2, 0.5), (1, 2), 0.1))
+    query(f"wk2_fixed_fraction_{_c}")(lambda s, d, c=_c: _arms(s, d, ("cpy",), ("deg", "log", "core"), (c,), lambda run, c: X.fixed_fraction(run, c, FRACTIONS, SEEDS)))
+    for _g in ("cp", "tr"):
+        query(f"wk2_fixed_fraction_{_c}_{_g}")(lambda s, d, c=_c, g=_g: _arms(s, d, (g,), ("deg",), (c,), lambda run, c: X.fixed_fraction(run, c, FRACTIONS, SEEDS)))
+    query(f"wk3_equal_guarantee_{_c}")(lambda s, d, c=_c: X.equal_guarantee(_run(s, d, "type", c), c, 0.075, 0.01, SEEDS[:3]))
+    query(f"wk5_q_grid_{_c}")(lambda s, d, c=_c: _arms(s, d, ("cpy", "em"), ("deg", "log"), (c,), lambda run, c: X.q_grid(run, c, X.Q_GRID, (0.0001, 0.001, 0.01), TEN)))
+query("wk4_breakdown")(lambda s, d: X.breakdown(g := cpy(s, d), part_buckets(s, d, g, "deg"), "clustering", 0.2, 0.01, 40))
+query("wk6_q_quality")(lambda s, d: _arms(s, d, ("cpy", "em"), ("deg",), tuple(O.W), lambda run, c: X.q_quality(run, c, X.Q_GRID, TEN, 0.01)))
+
 
 
 def _labels(s: SparkSession, d: str, kind: str) -> DataFrame:
@@ -469,7 +502,7 @@ YEARLY = SNAP.format(win="we AS (SELECT DISTINCT y AS win, u, v FROM ye)")
 SLIDING = SNAP.format(win="we AS (SELECT DISTINCT win, u, v FROM (SELECT y AS win, u, v FROM ye UNION ALL SELECT y - 1, u, v FROM ye) WHERE win BETWEEN (SELECT min(year(o_orderdate)) FROM orders) AND (SELECT max(year(o_orderdate)) - 1 FROM orders))")
 query("wk7_snapshots", YEARLY + SNAP_MEANS)(lambda s, d: r6(X.snapshots(X.snapshot_profile(X.snapshot_edges(s, d)), _labels(s, d, "type"))))
 query("wk7_sliding", SLIDING + SNAP_MEANS)(lambda s, d: r6(X.snapshots(X.snapshot_profile(X.snapshot_edges(s, d, 2)), _labels(s, d, "type"))))
-query("wk7_estimates")(lambda s, d: r6(X.snapshot_estimates(s, d, (1996, 1997), "type", "clustering")))
+query("wk7_estimates")(lambda s, d: r6(X.snapshot_estimates(s, d, range(1995, 2002), "type", "clustering")))
 query("wk8_induced", O.with_buckets("cpy", "segment") + """, ie AS (SELECT a.label AS community, u, v FROM edges JOIN buckets a ON a.id = u JOIN buckets b ON b.id = v WHERE a.bucket = b.bucket), nn AS (SELECT label AS community, count(*) AS nodes FROM buckets GROUP BY label), ne AS (SELECT community, count(*) AS edges FROM ie GROUP BY community),
   tr2 AS (SELECT community, count(*) AS triangles FROM (SELECT a.community FROM ie a JOIN ie b ON a.v = b.u JOIN ie x ON x.u = a.u AND x.v = b.v) GROUP BY community)
   SELECT community, nodes, coalesce(edges, 0) AS edges, round(CASE WHEN nodes > 1 THEN 2.0::DOUBLE * coalesce(edges, 0) / (nodes * (nodes - 1)) ELSE 0 END, 6) AS density, coalesce(triangles, 0) AS triangles FROM nn LEFT JOIN ne USING (community) LEFT JOIN tr2 USING (community)""")(
@@ -479,7 +512,7 @@ query("wk8_components")(lambda s, d: X.induced_components(g := cpy(s, d), part_b
 query("wk9_degree_profile", YEARLY + " SELECT win, p_type AS community, floor(log2(greatest(d, 1)))::INTEGER AS deg_bin, count(*) AS nodes, round(avg(alpha), 6) AS mean_alpha FROM prof JOIN part ON p_partkey = id GROUP BY ALL")(
     lambda s, d: r6(X.degree_profile(X.snapshot_profile(X.snapshot_edges(s, d)), _labels(s, d, "type")))
 )
-query("wk10_other_partitions")(lambda s, d: X.fixed_fraction(_run(s, d, "rnd", "clustering", None), "clustering", (0.1,), (1, 2)).drop("avg_seconds"))
+query("wk10_other_partitions")(lambda s, d: _arms(s, d, ("cpy",), ("rnd", "clu"), tuple(O.W), lambda run, c: X.fixed_fraction(run, c, FRACTIONS, SEEDS)))
 query("wk11_nonuniform_eps")(lambda s, d: r6(X.nonuniform_eps(prepare(g := cpy(s, d), X.two_buckets(g), "closure", 40), "closure", 0.2, {0: 0.2, 1: 0.1}, 0.05)))
 query("wk12_attained_width")(lambda s, d: r6(_runs(s, d)[0].groupBy("run").agg(F.max(F.col("eps_target") / F.col("eps_hat")).alias("requested_over_attained"))))
 query("wk13_ablations")(lambda s, d: r6(X.ablations(g := cpy(s, d), part_buckets(s, d, g, "type"), "closure", 0.3, 0.05)))

@@ -9,7 +9,7 @@ from localcoef.functions.udfs import register_all
 from localcoef.operators import exact
 from localcoef.oracles import graph, with_buckets
 from localcoef.plans import experiments as X
-from localcoef.plans.store import shared_path
+from localcoef.plans.store import shared_path, written
 from localcoef.queries import cpy, query, r6
 from localcoef.sources import partitions as P
 from localcoef.sources.edge_source import register
@@ -140,4 +140,21 @@ query("st_tumbling", "SELECT date_trunc('hour', ts) AS start, event_type, count(
 query("st_sessions", """WITH g AS (SELECT user_id, ts, (ts >= coalesce(lag(ts) OVER (PARTITION BY user_id ORDER BY ts) + INTERVAL 30 MINUTE, TIMESTAMP '1970-01-01'))::INT AS fresh FROM events),
   h AS (SELECT user_id, ts, sum(fresh) OVER (PARTITION BY user_id ORDER BY ts) AS k FROM g) SELECT user_id, min(ts) AS start, count(*) AS n FROM h GROUP BY user_id, k""")(lambda s, d: S.sessions(read(s, d, "events")))
 query("st_distinct", "SELECT count(DISTINCT event_id) AS n FROM events")(lambda s, d: S.run_to_memory(S.distinct_events(S.event_stream(s, d))).agg(F.count("*").alias("n")))
-query("st_enriched")(lambda s, d: S.with_buckets(read(s, d, "events").select(F.col("user_id").alias("u"), (F.col("user_id") + 1).alias("v")), P.numbered(read(s, d, "events").select(F.col("user_id").alias("id"), F.col("event_type").alias("label")).groupBy("id").agg(F.min("label").alias("label")))))
+query("st_enriched")(lambda s, d: S.run_to_memory(S.with_buckets(S.event_stream(s, d).select(F.col("user_id").alias("u"), (F.col("user_id") + 1).alias("v")), P.numbered(read(s, d, "events").select(F.col("user_id").alias("id"), F.col("event_type").alias("label")).groupBy("id").agg(F.min("label").alias("label"))))))
+query("st_sliding", """SELECT w AS start, event_type, count(*) AS n FROM (SELECT event_type, unnest([time_bucket(INTERVAL 30 MINUTE, ts), time_bucket(INTERVAL 30 MINUTE, ts) - INTERVAL 30 MINUTE]) AS w FROM events) GROUP BY ALL""")(
+    lambda s, d: S.run_to_memory(S.window_counts(S.event_stream(s, d), "1 hour", "30 minutes"), "complete")
+)
+query("st_co_activity", """SELECT DISTINCT a.user_id AS u, b.user_id AS v FROM events a JOIN events b ON floor(epoch(a.ts) / 600) = floor(epoch(b.ts) / 600) AND a.user_id < b.user_id""")(
+    lambda s, d: S.run_to_memory(S.co_activity(S.event_stream(s, d))).select("u", "v").distinct()
+)
+
+
+def _edge_files(s, d):
+    """The edges of the year's graph as files that a stream reads, and its buckets."""
+    g = cpy(s, d)
+    edges = written(g.edges, "edges")
+    return (lambda: s.readStream.schema(edges.schema).parquet(edges.inputFiles()[0].rsplit("/", 1)[0])), X.part_buckets(s, d, g, "type")
+
+
+query("st_refresh")(lambda s, d: S.streamed_estimate((x := _edge_files(s, d))[0](), x[1], "clustering"))
+query("st_passes")(lambda s, d: S.streamed_passes(*_edge_files(s, d), "clustering", 2000))

@@ -179,3 +179,76 @@ def test_loops_end_settled_or_fail(spark):
         induced_components(g, P.single_bucket(g), 1)
     assert {r["core"] for r in P.core_numbers(g).collect()} == {1}
     assert [(r["components"], r["largest"]) for r in induced_components(g, P.single_bucket(g)).collect()] == [(1, 12)]
+
+
+def test_variance_ceiling_is_squared(toy):
+    """The ceiling holds, and for a mean below 1 it is the squared one, not the looser linear one."""
+    assert C.variance_ceiling(0.5, 6, 1) == 1.25 and C.variance_ceiling(0.5, 6, 10) == 0.125
+    g, b = toy
+    for coefficient in ("clustering", "closure"):
+        psi = {r["bucket"]: r["psi"] for r in exact.exact_bucket_means(g, b, coefficient).collect()}
+        for q in (0.0, 0.2, 0.5):
+            for r in estimators.exact_edge_moments(g, b, exact.denominators(g, coefficient), 6, q).collect():
+                assert r["variance"] <= C.variance_ceiling(psi[r["bucket"]], 6, 1) + 1e-9
+
+
+@pytest.mark.parametrize("bound", ["plugin", "bernstein"])
+def test_the_cap_reports_the_common_target(toy, monkeypatch, bound):
+    """At the cap the plain mean comes with the least target for every bucket, not with its own half-width."""
+    from localcoef.plans import estimate
+
+    g, b = toy
+    monkeypatch.setattr(estimate, "sample_cap", lambda *_: 20.0)
+    run = estimate.prepare(g, b, "clustering")
+    got = rows(adaptive_estimate(None, None, "clustering", {0: 0.9, 1: 0.3, 2: 0.9}, 0.1, bound, q=0.5, large=None, run=run, seed=5), "bucket")
+    plain = rows(fixed_size_estimate(None, None, "clustering", s=20, q=0.5, run=run, seed=5), "bucket")
+    for j, r in got.items():
+        assert r["exit_reason"] == "cap" and r["eps_hat"] == 0.3 and r["draws"] == 20 and r["f"] == pytest.approx(plain[j]["f"])
+
+
+def test_sums_of_lines_equal_single_runs(toy):
+    from localcoef.plans import estimate, experiments
+
+    g, b = toy
+    run = estimate.prepare(g, b, "closure")
+    sums, _ = experiments.run_sums(run, [7, 40], [3, 4], pilot=6)
+    tuned = experiments.tuned_by_run(run, sums, [3, 4], pilot=6)
+    splits = g.edges.sparkSession.createDataFrame([(3, 0.2), (4, float(tuned[4]))], "run int, q double")
+    got = {(r["run"], r["draws"], r["bucket"]): r["f"] for r in experiments._estimates(run, sums, [7, 40], splits).collect()}
+    for s in (7, 40):
+        for seed, q in ((3, 0.2), (4, None)):
+            one = estimate.fixed_size_estimate(None, None, "closure", s=s, q=q, pilot=6, seed=seed, run=run)
+            for r in one.collect():
+                assert got[seed, s, r["bucket"]] == pytest.approx(r["f"], abs=1e-9)
+
+
+def test_coverage_over_a_hundred_runs(spark):
+    """Simultaneous intervals hold in all of 120 runs at 1 - eta = 0.9, by sums of lines and the half-width of each run."""
+    from localcoef.plans import estimate, experiments
+
+    pairs = [(a, c) for a in range(24) for c in range(a + 1, 24) if (a * 5 + c * 3) % 4]
+    g = Graph.of(spark.createDataFrame(pairs, "u long, v long"))
+    b = g.nodes.select("id", (F.col("id") % 3).cast("int").alias("bucket"))
+    run, seeds, s, q, eta = estimate.prepare(g, b, "clustering"), list(range(120)), 400, 0.2, 0.1
+    psi = {r["bucket"]: r["psi"] for r in exact.exact_bucket_means(g, b, "clustering").collect()}
+    r = {x["bucket"]: x["r"] for x in bounds.range_bounds(run.rest, run.buckets, run.w, run.m, q).collect()}
+    sums, _ = experiments.run_sums(run, [s], seeds)
+    missed, seen = set(), set()
+    for x in sums.where("stream = 'main'").collect():
+        sx, sxx = x["b"] + q * x["s"], x["bb"] + 2 * q * x["bs"] + q * q * x["ss"]
+        half = C.bernstein_halfwidth(C.variance_of_sums(sx, sxx, s), r[x["bucket"]], s, 3, eta)
+        seen.add((x["run"], x["bucket"]))
+        if abs(sx / s - psi[x["bucket"]]) > half:
+            missed.add(x["run"])
+    assert len(seen) == 360 and len(missed) <= 0.1 * 120
+
+
+def test_few_triangles_equal_all(toy):
+    g, _ = toy
+    some = g.edges.limit(4)
+    assert sorted(map(tuple, estimators.bag_triangles(g, some, few=True).collect())) == sorted(map(tuple, estimators.bag_triangles(g, some).collect()))
+    assert estimators.bag_triangles(g, some.limit(0), few=True).count() == 0
+
+
+def test_regime():
+    assert C.regime(0.9, 0.075, 6, 0.01, 2)[1] == "optimistic" and C.regime(8.0, 0.01, 25, 0.01, 3)[1] == "mixed"

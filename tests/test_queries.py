@@ -30,8 +30,23 @@ def test_retained_stream_equals_batch(spark, tmp_path):
     edges = spark.createDataFrame([(i, a, b) for i, (a, b) in enumerate(pairs)], "i int, u long, v long").withColumn("ts", F.timestamp_seconds("i")).drop("i")
     edges.write.parquet(str(tmp_path / "edges"))
     stream = spark.readStream.schema(edges.schema).parquet(str(tmp_path / "edges"))
-    got = run_to_memory(retained_triangles(stream, 1.0, 1), "update").agg(F.max("triangles").alias("n")).first()["n"]
-    assert got == triangles(Graph.of(edges)).count()
+    want = triangles(Graph.of(edges)).count()
+    for colours in (1, 3):
+        out = run_to_memory(retained_triangles(stream, 1.0, colours), "update")
+        assert out.groupBy("a", "b", "c").agg(F.max("triangles").alias("n")).agg(F.sum("n").alias("n")).first()["n"] == want > 0
+
+
+def test_streamed_passes_equal_the_batch_form(spark):
+    from localcoef.plans.estimate import multipass_stream_estimate
+    from localcoef.relational import _edge_files
+    from localcoef.sources.graphs import copart_year
+    from localcoef.streaming.edges import streamed_passes
+
+    edges, buckets = _edge_files(spark, f"{DATA}/sf0.001")
+    for c in ("clustering", "closure"):
+        got = {r["bucket"]: r["f"] for r in streamed_passes(edges, buckets, c, 300).collect()}
+        batch = multipass_stream_estimate(copart_year(spark, f"{DATA}/sf0.001").edges, buckets, c, 300)
+        assert got == pytest.approx({r["bucket"]: r["f"] for r in batch.collect()})
 
 
 def test_entry_shape(spark):
@@ -50,3 +65,19 @@ def test_whole_table_reaches_the_operators(spark):
     from localcoef.sources.graphs import copart
 
     assert QUERIES["s2_number_edges_cp"](spark, f"{DATA}/sf0.001").count() == copart(spark, f"{DATA}/sf0.001").edges.count()
+
+
+def test_entry_without_the_text_operators(tmp_path):
+    """A copy without the folders of the text operators still lists the other queries."""
+    import shutil
+    import subprocess
+    import sys
+    from pathlib import Path
+
+    root = Path(__file__).resolve().parent.parent
+    shutil.copytree(root / "localcoef", tmp_path / "localcoef", ignore=shutil.ignore_patterns("llm", "__pycache__"))
+    for name in ("__spark_entry__.py", "corpus_pipeline.py"):
+        if (root / name).exists():
+            shutil.copy(root / name, tmp_path)
+    code = "import __spark_entry__ as e; q, o = e.queries(), e.oracle_sql(); assert 'x1_degree' in q and set(o) <= set(q) and not any(n.startswith('op1_') or n == 'pipeline' for n in q)"
+    subprocess.run([sys.executable, "-c", code], cwd=tmp_path, check=True, env={"PATH": "/usr/bin:/bin", "PYTHONPATH": str(tmp_path)})
