@@ -5,26 +5,32 @@ from __future__ import annotations
 import tempfile
 from uuid import uuid4
 
-from pyspark.sql import DataFrame
+from pyspark.sql import DataFrame, SparkSession
 
 
-def written(df: DataFrame, name: str) -> DataFrame:
-    """The same rows, read back from Parquet files under spark.checkpoint.dir; lineage ends there."""
-    spark = df.sparkSession
+def shared_folder(spark: SparkSession) -> str:
+    """The folder named by spark.checkpoint.dir; a temporary one where that is unset and the session is local, an error on a cluster."""
     context = spark.sparkContext
     folder = spark.conf.get("spark.checkpoint.dir", None) or context.getConf().get("spark.checkpoint.dir") or context.getCheckpointDir()
     if not folder:
+        if not (context.master == "local" or context.master.startswith("local[")):
+            raise RuntimeError("set spark.checkpoint.dir to a folder that the driver and all executors share")
         folder = tempfile.mkdtemp(prefix="localcoef-")
         context.setCheckpointDir(folder)
-    path = f"{folder.rstrip('/')}/localcoef-{name}-{uuid4().hex}"
+    return folder.rstrip("/")
+
+
+def written(df: DataFrame, name: str) -> DataFrame:
+    """The same rows, read back from Parquet files under spark.checkpoint.dir; lineage ends there."""
+    spark = df.sparkSession
+    context = spark.sparkContext
+    path = shared_path(spark, name)
     df.write.parquet(path)
     where = context._jvm.org.apache.hadoop.fs.Path(path)
     where.getFileSystem(context._jsc.hadoopConfiguration()).deleteOnExit(where)
     return spark.read.schema(df.schema).parquet(path)
 
 
-def shared_path(spark, name: str) -> str:
-    """A new path in the shared folder, for a stream's own checkpoints."""
-    context = spark.sparkContext
-    folder = spark.conf.get("spark.checkpoint.dir", None) or context.getConf().get("spark.checkpoint.dir") or context.getCheckpointDir() or tempfile.mkdtemp(prefix="localcoef-")
-    return f"{folder.rstrip('/')}/localcoef-{name}-{uuid4().hex}"
+def shared_path(spark: SparkSession, name: str) -> str:
+    """A new path in the shared folder."""
+    return f"{shared_folder(spark)}/localcoef-{name}-{uuid4().hex}"
