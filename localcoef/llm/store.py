@@ -1,23 +1,11 @@
-"""Intermediate tables in the folder that the cluster shares."""
+"""Intermediate tables of the text operators, besides those written to the shared folder."""
 
 from __future__ import annotations
 
-import tempfile
-from uuid import uuid4
-
 from pyspark import StorageLevel
 from pyspark.sql import DataFrame, SparkSession
 
-
-def shared_folder(spark: SparkSession) -> str:
-    """The folder named by spark.checkpoint.dir; a temporary one only where that is unset."""
-    named = spark.conf.get("spark.checkpoint.dir", None) or spark.sparkContext.getConf().get("spark.checkpoint.dir")
-    if not named:
-        named = spark.sparkContext.getCheckpointDir()
-    if not named:
-        named = tempfile.mkdtemp(prefix="localcoef-")
-        spark.sparkContext.setCheckpointDir(named)
-    return named
+from localcoef.plans.store import written  # noqa: F401  the text operators write their tables with it too
 
 
 def small_batches(spark: SparkSession) -> None:
@@ -27,17 +15,6 @@ def small_batches(spark: SparkSession) -> None:
         spark.conf.set(name, "8m")
 
 
-def written(df: DataFrame, name: str) -> DataFrame:
-    """The same rows, read back from Parquet files in the shared folder; they go when the application ends."""
-    spark = df.sparkSession
-    path = f"{shared_folder(spark).rstrip('/')}/localcoef-{name}-{uuid4().hex}"
-    df.write.parquet(path)
-    jvm = spark.sparkContext._jvm
-    where = jvm.org.apache.hadoop.fs.Path(path)
-    where.getFileSystem(spark.sparkContext._jsc.hadoopConfiguration()).deleteOnExit(where)
-    return spark.read.schema(df.schema).parquet(path)
-
-
 def kept(df: DataFrame) -> DataFrame:
     """The same rows, worked out once and kept on the executors' disks; what a lost executor held is worked out again."""
     return df.persist(StorageLevel.DISK_ONLY)
