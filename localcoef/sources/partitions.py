@@ -12,9 +12,22 @@ from localcoef.operators.exact import degrees
 
 
 def numbered(labelled: DataFrame) -> DataFrame:
-    """From (id, label): buckets by order of label. Only the distinct labels are sorted as a whole."""
-    labels = labelled.select(F.col("label").alias("named")).distinct().withColumn("bucket", (F.row_number().over(Window.orderBy("named")) - 1).cast("int"))
-    return labelled.join(F.broadcast(labels) if _few(labels) else labels, F.col("label").eqNullSafe(F.col("named"))).select("id", "bucket", F.col("label").cast("string").alias("label"))
+    """From (id, label): buckets by order of label. Up to 100,000 labels are sorted in one task and broadcast; more are numbered by ranges."""
+    labels = labelled.select(F.col("label").alias("named")).distinct()
+    few = _few(labels)
+    labels = labels.withColumn("bucket", (F.row_number().over(Window.orderBy("named")) - 1).cast("int")) if few else _numbered_by_ranges(labels)
+    return labelled.join(F.broadcast(labels) if few else labels, F.col("label").eqNullSafe(F.col("named"))).select("id", "bucket", F.col("label").cast("string").alias("label"))
+
+
+def _numbered_by_ranges(labels: DataFrame) -> DataFrame:
+    """(named, bucket) from (named): ranges of labels, written so that they stay as they are, each numbered on from the sizes of those before."""
+    from localcoef.plans.store import written
+
+    ranges = written(labels.repartitionByRange("named").withColumn("range", F.spark_partition_id()), "labels")
+    ahead = F.sum("n").over(Window.orderBy("range").rowsBetween(Window.unboundedPreceding, -1))
+    offsets = ranges.groupBy("range").agg(F.count("*").alias("n")).select("range", F.coalesce(ahead, F.lit(0)).alias("before"))
+    place = F.row_number().over(Window.partitionBy("range").orderBy("named")) - 1
+    return ranges.withColumn("place", place).join(F.broadcast(offsets), "range").select("named", (F.col("before") + F.col("place")).cast("int").alias("bucket"))
 
 
 def _few(labels: DataFrame, bound: int = 100_000) -> bool:

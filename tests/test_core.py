@@ -252,3 +252,37 @@ def test_few_triangles_equal_all(toy):
 
 def test_regime():
     assert C.regime(0.9, 0.075, 6, 0.01, 2)[1] == "optimistic" and C.regime(8.0, 0.01, 25, 0.01, 3)[1] == "mixed"
+
+
+def test_labels_beyond_the_broadcast_bound_keep_their_order(spark):
+    labels = spark.range(5000).selectExpr("md5(cast(id as string)) as named")
+    got = [r["named"] for r in P._numbered_by_ranges(labels).orderBy("bucket").collect()]
+    assert got == sorted(r["named"] for r in labels.collect())
+    assert [r["bucket"] for r in P._numbered_by_ranges(labels).orderBy("bucket").collect()] == list(range(5000))
+
+
+@pytest.mark.parametrize("q", [0.0, 0.2, 0.5])
+def test_range_bounds_hold_for_every_edge_and_are_met_by_one(spark, q):
+    """Against the bound of each edge, worked out one by one, with nodes that have no bucket and others without wedges."""
+    import random
+
+    rng = random.Random(3)
+    pairs = sorted({tuple(sorted(rng.sample(range(30), 2))) for _ in range(90)} | {(40, 41), (0, 42)})
+    ids = sorted({x for p in pairs for x in p})
+    bucket = {i: rng.randrange(4) for i in ids if i % 7}
+    g = Graph.of(spark.createDataFrame(pairs, "u long, v long"))
+    b = spark.createDataFrame(list(bucket.items()), "id long, bucket int")
+    for c in ("clustering", "closure"):
+        w = exact.denominators(g, c)
+        inverse = {r["id"]: 1 / r["w"] for r in w.collect() if r["w"] > 0}
+        around = {i: [x + y - i for x, y in pairs if i in (x, y)] for i in ids}
+        want = dict.fromkeys(set(bucket.values()), 0.0)
+        for u, v in pairs:
+            z, o = (u, v) if len(around[u]) <= len(around[v]) else (v, u)
+            t = len(around[z]) - 1
+            for j in want if t else ():
+                of = lambda x, j=j: inverse.get(x, 0.0) if bucket.get(x) == j else 0.0
+                want[j] = max(want[j], q * t * (of(z) + of(o)) + (1 - 2 * q) * sum(of(x) for x in around[z] if x != o))
+        size = {j: list(bucket.values()).count(j) for j in want}
+        got = {r["bucket"]: r["r"] for r in bounds.range_bounds(g, b, w, len(pairs), q).collect()}
+        assert got == pytest.approx({j: x * len(pairs) / size[j] for j, x in want.items()})
