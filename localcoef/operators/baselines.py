@@ -55,10 +55,13 @@ def wedge_headed(g: Graph, buckets: DataFrame, draws: DataFrame, seed: int = 0)
     heavy = ranks.join(deg.select(F.col("id").alias("dst"), (F.col("deg") - 1).alias("more")), "dst").withColumn("part", F.pmod("dst", F.lit(PARTS)).cast("int"))
     parts = heavy.groupBy("src", "part").agg(F.sum("more").alias("n"))
     ahead = F.sum("n").over(Window.partitionBy("src").orderBy("part").rowsBetween(Window.unboundedPreceding, -1))
-    parts = parts.select("src", "part", F.coalesce(ahead, F.lit(0)).alias("before"))
-    inner = F.sum("more").over(Window.partitionBy("src", "part").orderBy("dst"))
-    steps = heavy.withColumn("inner", inner).join(parts, ["src", "part"]).select(F.col("src").alias("id"), F.col("dst").alias("mid"), F.col("more"), (F.col("before") + F.col("inner")).alias("high"))
-    hop = first.join(steps, "id").where("at < high and at >= high - more")
+    parts = parts.select("src", "part", "n", F.coalesce(ahead, F.lit(0)).alias("before"))
+    # a draw meets the parts of its node, and in its part the last step that begins at or before it
+    held = first.join(parts.withColumnRenamed("src", "id"), "id").where("at >= before and at < before + n").select("id", "part", (F.col("at") - F.col("before")).alias("pos"), "bucket", "ix")
+    began = F.sum("more").over(Window.partitionBy("src", "part").orderBy("dst")) - F.col("more")
+    steps = heavy.where("more > 0").select(F.col("src").alias("id"), "part", began.alias("pos"), F.struct(F.col("dst").alias("mid"), "more").alias("step"))
+    latest = F.last("step", True).over(Window.partitionBy("id", "part").orderBy("pos", F.col("ix").isNotNull()))
+    hop = steps.unionByName(held, True).withColumn("step", latest).where("ix is not null").select("id", "bucket", "ix", "step.mid", "step.more")
     # the other neighbour of the middle: any but the head, by rank
     own = ranks.select(F.col("src").alias("mid"), F.col("dst").alias("id"), F.col("rank").alias("own"))
     hop = hop.join(own, ["mid", "id"]).withColumn("r", _pick(seed, "other", F.col("more")))
@@ -110,13 +113,17 @@ def sketch_baseline(g: Graph, buckets: DataFrame, hashes: int = 16) -> DataFrame
 
 
 def retained_edge_baseline(g: Graph, buckets: DataFrame, rate: float = 0.25, seed: int = 0) -> DataFrame:
-    """Stand-in: edges arrive in order of their numbers and are kept by hash; an arriving edge that closes two kept earlier ones counts 1 / rate^2."""
+    """Stand-in: edges arrive in order of their numbers and are kept by hash; an arriving edge that closes two kept earlier ones counts 1 / rate^2. Their common corner is looked for from the end with fewer kept edges."""
     arriving = number_edges(g.edges)
     kept = arriving.where(uniform(seed, "keep", F.col("u"), F.col("v")) < rate)
     both = kept.select("eid", F.col("u").alias("a"), F.col("v").alias("b")).unionByName(kept.select("eid", F.col("v").alias("a"), F.col("u").alias("b")))
-    one = both.select(F.col("a").alias("u"), F.col("b").alias("w"), F.col("eid").alias("e1"))
-    two = both.select(F.col("a").alias("v"), F.col("b").alias("w"), F.col("eid").alias("e2"))
-    closed = arriving.join(one, "u").where("e1 < eid").join(two, ["v", "w"]).where("e2 < eid").select("u", "v", "w")
+    deg = both.groupBy("a").agg(F.count("*").alias("n"))
+    d = lambda end: deg.select(F.col("a").alias(end), F.col("n").alias(f"n{end}"))
+    small = F.col("nu") <= F.col("nv")
+    ends = arriving.join(d("u"), "u").join(d("v"), "v").select("eid", "u", "v", F.when(small, F.col("u")).otherwise(F.col("v")).alias("z"), F.when(small, F.col("v")).otherwise(F.col("u")).alias("o"))
+    one = both.select(F.col("a").alias("z"), F.col("b").alias("w"), F.col("eid").alias("e1"))
+    two = both.select(F.col("a").alias("o"), F.col("b").alias("w"), F.col("eid").alias("e2"))
+    closed = ends.join(one, "z").where("e1 < eid").join(two, ["o", "w"]).where("e2 < eid").select("u", "v", "w")
     t = closed.select(F.explode(F.array("u", "v", "w")).alias("id")).groupBy("id").agg((F.count("*") / (rate * rate)).alias("t"))
     return _node_means(g, buckets, t)
 
