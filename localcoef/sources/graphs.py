@@ -2,6 +2,8 @@
 
 from __future__ import annotations
 
+import math
+
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
@@ -77,7 +79,7 @@ def within_interval(spark: SparkSession, sf_dir: str, seconds: int = 60) -> Grap
 def similar_vectors(spark: SparkSession, sf_dir: str, threshold: float = 0.2, planes: int = 0, tables: int = 16) -> Graph:
     """Vectors whose cosine exceeds a threshold.
 
-    Without planes the vectors are compared block by block, exactly. With planes, only vectors that fall on the same
+    Without planes the vectors are compared block by block, exactly, in blocks of about 10,000. With planes, only vectors that fall on the same
     side of that many random planes in one of ``tables`` tables are compared, which scales and may miss edges.
     """
     rows = read(spark, sf_dir, "embeddings").select(F.col("vec_id").alias("id"), F.transform("embedding", lambda x: x.cast("double")).alias("x"))
@@ -94,7 +96,7 @@ def similar_vectors(spark: SparkSession, sf_dir: str, threshold: float = 0.2, pl
         keyed = rows.withColumn("key", F.explode(F.array(*keys)))
         joined = keyed.alias("a").join(keyed.alias("b"), (F.col("a.key") == F.col("b.key")) & (F.col("a.id") < F.col("b.id")))
     else:
-        blocks = 4
+        blocks = max(4, math.ceil(rows.count() / 10_000))
         left = rows.withColumn("cell", F.explode(F.array(*[F.lit(i) for i in range(blocks)]))).withColumn("row", F.pmod(F.col("id"), F.lit(blocks)))
         right = rows.withColumn("cell", F.pmod(F.col("id"), F.lit(blocks))).withColumn("row", F.explode(F.array(*[F.lit(i) for i in range(blocks)])))
         joined = left.alias("a").join(right.alias("b"), (F.col("a.cell") == F.col("b.cell")) & (F.col("a.row") == F.col("b.row")) & (F.col("a.id") < F.col("b.id")))
