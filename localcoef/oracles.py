@@ -97,3 +97,14 @@ rb AS (SELECT u, v, bucket, sum(x) AS x FROM (
   SELECT u, v, bucket, iw * t * 0.2::DOUBLE AS x FROM ends JOIN iw ON iw.id = u WHERE t > 0 UNION ALL SELECT u, v, bucket, iw * t * 0.2::DOUBLE FROM ends JOIN iw ON iw.id = v WHERE t > 0
   UNION ALL SELECT u, v, bucket, greatest(sum(s), 0) * 0.6::DOUBLE FROM (SELECT u, v, bucket, s FROM ends JOIN around USING (z) WHERE t > 0
     UNION ALL SELECT u, v, bucket, -iw FROM ends JOIN iw ON iw.id = o WHERE t > 0) GROUP BY u, v, bucket) GROUP BY u, v, bucket)"""
+
+#: As SIDE, with the smaller of both ends' sums.
+TIGHT = """,
+iw AS (SELECT b.id, bucket, 1 / w AS iw FROM wt JOIN buckets b USING (id) WHERE w > 0),
+ends AS (SELECT u, v, least(a.d, b.d) - 1 AS t FROM edges JOIN deg a ON a.id = u JOIN deg b ON b.id = v WHERE least(a.d, b.d) > 1),
+around AS (SELECT src AS z, bucket, sum(iw) AS s FROM adj JOIN iw ON iw.id = dst GROUP BY src, bucket),
+su AS (SELECT u, v, a.bucket, greatest(s - coalesce(iw, 0), 0) AS s FROM ends JOIN around a ON z = u LEFT JOIN iw ON iw.id = v AND iw.bucket = a.bucket),
+sv AS (SELECT u, v, a.bucket, greatest(s - coalesce(iw, 0), 0) AS s FROM ends JOIN around a ON z = v LEFT JOIN iw ON iw.id = u AND iw.bucket = a.bucket),
+rb AS (SELECT u, v, bucket, sum(x) AS x FROM (
+  SELECT u, v, bucket, iw * t * 0.2::DOUBLE AS x FROM ends JOIN iw ON iw.id = u UNION ALL SELECT u, v, bucket, iw * t * 0.2::DOUBLE FROM ends JOIN iw ON iw.id = v
+  UNION ALL SELECT su.u, su.v, su.bucket, least(su.s, sv.s) * 0.6::DOUBLE FROM su JOIN sv USING (u, v, bucket)) GROUP BY u, v, bucket)"""

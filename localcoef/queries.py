@@ -179,10 +179,13 @@ for _c in O.W:
       SELECT bucket, round(var_samp(b), 4) AS qa, round(2 * covar_samp(b, s), 4) AS qb, round(var_samp(s), 4) AS qc FROM dr GROUP BY bucket""")(
         lambda s, d, c=_c: tuning.split_quadratics(g := cpy(s, d), sampling.draw_indexed(*(x := numbered(g)), 500, SEED, "pilot"), part_buckets(s, d, g, "brand"), exact.denominators(g, c), x[1], 500).select("bucket", *[F.round(n, 4).alias(n) for n in ("qa", "qb", "qc")])
     )
-    query(f"b7_tight_ranges_{_c}")(lambda s, d, c=_c: r6(bounds.range_bounds(g := cpy(s, d), part_buckets(s, d, g, "brand"), exact.denominators(g, c), g.edges.count(), SPLIT, True)))
+    query(f"b7_tight_ranges_{_c}", O.with_buckets("cpy", "brand") + f", total AS (SELECT count(*) AS m FROM edges), wt AS ({O.W[_c]})" + O.TIGHT + " SELECT bucket, round(coalesce(max(x), 0) * (SELECT m FROM total) / any_value(size), 6) AS r FROM sizes LEFT JOIN rb USING (bucket) GROUP BY bucket")(lambda s, d, c=_c: r6(bounds.range_bounds(g := cpy(s, d), part_buckets(s, d, g, "brand"), exact.denominators(g, c), g.edges.count(), SPLIT, True)))
 
 
-@query("e5_split_extremes")
+@query("e5_split_extremes", VALS["clustering"].replace("vals AS", "v2 AS") + f""", gr AS (SELECT unnest([0.0::DOUBLE, 1 / 3.0::DOUBLE, 0.5::DOUBLE]) AS q), raw AS (
+  SELECT q, u, v, bucket, sum(a / (wt.w * size)) * (SELECT m FROM total) AS x FROM (SELECT q, u, v, w AS node, 1 - 2 * q AS a FROM et, gr UNION ALL SELECT q, u, v, u, count(*) * q FROM et, gr GROUP BY q, u, v UNION ALL SELECT q, u, v, v, count(*) * q FROM et, gr GROUP BY q, u, v)
+  JOIN wt ON wt.id = node AND wt.w > 0 JOIN buckets b ON b.id = node JOIN sizes USING (bucket) GROUP BY q, u, v, bucket), got AS (SELECT q, bucket, sum(x) AS x FROM bag JOIN raw USING (u, v) GROUP BY q, bucket)
+  SELECT sizes.bucket, size, round(gr.q, 6) AS q, round(coalesce(x, 0) / {DRAWS}, 6) AS f FROM sizes CROSS JOIN gr LEFT JOIN got ON got.bucket = sizes.bucket AND got.q = gr.q""")
 def _extremes(s: SparkSession, d: str) -> DataFrame:
     g, bag, m, b = _bag(s, d)
     w, out = exact.denominators(g, "clustering"), None
@@ -254,7 +257,7 @@ def _plugin(s: SparkSession, d: str, chunked: bool) -> DataFrame:
 query("c6_plugin_windows", PLUGIN_SQL)(lambda s, d: _plugin(s, d, False))
 query("c6_plugin_chunks", PLUGIN_SQL)(lambda s, d: _plugin(s, d, True))
 query("c11_regime")(lambda s, d: _regime(s, d))
-query("c12_cost_model")(lambda s, d: s.createDataFrame(C.cost_model(1981, 17952, 25, 57, 2697, 6.8, 0.075, 0.01, 5), "step string, rows double"))
+query("c12_cost_model")(lambda s, d: _costs(s, d))
 
 
 @query("q3_minimax")
@@ -320,13 +323,17 @@ for _c in O.W:
         )
     query(f"a6_fixed_tuned_{_c}")(lambda s, d, c=_c: r6(fixed_size_estimate(g := cpy(s, d), part_buckets(s, d, g, "type"), c, fraction=0.1, seed=SEED)))
 query("a4_per_bucket_eps")(lambda s, d: r6(adaptive_estimate(g := cpy(s, d), part_buckets(s, d, g, "type"), "closure", dict(enumerate((0.3, 0.3, 0.2, 0.2, 0.25, 0.25))), 0.05, work_factor=40, seed=SEED, large=None)))
-query("a7_multipass")(lambda s, d: r6(multipass_stream_estimate((g := cpy(s, d)).edges, part_buckets(s, d, g, "type"), "clustering", DRAWS, seed=SEED)))
+query("a7_multipass", O.with_buckets("cpy", "type") + O.NUMBER + f""", dr AS (SELECT u, v, {O.hashed(SEED, "poisson", "u", "v")} AS x, 2000.0::DOUBLE / m AS r FROM edges, total), bag AS (
+  SELECT u, v, (x >= exp(-r))::INT + (x >= exp(-r) * (1 + r))::INT + (x >= exp(-r) * (1 + r + r * r / 2))::INT + (x >= exp(-r) * (1 + r + r * r / 2 + r * r * r / 6))::INT + (x >= exp(-r) * (1 + r + r * r / 2 + r * r * r / 6 + r * r * r * r / 24))::INT AS copies FROM dr WHERE x >= exp(-r))"""
+  + O.values("bag", "(1 / 3.0::DOUBLE)", "clustering") + " SELECT bucket, size, round(coalesce(sum(x * copies), 0) / (SELECT greatest(1, sum(copies)) FROM bag), 6) AS f FROM sizes LEFT JOIN (SELECT bucket, x, copies FROM bag JOIN vals USING (u, v)) USING (bucket) GROUP BY bucket, size")(lambda s, d: r6(multipass_stream_estimate((g := cpy(s, d)).edges, part_buckets(s, d, g, "type"), "clustering", DRAWS, seed=SEED)))
 query("a10_exact_fallback", O.with_buckets("cpy", "type") + " SELECT bucket, count(*) AS size, round(avg(alpha), 6) AS f, 'exact' AS exit_reason FROM prof JOIN buckets USING (id) GROUP BY bucket")(
     lambda s, d: r6(adaptive_estimate(g := cpy(s, d), part_buckets(s, d, g, "type"), "clustering", 0.001, 0.01, work_factor=None, seed=SEED).select("bucket", "size", "f", "exit_reason"))
 )
 
 
-@query("a8_bucket_weighted_triangles")
+@query("a8_bucket_weighted_triangles", O.with_buckets("cpy", "type") + """, et AS (SELECT e.u, e.v, a.dst AS w FROM edges e JOIN adj a ON a.src = e.u JOIN adj b ON b.src = e.v AND b.dst = a.dst),
+  we AS (SELECT et.*, (x.bucket = y.bucket)::INT + (y.bucket = z.bucket)::INT + (x.bucket = z.bucket)::INT AS g FROM et JOIN buckets x ON x.id = u JOIN buckets y ON y.id = v JOIN buckets z ON z.id = w)
+  SELECT id, round(sum(a), 6) AS t FROM (SELECT w AS id, g * 0.6::DOUBLE AS a FROM we UNION ALL SELECT u, g * 0.2::DOUBLE FROM we UNION ALL SELECT v, g * 0.2::DOUBLE FROM we) GROUP BY id""")
 def _own_weights(s: SparkSession, d: str) -> DataFrame:
     """Triangles weighted by how many of their corners share a bucket: expectation over all edges by node."""
     g = cpy(s, d)
@@ -451,6 +458,18 @@ def _regime(s: SparkSession, d: str) -> DataFrame:
     return r6(s.createDataFrame(rows, "eps double, r double, zeta int, first_share double, kind string"))
 
 
+def _costs(s: SparkSession, d: str) -> DataFrame:
+    """Rows that each step handles, from the sizes and bounds of the graph itself."""
+    g = cpy(s, d)
+    b = part_buckets(s, d, g, "brand")
+    at = exact.graph_profile(g).first()
+    top = bounds.range_bounds(g, b, exact.denominators(g, "clustering"), at["m"], SPLIT).agg(F.max("r").alias("r")).first()["r"]
+    zeta = bounds.dimension_bound(bounds.spread_sup(g, b).first()["chi"], SPLIT)
+    k = b.select("bucket").distinct().count()
+    first = C.sample_start(top, 0.075, k, C.budget_of_round(0, 0.01))
+    return r6(s.createDataFrame(C.cost_model(at["n"], at["m"], k, at["dmax"], first, float(top), 0.075, 0.01, zeta), "step string, rows double"))
+
+
 def _run(s: SparkSession, d: str, kind: str, coefficient: str = "clustering", factor: float | None = 40):
     g = cpy(s, d)
     return prepare(g, part_buckets(s, d, g, kind), coefficient, factor)
@@ -508,7 +527,9 @@ query("wk8_induced", O.with_buckets("cpy", "segment") + """, ie AS (SELECT a.lab
   SELECT community, nodes, coalesce(edges, 0) AS edges, round(CASE WHEN nodes > 1 THEN 2.0::DOUBLE * coalesce(edges, 0) / (nodes * (nodes - 1)) ELSE 0 END, 6) AS density, coalesce(triangles, 0) AS triangles FROM nn LEFT JOIN ne USING (community) LEFT JOIN tr2 USING (community)""")(
     lambda s, d: r6(X.induced(g := cpy(s, d), part_buckets(s, d, g, "segment")))
 )
-query("wk8_components")(lambda s, d: X.induced_components(g := cpy(s, d), part_buckets(s, d, g, "segment")))
+query("wk8_components", O.with_buckets("cpy", "segment").replace("WITH ", "WITH RECURSIVE ", 1) + """, ia AS (SELECT src, dst FROM adj JOIN buckets a ON a.id = src JOIN buckets b ON b.id = dst WHERE a.bucket = b.bucket),
+  reach AS (SELECT id, id AS root FROM nodes UNION SELECT dst, root FROM reach JOIN ia ON src = id WHERE dst > root), roots AS (SELECT id, min(root) AS root FROM reach GROUP BY id)
+  SELECT community, count(*) AS components, max(n) AS largest FROM (SELECT label AS community, root, count(*) AS n FROM roots JOIN buckets USING (id) GROUP BY label, root) GROUP BY community""")(lambda s, d: X.induced_components(g := cpy(s, d), part_buckets(s, d, g, "segment")))
 query("wk9_degree_profile", YEARLY + " SELECT win, p_type AS community, floor(log2(greatest(d, 1)))::INTEGER AS deg_bin, count(*) AS nodes, round(avg(alpha), 6) AS mean_alpha FROM prof JOIN part ON p_partkey = id GROUP BY ALL")(
     lambda s, d: r6(X.degree_profile(X.snapshot_profile(X.snapshot_edges(s, d)), _labels(s, d, "type")))
 )
