@@ -6,7 +6,7 @@ from oracle import DATA, compare
 import localcoef.relational  # noqa: F401
 from localcoef.queries import ORACLE_SQL, QUERIES
 
-NAMES = ["x8_node_triangles", "e4_fixed_bag_means_clustering", "b6_range_bounds_closure", "f4_combined", "wc_wedge_center", "wk7_snapshots", "op_join_asof", "op_pivot", "st_tumbling", "st_distinct"]
+NAMES = ["x8_node_triangles", "e4_fixed_bag_means_clustering", "b6_range_bounds_closure", "f4_combined", "wc_wedge_center", "wk7_snapshots", "op_join_asof", "op_pivot", "st_tumbling", "st_distinct", "b7_tight_ranges_closure", "e5_split_extremes", "a7_multipass", "a8_bucket_weighted_triangles", "wk8_components", "wh_wedge_headed", "tr_retained", "st_co_activity"]
 
 
 @pytest.mark.parametrize("name", NAMES)
