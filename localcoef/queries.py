@@ -286,7 +286,7 @@ def _variance(s: SparkSession, d: str) -> DataFrame:
 # --- low-degree filter
 
 BETA = """, hist AS (SELECT d, count(*) AS n FROM deg GROUP BY d), beta AS (SELECT coalesce(max(d), 0) AS beta FROM (SELECT d, sum(d * d * n) OVER (ORDER BY d) AS work, (SELECT count(*) FROM deg) AS n FROM hist) WHERE work <= 40 * n)"""
-LOWTRI = BETA + ", lt AS (SELECT a, b, c FROM tri, beta JOIN deg x ON true JOIN deg y ON true JOIN deg z ON true WHERE x.id = a AND y.id = b AND z.id = c AND (x.d <= beta OR y.d <= beta OR z.d <= beta))"
+LOWTRI = BETA + ", lt AS (SELECT a, b, c FROM tri JOIN deg x ON x.id = a JOIN deg y ON y.id = b JOIN deg z ON z.id = c CROSS JOIN beta WHERE (x.d <= beta OR y.d <= beta OR z.d <= beta))"
 
 
 def _beta(g: Graph, factor: float = 40) -> int:
